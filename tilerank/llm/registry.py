@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import simhash_neardup
+from . import simhash_neardup, simhash_search
+from .common import materialize
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -24,3 +25,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash_neardup.simhash_components(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def hex64(column: str):
+    return F.lower(F.lpad(F.hex(column), 16, "0"))
+
+
+@query
+def op9_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = materialize(simhash_search.fingerprint_edits(table(spark, sf_dir, "documents")), "edits")
+    return simhash_search.search_counts(found).select(
+        "doc_id",
+        "n_chars",
+        "edited_sha256",
+        hex64("fp").alias("fingerprint"),
+        hex64("edited_fp").alias("edited_fingerprint"),
+        simhash_search.likeness("fp", "edited_fp").alias("near_edited"),
+        simhash_search.likeness("fp", "next_fp").alias("near_next"),
+        "n_near",
+    )
