@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import simhash_neardup, simhash_search
+from . import decontaminate, simhash_neardup, simhash_search
 from .common import materialize
 
 QUERIES: dict = {}
@@ -44,3 +44,10 @@ def op9_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
         simhash_search.likeness("fp", "next_fp").alias("near_next"),
         "n_near",
     )
+
+
+@query
+def op8_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = decontaminate.leaks(docs, table(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", (F.size("leaked_items") > 0).alias("contaminated"), F.col("leaked_items").alias("item_ids"))
