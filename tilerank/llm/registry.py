@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, simhash_neardup, simhash_search, toxicity
-from .common import materialize
+from . import decontaminate, mixing, sharding, simhash_neardup, simhash_search, toxicity
+from .common import fresh_path, materialize
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -60,3 +60,30 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     # only the id and the score leave the Python pass
     scored = toxicity.with_scores(docs, model).select("doc_id", "score")
     return scored.select("doc_id", toxicity.held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
+#: Arrivals and target file size of the sharding query.
+ARRIVALS, SHARD_BYTES = 6, 32 << 20
+
+
+@query
+def op6_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    shards = sharding.shard_arrivals(docs, fresh_path(spark, "shards"), ARRIVALS, target_bytes=SHARD_BYTES)
+    # read back from the live version; how runs are named and tiered depends on bytes, so the rows carry contents only
+    return shards.read(docs.schema).select("doc_id", "lang", "source", F.char_length("text").cast("long").alias("text_chars"), F.md5("text").alias("text_md5"))
+
+
+ORACLES["op6_sharding"] = "SELECT doc_id, lang, source, CAST(length(text) AS BIGINT) AS text_chars, md5(text) AS text_md5 FROM documents"
+
+
+#: Target shares of tokens.
+SHARES = {"sound": 0.85, "junk": 0.12, "toxic": 0.03}
+
+
+@query
+def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    rates, domains, _ = mixing.mix(docs, mixing.labelled_domains(table(spark, sf_dir, "labels")), SHARES)
+    shares = [F.get("posterior", F.lit(i)).alias(f"p_{d}") for i, d in enumerate(domains)]
+    return rates.select("doc_id", "tokens", *shares, "rate", mixing.copies(F.col("rate"), F.col("doc_id")).alias("copies"))
