@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, mixing, sharding, simhash_neardup, simhash_search, toxicity
+from . import decontaminate, licenses, linededup, mixing, secrets, sharding, simhash_neardup, simhash_search, toxicity
 from .common import fresh_path, materialize
 
 QUERIES: dict = {}
@@ -87,3 +87,48 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     rates, domains, _ = mixing.mix(docs, mixing.labelled_domains(table(spark, sf_dir, "labels")), SHARES)
     shares = [F.get("posterior", F.lit(i)).alias(f"p_{d}") for i, d in enumerate(domains)]
     return rates.select("doc_id", "tokens", *shares, "rate", mixing.copies(F.col("rate"), F.col("doc_id")).alias("copies"))
+
+
+@query
+def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A document's source is its owner; the owner's documents of one language are a repository."""
+    docs = table(spark, sf_dir, "documents")
+    return secrets.scan(docs, F.concat_ws("/", "source", "lang"), F.col("source"))
+
+
+@query
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    clean = linededup.without_boilerplate(docs, F.col("source"))
+    return clean.select("doc_id", "n_lines", "n_removed", F.char_length("text").cast("long").alias("clean_chars"), F.md5("text").alias("clean_md5"))
+
+
+ORACLES["op3_line_dedup"] = r"""
+WITH docs AS (
+  SELECT doc_id, coalesce(source, chr(1)) AS site, coalesce(text, '') AS body FROM documents
+), lines AS (
+  SELECT doc_id, site, unnest(list_transform(string_split(body, chr(10)), lambda x: trim(x, ' ' || chr(9) || chr(13)))) AS line FROM docs
+), bad AS (
+  SELECT line FROM lines WHERE line <> '' GROUP BY line HAVING count(DISTINCT site) >= 8
+), bad_list AS (
+  SELECT coalesce(list(line), []) AS xs FROM bad
+), split AS (
+  SELECT doc_id, list_transform(string_split(body, chr(10)), lambda x: {'raw': x, 'line': trim(x, ' ' || chr(9) || chr(13))}) AS parts FROM docs
+), marked AS (
+  SELECT doc_id, parts, list_filter(parts, lambda p: p.line = '' OR NOT list_contains(xs, p.line)) AS kept FROM split, bad_list
+)
+SELECT doc_id,
+       CAST(len(list_filter(parts, lambda p: p.line <> '')) AS BIGINT) AS n_lines,
+       CAST(len(parts) - len(kept) AS BIGINT) AS n_removed,
+       CAST(length(array_to_string(list_transform(kept, lambda p: p.raw), chr(10))) AS BIGINT) AS clean_chars,
+       md5(array_to_string(list_transform(kept, lambda p: p.raw), chr(10))) AS clean_md5
+FROM marked
+"""
+
+
+@query
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = licenses.license_blocks(table(spark, sf_dir, "documents"))
+    names = F.array_distinct(F.transform("blocks", lambda b: b["license"]))
+    exact = F.size(F.filter("blocks", lambda b: b["exact"])).cast("long")
+    return found.select("doc_id", F.size("blocks").cast("long").alias("n_blocks"), exact.alias("n_exact"), F.array_join(F.array_sort(names), ",").alias("licenses"), F.to_json("blocks").alias("blocks"))
