@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, licenses, linededup, mixing, secrets, sharding, simhash_neardup, simhash_search, toxicity
+from . import decontaminate, licenses, linededup, mixing, secrets, sharding, simhash_neardup, simhash_search, toxicity, warc
 from .common import fresh_path, materialize
 
 QUERIES: dict = {}
@@ -132,3 +132,8 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     names = F.array_distinct(F.transform("blocks", lambda b: b["license"]))
     exact = F.size(F.filter("blocks", lambda b: b["exact"])).cast("long")
     return found.select("doc_id", F.size("blocks").cast("long").alias("n_blocks"), exact.alias("n_exact"), F.array_join(F.array_sort(names), ",").alias("licenses"), F.to_json("blocks").alias("blocks"))
+
+
+@query
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archive_and_read(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
