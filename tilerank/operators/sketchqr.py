@@ -215,6 +215,7 @@ def pivoted_columnwise(mat: Tall, k: int) -> PivotedQR:
         r = mat.triangle(p) if p else np.zeros((0, 0))
         rows = mat.reduce(lambda _, a: K.right_solve(a[:, p], r).T @ a) if p else np.zeros((0, mat.n))
         norms = mat.reduce(lambda _, a: ((a - (K.right_solve(a[:, p], r) @ rows if p else 0.0)) ** 2).sum(0)[None, :])[0]
+        norms = np.array(norms)
         norms[p] = -1.0
         chosen.append(int(np.argmax(norms)))
         steps.append({"step": i, "pivots": chosen[-1:], "r": [float(np.sqrt(norms.max()))], "passes": mat.passes})
