@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-FAMILIES = ["methods"]
+FAMILIES = ["methods", "plans"]
 
 
 def _merged(attribute: str) -> dict:

@@ -102,7 +102,7 @@ register(
     "sketch_emb_y",
     f"SELECT CAST(s AS BIGINT) AS s, CAST(col_id AS BIGINT) AS col, round(sum(v * {gaussian_sql(SEED, 'row_id', 's')}), 6) + 0.0 AS y FROM ({G.EMB}) CROSS JOIN (SELECT unnest(range(8)) AS s) GROUP BY 1, 2",
 )(lambda s, d: frame(s, [(i, j, float(v)) for i, row in enumerate(emb(s, d).left(lambda ids: gaussians(SEED, ids, 8))) for j, v in enumerate(row)], "s bigint, col bigint, y double", "y"))
-register("sketch_emb_block1_pivots", f"WITH {G.sketched(G.EMB, EMB_ROWS, 8, 8, SEED)} SELECT k, pivot FROM ({G.pivots(8)})")(
+register("sketch_emb_block1_pivots", f"WITH {G.sketched(G.EMB, EMB_ROWS, 8, 8, SEED)} SELECT k, \"pivot\" FROM ({G.pivots(8)})")(
     lambda s, d: s.createDataFrame([(i, int(p)) for i, p in enumerate(K.pivoted(emb(s, d).left(lambda ids: gaussians(SEED, ids, 8)), 8)[0][:8])], "k bigint, pivot bigint")
 )
 FROB_EMB = f"SELECT round(sum(v * v), 6) + 0.0 AS energy FROM ({G.EMB})"

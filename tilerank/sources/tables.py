@@ -63,7 +63,7 @@ def pivot_rows(df: DataFrame, key: Column, column: Column, value: Column, n: int
 def to_tiles(e: DataFrame, b: int, n: int, m: int) -> DataFrame:
     """Entry frame (row_id 0..m-1) -> tiles of b x b, ragged at the edges; tiles without entries are not stored."""
 
-    def dense(key, t: pa.Table) -> pa.Table:
+    def dense(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         bi, bj = key[0].as_py(), key[1].as_py()
         a = np.zeros((min(b, m - bi * b), min(b, n - bj * b)))
         np.add.at(a, (t["row_id"].to_numpy() - bi * b, t["col_id"].to_numpy() - bj * b), t["v"].to_numpy())
