@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-FAMILIES = ["methods", "plans"]
+FAMILIES = ["methods", "plans", "relational", "engine"]
 
 
 def _merged(attribute: str) -> dict:

@@ -16,7 +16,7 @@ def unpivot(columns: list[str], table: str, key: str = "row_number() OVER ()") -
 LINE4 = unpivot(["l_quantity", "l_extendedprice", "l_discount", "l_tax"], "lineitem")
 USERHOUR = "SELECT user_id AS row_id, hour(ts) AS col_id, sum(value) AS v FROM events GROUP BY 1, 2"
 SUPPMONTH = "SELECT l_suppkey AS row_id, month(l_shipdate) - 1 AS col_id, sum(l_quantity) AS v FROM lineitem WHERE year(l_shipdate) = 1995 GROUP BY 1, 2"
-SUPPPART = "SELECT l_suppkey - 1 AS row_id, l_partkey % 64 AS col_id, sum(l_quantity) AS v FROM lineitem GROUP BY 1, 2"
+SUPPPART = "SELECT l_suppkey AS row_id, l_partkey % 64 AS col_id, sum(l_quantity) AS v FROM lineitem GROUP BY 1, 2"
 
 
 def gram(entries: str, name: str = "g0") -> str:

@@ -138,6 +138,6 @@ def suppmonth(spark: SparkSession, d: str) -> DataFrame:
 
 
 def supppart(spark: SparkSession, d: str) -> DataFrame:
-    """Entries: supplier (from 0) x part number modulo 64, quantities summed."""
+    """Entries: supplier x part number modulo 64, quantities summed."""
     li = load(spark, d, "lineitem")
-    return li.groupBy((F.col("l_suppkey") - 1).alias("row_id"), F.pmod("l_partkey", F.lit(64)).cast("int").alias("col_id")).agg(F.sum("l_quantity").alias("v"))
+    return li.groupBy(F.col("l_suppkey").alias("row_id"), F.pmod("l_partkey", F.lit(64)).cast("int").alias("col_id")).agg(F.sum("l_quantity").alias("v"))
