@@ -229,13 +229,14 @@ def learn_lexicon(rows: DataFrame, most: int = MAX_LEXICON) -> tuple[dict, dict]
     picked = materialize(counts.withColumn("g2", g2).where((F.col("g2") >= bar) & (ratio >= 0.35)).orderBy(F.desc("g2"), "f").limit(most), "picked")
     held = features.join(F.broadcast(picked), "f").groupBy("f", "a", "b").agg(F.collect_list(F.struct("id", "toxic")).alias("docs")).collect()
     words, stems, covered = {}, {}, set()
-    # surest first, then most frequent, then longest; a stem must still tell something where no surer feature is
+    # surest first, then most frequent, then longest; a stem, or a word that clean texts have too, must still tell
+    # something where no surer feature is
     for r in sorted(held, key=lambda r: (-r.a / (r.a + r.b), -r.a, r.f.endswith("*"), -len(r.f), r.f)):
         stem, strength = r.f.endswith("*"), (INSULT, round(((r.a + 0.1) / (r.a + r.b + 0.2)) ** 4, 3))
         left = [(d.id, d.toxic) for d in r.docs if d.id not in covered]
         ra = sum(t for _, t in left)
         rb = len(left) - ra
-        if stem and (ra + rb == 0 or ra <= rb * 0.5 or 2 * ra * math.log(ra / ((ra + rb) * p)) < bar):
+        if (stem or r.a < 0.9 * (r.a + r.b)) and (ra + rb == 0 or ra <= rb * 0.5 or 2 * ra * math.log(ra / ((ra + rb) * p)) < bar):
             continue
         (stems if stem else words)[r.f.rstrip("*")] = strength
         covered.update(i for i, _ in left)
