@@ -32,6 +32,8 @@ LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 #: Bit positions 1..31 whose number has bit k set, as a mask over bits 0..30.
 PARITY = [sum(1 << (i - 1) for i in range(1, 32) if i >> k & 1) for k in range(5)]
 HALF = 0x7FFFFFFF
+#: 64-bit SimHashes of a text in near-duplicate search; each gives two bands.
+WIDE = 6
 #: Members of one band value that all its other members are compared with, at most.
 LEADERS = 24
 
@@ -130,7 +132,7 @@ def simhash_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 
 def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFrame:
-    """-> ``id_col``, ``key`` (128-bit digest of the lowered words), ``f`` (four SimHashes of the words).
+    """-> ``id_col``, ``key`` (128-bit digest of the lowered words), ``f`` (WIDE SimHashes of the words).
 
     The votes are cast by the distinct words of five and more bytes (all words if there are none): an
     edit of one word then moves one vote, not ``shingle`` of them, and frequent short words don't
@@ -146,8 +148,8 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int)
                 keys.append(digest(b" ".join(w)))
                 distinct = set(w)
                 terms = [x for x in distinct if len(x) > 4] or list(distinct)
-                raw = b"".join([digest(x, 42) + digest(x, 43) for x in terms])
-                rows.append(majority(np.frombuffer(raw, "<u8").reshape(-1, 4)).view(np.int64).tolist())
+                raw = b"".join([digest(x, seed) for x in terms for seed in range(42, 42 + WIDE // 2)])
+                rows.append(majority(np.frombuffer(raw, "<u8").reshape(-1, WIDE)).view(np.int64).tolist())
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array(keys, pa.binary()), pa.array(rows, pa.list_(pa.int64()))], names=[id_col, "key", "f"]
             )
@@ -157,7 +159,7 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int)
 
 
 def candidates(nodes: DataFrame) -> DataFrame:
-    """``rep``, ``f`` -> ``a`` < ``b``: pairs one of whose eight 31-bit bands differs in one bit at most.
+    """``rep``, ``f`` -> ``a`` < ``b``: pairs one of whose 31-bit bands differs in one bit at most.
 
     Members of one band value are compared with LEADERS of them (the smallest of each of so many
     hash classes), and values within one bit through their first leader, so a crowded value costs rows in
@@ -219,7 +221,7 @@ def near_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """One document of each group of near copies: the one with the smallest id stays.
 
     Texts of equal lowered words are copies. Other links: wide SimHashes that meet at an anchor in
-    one of eight bands, confirmed by the exact Jaccard similarity of ``shingle``-word sets, at
+    one of the bands, confirmed by the exact Jaccard similarity of ``shingle``-word sets, at
     least ``least``. Columns pass unchanged. Rows with a null id stay; of repeated rows of one id one stays.
     """
     fps = materialize(wide_fingerprints(docs, id_col, text_col, shingle).where(F.col(id_col).isNotNull()), "wide")
