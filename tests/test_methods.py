@@ -101,3 +101,17 @@ def test_defined_cases(spark):
 def test_with_index(spark):
     df = spark.range(0, 1000, 7).selectExpr("id * 3 as row_id").repartition(5)
     assert [r.idx for r in with_index(df).orderBy("row_id").collect()] == list(range(143))
+
+
+def test_accuracy_bands(emb):
+    from tilerank.operators import quality as Q
+
+    rows = {(m, k, q): r for m, k, q, r, _ in Q.rank_k_errors(Tall(emb), [8, 16, 32], 8, 7)}
+    for k in (8, 16, 32):
+        assert all(rows[x, k, 0] >= 1 - 1e-10 for x in ("classical", "sketched", "utv"))
+        assert rows["sketched", k, 0] <= 2 * rows["classical", k, 0] and rows["utv", k, 2] <= rows["utv", k, 0] * 1.05
+    dev = [d for _, d, _ in Q.diag_deviation(Tall(emb), 8, 7)]
+    assert dev[2] < dev[1] < dev[0] < 0.4
+    volumes = dict(Q.pivot_volumes(Tall(emb), 16, 8, 7))
+    assert volumes["classical"] - volumes["sketched"] < 2
+    assert all(res < 1e-12 and orth < 1e-10 and low == 0 for _, res, orth, low in Q.invariants(Tall(emb), 16, 7))

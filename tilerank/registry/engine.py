@@ -215,6 +215,21 @@ def stream_dedup(s: SparkSession, d: str) -> DataFrame:
     return S.settle(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"), "append").agg(F.count("*").alias("n"))
 
 
+@q("SELECT count(*) FILTER (WHERE event_id % 10 <> 0) + 0 AS kept, count(*) FILTER (WHERE event_id % 10 = 0) + 0 AS dropped FROM events")
+def stream_late_rows(s: SparkSession, d: str) -> DataFrame:
+    """Each tenth row comes a year late, in the third file: the watermark of the batch before last has passed it, so it is dropped."""
+    root = S.root_of(s)
+    e = T.load(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    for part in ("event_id % 10 between 1 and 5", "event_id % 10 > 5"):
+        e.where(part).coalesce(1).write.mode("append").parquet(f"{root}/in")
+    late = e.where("event_id % 10 = 0").withColumn("ts", F.col("ts") - F.expr("INTERVAL 1 YEAR"))
+    late.coalesce(1).write.mode("append").parquet(f"{root}/in")
+    stream = s.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/in")
+    once = S.settle(stream.withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "ts"), "append")
+    kept = once.select("event_id").join(e, "event_id", "left_semi")
+    return kept.agg(F.count("*").alias("kept")).crossJoin(F.broadcast(e.agg(F.count("*").alias("total")))).select("kept", (F.col("total") - F.col("kept")).alias("dropped"))
+
+
 @q("SELECT mode, event_type, n FROM (SELECT event_type, count(*) AS n FROM events GROUP BY 1), (VALUES ('complete'), ('update')) AS m(mode)")
 def stream_output_modes(s: SparkSession, d: str) -> DataFrame:
     out = None

@@ -126,6 +126,16 @@ def userhour_partial(s: SparkSession, d: str) -> DataFrame:
     return frame(s, [(float(np.sqrt(f.residual**2 + (f.r**2).sum())),)], "frob double", "frob")
 
 
+
+
+@register("sketchqr_line4_full", f"SELECT CAST(count(*) AS BIGINT) AS columns, round(sum(e), 6) + 0.0 AS energy FROM (SELECT col_id, sum(v * v) / {M_LINE} / {M_LINE} AS e FROM ({G.LINE4}) GROUP BY 1)")
+def sketchqr_line4_full(s: SparkSession, d: str) -> DataFrame:
+    """All columns, ragged last block: the triangle keeps the energy."""
+    m = Tall(T.line4(s, d))
+    f = sketchqr.sketch_qr(m, 3, None, "left", "project", SEED, rng="mix")
+    return frame(s, [(f.k, float((f.r**2).sum() / m.column_norms()[1] ** 2))], "columns bigint, energy double", "energy")
+
+
 # UTV
 
 for q in (0, 1, 2):
@@ -186,7 +196,7 @@ def utv_gram_recon(s: SparkSession, d: str) -> DataFrame:
 
 
 register("utv_design_rank", 'SELECT CAST(9 AS BIGINT) AS "rank"')(lambda s, d: s.createDataFrame([(utv.power_utv(Tall(T.design(s, d)), 4, 1, None, "left", SEED, tol=1e-8).rank(),)], "rank bigint"))
-register("utv_gram_logdet", f"WITH {G.classical(G.EMB, 64)} SELECT round({' + '.join(f'(SELECT ln(d) FROM p{t})' for t in range(64))}, 6) + 0.0 AS logdet")(
+register("utv_gram_det", f"WITH {G.classical(G.EMB, 64)} SELECT round({' + '.join(f'(SELECT ln(d) FROM p{t})' for t in range(64))}, 6) + 0.0 AS logdet")(
     lambda s, d: frame(s, [(float(np.log(np.abs(np.diag(baselines.utv_dense(emb(s, d).gram(), 16, 1, SEED)[1]))).sum()),)], "logdet double", "logdet")
 )
 
@@ -240,6 +250,19 @@ def lstsq_sql() -> str:
 
 
 ORACLES["app_lstsq_line4"] = lstsq_sql()
+TRI = lstsq_sql()
+
+
+@register("lin_tri_solve", TRI)
+def lin_tri_solve(s: SparkSession, d: str) -> DataFrame:
+    """The same coefficients by back substitution on the triangle of [X | y]."""
+    li = T.load(s, d, "lineitem")
+    x = Tall(T.rows_from_columns(li, T.line_key(), [F.lit(1.0), F.col("l_quantity"), F.col("l_discount") * 100, F.col("l_tax") * 100, F.col("l_extendedprice") / 1000]))
+    r = x.triangle()
+    coef = K.solve_upper(r[:4, :4], r[:4, 4:])[:, 0]
+    return frame(s, [(i, float(c)) for i, c in enumerate(coef)], "j bigint, coef double", "coef")
+
+
 register("app_tls_line4")(lambda s, d: frame(s, [(i, float(c)) for i, c in enumerate(apps.tls(Tall(T.line4(s, d)), 3))], "j bigint, coef double", "coef"))
 
 

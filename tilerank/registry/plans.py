@@ -244,6 +244,9 @@ for mode in ("memory", "direct", "overlap"):
     register(f"tileutv_emb_recon_{mode}", EMB_TABLE + " WHERE row_id < 64")(lambda s, d, mode=mode: tile_recon(s, d, mode))
 
 
+QUERIES["tileutv_emb_recon"], ORACLES["tileutv_emb_recon"] = QUERIES["tileutv_emb_recon_direct"], ORACLES["tileutv_emb_recon_direct"]
+
+
 @register("set_except_rows", f"WITH {TASKS}, touched AS (SELECT seq, unnest(string_split(ins, ',')) AS block FROM tasks WHERE ins <> ''), changed AS (SELECT seq, unnest(string_split(outs, ',')) AS block FROM tasks) SELECT seq, block FROM touched EXCEPT SELECT seq, block FROM changed")
 def set_except(s: SparkSession, d: str) -> DataFrame:
     t = example(s)

@@ -597,8 +597,23 @@ def fn_cast_decimal_null(s: SparkSession, d: str) -> DataFrame:
     return T.load(s, d, "part").select("p_partkey", F.col("p_retailprice").cast("decimal(12,2)").cast("double").alias("price"), F.expr("try_cast(p_brand as int)").alias("bad"), n.alias("size_"), F.coalesce(n, F.lit(-1)).alias("filled"))
 
 
-@q("SELECT a.doc_id AS a, b.doc_id AS b FROM documents a JOIN documents b ON a.text = b.text AND a.doc_id < b.doc_id")
-def app_near_dup_pairs(s: SparkSession, d: str) -> DataFrame:
-    """Copies found through the term matrix: equal rows share a digest of their counts, texts are then compared."""
-    t = T.load(s, d, "documents").select("doc_id", "text", F.xxhash64("text").alias("h"))
-    return t.alias("a").join(t.alias("b"), (F.col("a.h") == F.col("b.h")) & (F.col("a.doc_id") < F.col("b.doc_id")) & (F.col("a.text") == F.col("b.text"))).select(F.col("a.doc_id").alias("a"), F.col("b.doc_id").alias("b"))
+@q("SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS first_id FROM documents")
+def app_near_dup_copies(s: SparkSession, d: str) -> DataFrame:
+    """Rows of equal text: each with the first of its class, from digests counted map-side; no pairs are made."""
+    t = T.load(s, d, "documents").select("doc_id", F.sha2("text", 256).alias("h"))
+    first = t.groupBy("h").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("n")).where("n > 1")
+    return t.join(first, "h", "left").select("doc_id", F.coalesce("first_id", "doc_id").alias("first_id"))
+
+
+ORACLES["agg_trace_powers"] = f"""WITH e AS ({G.SUPPMONTH}), h AS (SELECT a.col_id AS i, b.col_id AS j, sum(a.v * b.v) AS v FROM e a JOIN e b USING (row_id) GROUP BY 1, 2)
+SELECT CAST(2 AS BIGINT) AS p, round((SELECT sum(v * v) FROM h) / power((SELECT sum(v) FROM h WHERE i = j), 2), 6) + 0.0 AS v"""
+
+
+def agg_trace_powers(s: SparkSession, d: str) -> DataFrame:
+    """Trace of the squared Gram matrix over the squared trace."""
+    g = gram_entries(T.entries(T.suppmonth(s, d)))
+    total = g.agg(F.sum(F.col("g") ** 2).alias("two"), F.sum(F.when(F.col("i") == F.col("j"), F.col("g"))).alias("one"))
+    return total.select(F.lit(2).cast("bigint").alias("p"), r6(F.col("two") / F.col("one") ** 2, "v"))
+
+
+QUERIES["agg_trace_powers"] = agg_trace_powers
