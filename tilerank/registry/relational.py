@@ -177,7 +177,8 @@ def lin_tile_matmul(s: SparkSession, d: str) -> DataFrame:
     import numpy as np
     import pyarrow as pa
 
-    t = T.to_tiles(T.supppart(s, d).where("row_id < 40"), 16, 64, 40)
+    m = min(40, T.load(s, d, "supplier").count())
+    t = T.to_tiles(T.supppart(s, d).where("row_id < 40"), 16, 64, m)
     b = T.transpose_tiles(t)
     pairs = t.select("bi", F.col("bj").alias("k"), "nr", F.col("nc").alias("w"), F.col("data").alias("x")).join(b.select(F.col("bi").alias("k"), "bj", "nc", F.col("data").alias("y")), "k")
 
