@@ -130,7 +130,7 @@ def io_bucketed_join(s: SparkSession, d: str) -> DataFrame:
     e.write.bucketBy(8, "col_id").saveAsTable(name)
     s.range(64).select(F.col("id").cast("int").alias("col_id"), F.lit(1.0).alias("w")).write.bucketBy(8, "col_id").saveAsTable(f"{name}_w")
     j = s.table(name).join(s.table(f"{name}_w").hint("merge"), "col_id")
-    return j.groupBy(F.col("col_id").cast("bigint").alias("col")).agg(F.sum(F.col("v") * F.col("w")).alias("s"))
+    return j.groupBy("col_id").agg(F.sum(F.col("v") * F.col("w")).alias("s")).select(F.col("col_id").cast("bigint").alias("col"), "s")
 
 
 @q("SELECT CAST(month(l_shipdate) AS INTEGER) AS m, count(*) AS n, sum(l_quantity) + 0.0 AS qty FROM lineitem WHERE year(l_shipdate) = 1996 AND l_discount > 0.05 GROUP BY 1")
