@@ -138,21 +138,3 @@ def test_near_dedup_catches_copies_and_keeps_others(spark, sf):
     assert not [i for i in ids if i not in linked and i not in kept]
     missed = [p for p in pairs if p[0] in kept and p[1] in kept]
     assert len(missed) <= 0.02 * len(pairs), (missed, len(pairs))
-
-
-def test_settle_loses_no_link_of_a_crowded_bucket(spark):
-    import random
-
-    rnd = random.Random(5)
-    rows = [(0, v, -1, i, i, [0]) for i in range(160) for v in ({i % 2, 2} if i < 150 else {3})]
-    ring = {tuple(sorted((i, rnd.randrange(150)))) for i in range(150) for _ in range(rnd.randrange(2))}
-    known = spark.createDataFrame([p for p in ring if p[0] != p[1]], "a bigint, b bigint")
-    df = spark.createDataFrame(rows, "band int, v bigint, w bigint, rep bigint, side bigint, f array<bigint>")
-    found = simhash_neardup.settle(df, lambda pairs: pairs.join(known, ["a", "b"]))
-    up = list(range(160))
-    for a, b in sorted(ring):
-        x, y = sorted((up[a], up[b]))
-        up = [x if u == y else u for u in up]
-    linked = {r.node: r.component for r in found.collect()}
-    assert [linked.get(i, i) for i in range(160)] == up
-    assert simhash_neardup.settle(df.limit(0), lambda pairs: pairs) is None
