@@ -138,3 +138,57 @@ def test_near_dedup_catches_copies_and_keeps_others(spark, sf):
     assert not [i for i in ids if i not in linked and i not in kept]
     missed = [p for p in pairs if p[0] in kept and p[1] in kept]
     assert len(missed) <= 0.02 * len(pairs), (missed, len(pairs))
+
+
+def test_settle_loses_no_link_of_a_crowded_bucket(spark):
+    import random
+
+    rnd = random.Random(5)
+    rows = [(0, v, -1, i, i, 1, [0] * 8) for i in range(160) for v in ({i % 2, 2} if i < 150 else {3})]
+    ring = {tuple(sorted((i, rnd.randrange(150)))) for i in range(150) for _ in range(rnd.randrange(2))}
+    known = spark.createDataFrame([p for p in ring if p[0] != p[1]], "a bigint, b bigint")
+    df = spark.createDataFrame(rows, "band int, v bigint, w bigint, rep bigint, side bigint, m int, o array<bigint>")
+    found = simhash_neardup.settle(df, lambda pairs: pairs.join(known, ["a", "b"]), 0.8)
+    up = list(range(160))
+    for a, b in sorted(ring):
+        x, y = sorted((up[a], up[b]))
+        up = [x if u == y else u for u in up]
+    linked = {r.node: r.component for r in found.collect()}
+    assert [linked.get(i, i) for i in range(160)] == up
+    assert simhash_neardup.settle(df.limit(0), lambda pairs: pairs, 0.8) is None
+
+
+def test_links_between_members_that_do_not_lead(spark):
+    # 400 texts at one fingerprint; only the last two are alike
+    text = lambda i: " ".join(f"w{i}x{j}" for j in range(100))
+    rows = [(i, text(i)) for i in range(399)] + [(399, text(398) + " more")]
+    df = spark.createDataFrame(rows, SCHEMA)
+    same = simhash_neardup.wide_fingerprints
+    simhash_neardup.wide_fingerprints = lambda *a: same(*a).withColumn("f", F.array(*[F.lit(5).cast("long")] * 4))
+    try:
+        kept = {r.doc_id for r in simhash_neardup.near_dedup(df).collect()}
+    finally:
+        simhash_neardup.wide_fingerprints = same
+    assert kept == set(range(399))
+
+
+def test_sketch_bound_keeps_all_like_sets(spark):
+    import random
+
+    rnd = random.Random(7)
+    rows = []
+    for i in range(60):
+        w = [str(rnd.random()) for _ in range(rnd.randrange(20, 600))]
+        rows += [(2 * i, " ".join(w)), (2 * i + 1, " ".join(w[: int(len(w) * rnd.uniform(0.6, 1))] + ["end"]))]
+    sketches = {r.doc_id: r for r in simhash_neardup.wide_fingerprints(spark.createDataFrame(rows, SCHEMA), "doc_id", "text", 5).collect()}
+    texts, like, passed = dict(rows), 0, 0
+    for i in range(60):
+        sets = [set(simhash_neardup.shingle_hashes(simhash_neardup.words(texts[2 * i + k]), 5)) for k in (0, 1)]
+        x, y = sketches[2 * i], sketches[2 * i + 1]
+        assert (x.m, y.m) == tuple(map(len, sets))
+        apart = sum((a % 2**64 ^ b % 2**64).bit_count() for a, b in zip(x.o, y.o))
+        assert apart <= len(sets[0] ^ sets[1])
+        like += len(sets[0] & sets[1]) >= 0.8 * len(sets[0] | sets[1])
+    df = spark.createDataFrame(list(sketches.values()))
+    met = df.join(df.select(F.struct("doc_id", "m", "o").alias("l")), F.expr("doc_id + 1 = l.doc_id and doc_id % 2 = 0 and " + simhash_neardup.may_be_like(0.8)))
+    assert 10 < like <= met.count() < 60

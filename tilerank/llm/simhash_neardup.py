@@ -18,7 +18,7 @@ gives an empty result; columns other than the id and the text are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,8 +32,10 @@ LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 #: Bit positions 1..31 whose number has bit k set, as a mask over bits 0..30.
 PARITY = [sum(1 << (i - 1) for i in range(1, 32) if i >> k & 1) for k in range(5)]
 HALF = 0x7FFFFFFF
-#: Members of one band value that all its other members are compared with, at most.
-LEADERS = 24
+#: Columns of a bucket of near-copy candidates.
+BUCKET = ["band", "v", "w"]
+#: 64-bit words of a parity sketch.
+SKETCH = 8
 
 
 def words(text: str | None) -> list[bytes]:
@@ -130,7 +132,11 @@ def simhash_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 
 def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFrame:
-    """-> ``id_col``, ``key`` (128-bit digest of the lowered words), ``f`` (four SimHashes of the words).
+    """-> ``id_col``, ``key`` (128-bit digest of the lowered words), ``f`` (four SimHashes of the words), ``m``, ``o``.
+
+    ``m`` is the number of distinct shingles and ``o`` has a bit for each of 64 * SKETCH hash classes: whether
+    the class holds an odd number of them. Each shingle that only one of two texts has flips one bit, so
+    sketches differ in no more bits than the sets differ in shingles.
 
     The votes are cast by the distinct words of five and more bytes (all words if there are none): an
     edit of one word then moves one vote, not ``shingle`` of them, and frequent short words don't
@@ -140,52 +146,93 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int)
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh3_128_digest
         for batch in batches:
-            keys, rows = [], []
+            keys, rows, sizes, odd = [], [], [], []
             for t in batch.column(1):
                 w = words(t.as_py())
+                g = np.unique(np.array(shingle_hashes(w, shingle), np.uint64))
+                sizes.append(len(g))
+                parity = np.bincount((g % np.uint64(64 * SKETCH)).astype(np.int64), minlength=64 * SKETCH) & 1
+                odd.append(np.packbits(parity.astype(np.uint8)).view("<i8").tolist())
                 keys.append(digest(b" ".join(w)))
                 distinct = set(w)
                 terms = [x for x in distinct if len(x) > 4] or list(distinct)
                 raw = b"".join([digest(x, 42) + digest(x, 43) for x in terms])
                 rows.append(majority(np.frombuffer(raw, "<u8").reshape(-1, 4)).view(np.int64).tolist())
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(keys, pa.binary()), pa.array(rows, pa.list_(pa.int64()))], names=[id_col, "key", "f"]
+                [batch.column(0), pa.array(keys, pa.binary()), pa.array(rows, pa.list_(pa.int64())), pa.array(sizes, pa.int32()), pa.array(odd, pa.list_(pa.int64()))],
+                names=[id_col, "key", "f", "m", "o"],
             )
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, key binary, f array<bigint>")
+    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, key binary, f array<bigint>, m int, o array<bigint>")
 
 
-def candidates(nodes: DataFrame) -> DataFrame:
-    """``rep``, ``f`` -> ``a`` < ``b``: pairs one of whose eight 31-bit bands differs in one bit at most.
+def buckets_of(nodes: DataFrame) -> DataFrame:
+    """``rep``, ``f``, ``m``, ``o`` -> members of band values that several share, and of pairs of values one bit apart.
 
-    Members of one band value are compared with LEADERS of them (the smallest of each of so many
-    hash classes), and values within one bit through their first leader, so a crowded value costs rows in
-    proportion to its members.
+    Rows are ``band``, ``v``, ``w`` (the bucket; ``w`` is -1 or the neighbouring value), ``rep``, ``side``
+    (only members of different sides are to be compared), ``m`` and ``o``. Neighbours are found at anchors.
     """
-    bands = nodes.select(
-        "rep",
-        F.explode(
-            F.expr(f"flatten(transform(f, (v, i) -> array(struct(2 * i as band, v & {HALF}L as v), struct(2 * i + 1 as band, shiftrightunsigned(v, 32) & {HALF}L as v))))")
-        ).alias("h"),
-    ).select("rep", "h.band", "h.v")
-    salt = F.expr(f"pmod(xxhash64(rep, band), {LEADERS})")
-    led = bands.groupBy("band", "v", salt.alias("salt")).agg(F.min("rep").alias("leader"), F.count("*").alias("n"))
-    values = materialize(
-        led.groupBy("band", "v").agg(F.sum("n").alias("n"), F.min_by("leader", "salt").alias("first"), F.collect_list("leader").alias("leaders")),
-        "bands",
-    )
-    shared = values.where("n > 1").select("band", "v", F.explode("leaders").alias("leader"))
-    within = bands.join(shared, ["band", "v"]).where("rep <> leader").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b"))
-    points = values.select("band", "v", "first")
-    home = with_anchors(points, "v", True).select("band", "anchor", F.col("first").alias("x"), F.col("v").alias("vx"))
-    visit = with_anchors(points, "v", False).select("band", "anchor", F.col("first").alias("y"), F.col("v").alias("vy"))
-    across = (
-        home.join(visit, ["band", "anchor"])
-        .where("vx < vy and bit_count(vx ^ vy) <= 1 and x <> y")
-        .select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    )
-    return within.union(across).distinct()
+    halves = f"array(struct(2 * i as band, v & {HALF}L as v), struct(2 * i + 1 as band, shiftrightunsigned(v, 32) & {HALF}L as v))"
+    bands = nodes.select("rep", F.explode(F.expr(f"flatten(transform(f, (v, i) -> {halves}))")).alias("h"))
+    bands = materialize(bands.select("rep", "h.band", "h.v"), "bands")
+    values = materialize(bands.groupBy("band", "v").agg(F.count("*").alias("n")), "bands")
+    shared = values.where("n > 1").select("band", "v", F.lit(-1).cast("long").alias("w"))
+    points = values.select("band", "v")
+    home = with_anchors(points, "v", True).select("band", "anchor", "v")
+    visit = with_anchors(points, "v", False).select("band", "anchor", F.col("v").alias("w"))
+    near = materialize(home.join(visit, ["band", "anchor"]).where("v < w and bit_count(v ^ w) <= 1").select("band", "v", "w").distinct(), "bands")
+    within = bands.join(shared, ["band", "v"]).withColumn("side", F.col("rep"))
+    lower = bands.join(near, ["band", "v"]).withColumn("side", F.lit(0).cast("long"))
+    upper = bands.withColumnRenamed("v", "w").join(near, ["band", "w"]).withColumn("side", F.lit(1).cast("long"))
+    rows = [x.select(*BUCKET, "rep", "side") for x in (within, lower, upper)]
+    return materialize(rows[0].union(rows[1]).union(rows[2]).join(nodes.select("rep", "m", "o"), "rep"), "buckets")
+
+
+def may_be_like(least: float) -> str:
+    """Condition on ``m``, ``o`` and ``l.m``, ``l.o`` that holds for all sets whose Jaccard similarity is at least ``least``.
+
+    Such sets of p and q shingles differ in at most (p + q) (1 - least) / (1 + least) of them, so their sketches do.
+    """
+    apart = " + ".join(f"bit_count(o[{i}] ^ l.o[{i}])" for i in range(SKETCH))
+    return f"abs(m - l.m) <= (m + l.m) * {(1 - least) / (1 + least)!r}D + 1e-6D and {apart} <= (m + l.m) * {(1 - least) / (1 + least)!r}D + 1e-6D"
+
+
+def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, leaders: int = 2) -> DataFrame | None:
+    """Components (``node``, ``component``) of all pairs that meet in a bucket and that ``confirm`` keeps.
+
+    In each round members outside a bucket's largest component lead: ``leaders`` of them (sixteen times as
+    many in each further round) are compared with the members of other components. A bucket is settled
+    once it is one component, or all outside the largest have led. Of two members in different components one has led
+    then, so no link is lost. Rows are made for pairs that pass ``may_be_like`` only; in a bucket whose
+    members stay apart the comparisons themselves still grow with the square of its size.
+    None if there is no link at all.
+    """
+    labels = led = tried = None
+    while True:
+        c = buckets.withColumn("c", F.col("rep")) if labels is None else buckets.join(small(labels.toDF("rep", "of"), 32), "rep", "left").select(buckets["*"], F.coalesce("of", "rep").alias("c"))
+        parts = c.groupBy(*BUCKET, "c").agg(F.count("*").alias("n"))
+        unsettled = parts.groupBy(*BUCKET).agg(F.max_by("c", F.struct("n", "c")).alias("main"), F.count("*").alias("n")).where("n > 1").drop("n")
+        seen = materialize(c.join(small(materialize(unsettled, "open"), 40), BUCKET), "members")
+        fresh = seen.where("c <> main")
+        if led is not None:
+            fresh = fresh.join(led, [*BUCKET, "rep"], "left_anti")
+        chosen = fresh.groupBy(*BUCKET, F.pmod(F.xxhash64("rep"), F.lit(leaders)).alias("salt")).agg(F.min(F.struct("rep", "side", "c", "m", "o")).alias("l"))
+        chosen = materialize(chosen.select(*BUCKET, "l"), "leaders")
+        if chosen.isEmpty():
+            return labels
+        now = chosen.select(*BUCKET, "l.rep")
+        led = now if led is None else led.union(now)
+        met = small(chosen, 192).join(seen, BUCKET).where((F.col("c") != F.col("l.c")) & (F.col("side") != F.col("l.side")) & F.expr(may_be_like(least)))
+        pairs = met.select(F.least("rep", "l.rep").alias("a"), F.greatest("rep", "l.rep").alias("b")).distinct()
+        if tried is not None:
+            pairs = pairs.join(tried, ["a", "b"], "left_anti")
+        pairs = materialize(pairs, "pairs")
+        tried = pairs if tried is None else tried.union(pairs)
+        links = materialize(confirm(pairs), "confirmed")
+        if not links.isEmpty():
+            labels = materialize(components(links if labels is None else links.union(labels.toDF("a", "b"))), "components")
+        buckets, leaders = seen.drop("c", "main"), 16 * leaders
 
 
 def shingle_sets(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFrame:
@@ -218,22 +265,27 @@ def jaccard_at_least(pairs: DataFrame, least: float) -> DataFrame:
 def near_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, least: float = 0.8) -> DataFrame:
     """One document of each group of near copies: the one with the smallest id stays.
 
-    Texts of equal lowered words are copies. Other links: wide SimHashes that meet at an anchor in
+    Texts of equal lowered words are copies. Other links: wide SimHashes that differ in at most one bit of
     one of eight bands, confirmed by the exact Jaccard similarity of ``shingle``-word sets, at
     least ``least``. Columns pass unchanged. Rows with a null id stay; of repeated rows of one id one stays.
     """
     fps = materialize(wide_fingerprints(docs, id_col, text_col, shingle).where(F.col(id_col).isNotNull()), "wide")
-    nodes = materialize(fps.groupBy("key").agg(F.min(id_col).alias("rep"), F.min_by("f", id_col).alias("f")), "wide")
-    pairs = materialize(candidates(nodes), "pairs")
-    wanted = materialize(pairs.select(F.col("a").alias(id_col)).union(pairs.select(F.col("b").alias(id_col))).distinct(), "pairs")
+    nodes = fps.groupBy("key").agg(F.min(id_col).alias("rep"), F.min_by(F.struct("f", "m", "o"), id_col).alias("x"))
+    nodes = materialize(nodes.select("key", "rep", "x.f", "x.m", "x.o"), "wide")
+    buckets = buckets_of(nodes)
+    wanted = materialize(buckets.select(F.col("rep").alias(id_col)).distinct(), "met")
     picked = docs.join(small(wanted, 16), id_col, "left_semi")
     sets = materialize(shingle_sets(picked, id_col, text_col, shingle).dropDuplicates([id_col]), "shingles")
-    both = pairs.join(sets.toDF("a", "ga"), "a").join(sets.toDF("b", "gb"), "b")
-    linked = components(jaccard_at_least(both, least))
+
+    def confirm(pairs: DataFrame) -> DataFrame:
+        return jaccard_at_least(pairs.join(sets.toDF("a", "ga"), "a").join(sets.toDF("b", "gb"), "b"), least)
+
+    linked = settle(buckets, confirm, least)
     # ids that leave: copies of a text but the first, and representatives linked to a smaller one
-    lost = linked.where("node <> component").select(F.col("node").alias(id_col))
-    copies = fps.join(nodes.select("key", "rep"), "key").where(F.col(id_col) != F.col("rep")).select(id_col)
-    out = materialize(lost.union(copies).distinct(), "lost")
+    lost = fps.join(nodes.select("key", "rep"), "key").where(F.col(id_col) != F.col("rep")).select(id_col)
+    if linked is not None:
+        lost = lost.union(linked.where("node <> component").select("node"))
+    out = materialize(lost.distinct(), "lost")
     kept = docs.join(small(out, 16), id_col, "left_anti").select(*docs.columns)
     again = fps.groupBy(id_col).count().where("count > 1").select(id_col)
     if not again.isEmpty():
