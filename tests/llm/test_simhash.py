@@ -192,3 +192,10 @@ def test_sketch_bound_keeps_all_like_sets(spark):
     df = spark.createDataFrame(list(sketches.values()))
     met = df.join(df.select(F.struct("doc_id", "m", "o").alias("l")), F.expr("doc_id + 1 = l.doc_id and doc_id % 2 = 0 and " + simhash_neardup.may_be_like(0.8)))
     assert 10 < like <= met.count() < 60
+
+
+def test_near_copies_have_twelve_bands(spark):
+    text = " ".join(f"word{i}" for i in range(80))
+    row = simhash_neardup.wide_fingerprints(spark.createDataFrame([(1, text)], SCHEMA), "doc_id", "text", 5).first()
+    halves = {(i, v >> s & simhash_neardup.HALF) for i, v in enumerate(row.f) for s in (0, 32)}
+    assert len(row.f) == len(set(row.f)) == 6 and len({v for _, v in halves}) == 12

@@ -132,7 +132,7 @@ def simhash_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 
 def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFrame:
-    """-> ``id_col``, ``key`` (128-bit digest of the lowered words), ``f`` (four SimHashes of the words), ``m``, ``o``.
+    """-> ``id_col``, ``key`` (128-bit digest of the lowered words), ``f`` (six SimHashes of the words), ``m``, ``o``.
 
     ``m`` is the number of distinct shingles and ``o`` has a bit for each of 64 * SKETCH hash classes: whether
     the class holds an odd number of them. Each shingle that only one of two texts has flips one bit, so
@@ -156,8 +156,8 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int)
                 keys.append(digest(b" ".join(w)))
                 distinct = set(w)
                 terms = [x for x in distinct if len(x) > 4] or list(distinct)
-                raw = b"".join([digest(x, 42) + digest(x, 43) for x in terms])
-                rows.append(majority(np.frombuffer(raw, "<u8").reshape(-1, 4)).view(np.int64).tolist())
+                raw = b"".join([digest(x, 42) + digest(x, 43) + digest(x, 44) for x in terms])
+                rows.append(majority(np.frombuffer(raw, "<u8").reshape(-1, 6)).view(np.int64).tolist())
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array(keys, pa.binary()), pa.array(rows, pa.list_(pa.int64())), pa.array(sizes, pa.int32()), pa.array(odd, pa.list_(pa.int64()))],
                 names=[id_col, "key", "f", "m", "o"],
@@ -266,7 +266,7 @@ def near_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """One document of each group of near copies: the one with the smallest id stays.
 
     Texts of equal lowered words are copies. Other links: wide SimHashes that differ in at most one bit of
-    one of eight bands, confirmed by the exact Jaccard similarity of ``shingle``-word sets, at
+    one of twelve bands, confirmed by the exact Jaccard similarity of ``shingle``-word sets, at
     least ``least``. Columns pass unchanged. Rows with a null id stay; of repeated rows of one id one stays.
     """
     fps = materialize(wide_fingerprints(docs, id_col, text_col, shingle).where(F.col(id_col).isNotNull()), "wide")
