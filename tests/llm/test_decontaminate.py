@@ -89,3 +89,57 @@ def test_query_finds_all_whole_passages(spark, sf):
     assert len(got) == docs.count()
     for r in docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).collect():
         assert {i for i, t in bench if t in r.text} <= got[r.doc_id]
+
+
+def test_any_part_of_an_item_counts():
+    rnd = random.Random(11)
+    prose = lambda n: " ".join("".join(rnd.choice("abcdefghijklmno") for _ in range(rnd.randrange(2, 9))) for _ in range(n))
+    for size in (125, 180, 181, 300, 700):
+        item = D.normal(prose(200), TABLE)[:size]
+        item[[0, -1]] = ord("q")
+        s = "".join(map(chr, item))
+        finder = D.Finder(D.ItemIndex([(1, s)]))
+        whole = [x for x in range(size - 119) if s[x] != " " != s[x + 119]]
+        for lo in {whole[0], whole[-1], whole[len(whole) // 2], whole[len(whole) // 3], min(whole, key=lambda x: abs(x - 50))}:
+            cut = s[lo : lo + 120]
+            assert finder.of(f"{prose(30)} {cut} {prose(30)}") == {1}, (size, lo)
+            changed = list(cut)
+            for j in rnd.sample(range(120), 6):
+                changed[j] = "z" if j % 2 else ""
+            text = f"{prose(30)} {''.join(changed)} {prose(30)}"
+            assert (finder.of(text) == {1}) == bool(brute_all(text, s)), (size, lo)
+        assert finder.of(f"{prose(30)} {s[:90]} {prose(30)}") == set()
+
+
+def brute_all(text, s):
+    """Whether a part of WINDOW characters at any offset, or a short item as a whole, is in the text within its budget."""
+    t, a = D.normal(text, TABLE), D.normal(s, TABLE)
+    for n in {min(len(a), D.WINDOW), len(a) if len(a) <= 180 else D.WINDOW}:
+        los = np.arange(len(a) - n + 1)
+        row = np.zeros((len(los), len(t) + 1), np.int64)
+        steps = np.arange(len(t) + 1)
+        for i in range(n):
+            diagonal = row[:, :-1] + (t[None, :] != a[los + i][:, None])
+            new = np.concatenate([row[:, :1] + 1, np.minimum(diagonal, row[:, 1:] + 1)], 1)
+            row = np.minimum.accumulate(new - steps, 1) + steps
+        if (row.min(1) <= D.budget(n)).any():
+            return True
+    return False
+
+
+def test_finder_equals_alignment_at_all_offsets():
+    rnd = random.Random(6)
+    word = lambda: "".join(rnd.choice(["th", "er", "on", "an", "é", "ti"]) for _ in range(rnd.randrange(1, 5)))
+    prose = lambda n: " ".join(word() for _ in range(n))
+    items = [(i, prose(n)) for i, n in enumerate([8, 14, 25, 40, 60])]
+    finder = D.Finder(D.ItemIndex(items))
+    hits = 0
+    for trial in range(60):
+        s = items[trial % 5][1]
+        lo = rnd.randrange(len(s) // 2)
+        part = s[lo : lo + rnd.randrange(100, 200)]
+        text = prose(10) + " " + noisy(rnd, part, rnd.randrange(12)) + " " + prose(10)
+        want = {i for i, t in items if brute_all(text, t)}
+        assert finder.of(text) == want, (trial, text)
+        hits += bool(want)
+    assert 10 < hits < 60

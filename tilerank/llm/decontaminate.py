@@ -1,14 +1,15 @@
 """Benchmark decontamination by the q-gram lemma over diagonal bands, confirmed by banded alignment.
 
-Texts are compared in lower case with each run of other than letters and digits as one space. An item is
-covered by windows of WINDOW characters (short items are one window); a document is contaminated if a
-part of it is within EDITS of a window's length in edits. Three exact steps, each cheaper than
+Texts are compared in lower case with each run of other than letters and digits as one space. The windows
+of an item are all its parts of WINDOW characters (and the whole item up to WHOLE characters); a document is contaminated
+if a part of it is within EDITS of a window's length in edits. Three exact steps, each cheaper than
 the next per candidate:
 
 1. k edits leave an untouched run of at least (m - k) / (k + 1) characters, SEED or more by the choice of
    k, so only places that share a SEED-gram with an item are looked at (hash table, whole text);
 2. a window of m characters within k edits shares at least m + 1 - q (k + 1) q-grams with the text in a band
-   of k diagonals to either side (bands overlap: one is laid around each seed's own diagonal);
+   of k diagonals to either side (bands overlap: one is laid around each seed's own diagonal), counted
+   for all windows on the diagonal by one running sum;
 3. alignment in that band must stay within k.
 
 Items travel to the executors in blocks of bounded size, however many there are; documents are never shuffled.
@@ -27,7 +28,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-SEED, Q, WINDOW, STRIDE, EDITS, MIN_CHARS = 15, 8, 120, 60, 0.05, 25
+SEED, Q, WINDOW, WHOLE, EDITS, MIN_CHARS = 15, 8, 120, 180, 0.05, 25
+#: Windows aligned at once.
+BATCH = 1024
 #: Characters of text worked on at once, and characters of items sent at once.
 PIECE, ITEM_BLOCK = 1 << 19, 8 << 20
 BASE, SCATTER = np.uint64(0x9E3779B97F4A7C15 | 1), np.uint64(0xD6E8FEB86659FD93)
@@ -82,11 +85,13 @@ def budget(m: int) -> int:
     return max(0, min(int(EDITS * m), (m - SEED) // (SEED + 1)))
 
 
+def lengths(m: int) -> list[int]:
+    """Window lengths of an item of m characters."""
+    return [m] if m <= WINDOW else [WINDOW, m] if m <= WHOLE else [WINDOW]
+
+
 def windows(m: int) -> list[tuple[int, int]]:
-    if m <= WINDOW + STRIDE:
-        return [(0, m)]
-    starts = list(range(0, m - WINDOW, STRIDE))
-    return [(s, s + WINDOW) for s in [*starts, m - WINDOW]]
+    return [(lo, lo + n) for n in lengths(m) for lo in range(m - n + 1)]
 
 
 class ItemIndex:
@@ -112,32 +117,42 @@ class ItemIndex:
         self.at = np.concatenate(at)[order] if at else np.empty(0, np.int32)
 
 
-def band_grams(w: np.ndarray, r: np.ndarray, shift: int, k: int) -> int:
-    """q-grams of the window that the region has within k diagonals of ``shift``."""
-    a, b = grams(w, Q), grams(r, Q)
-    if not len(a) or not len(b):
-        return 0
-    same = a[:, None] == b[None, :]
-    d = np.arange(len(b))[None, :] - np.arange(len(a))[:, None] - shift
-    return int((same & (abs(d) <= k)).any(1).sum())
+def part(a: np.ndarray, lo: int, hi: int, fill: int) -> np.ndarray:
+    """a[lo:hi], where places outside of ``a`` hold ``fill``."""
+    out = np.full(max(0, hi - lo), fill, a.dtype)
+    x, y = max(lo, 0), min(hi, len(a))
+    if x < y:
+        out[x - lo : y - lo] = a[x:y]
+    return out
+
 
+def band_grams(item: np.ndarray, a: np.ndarray, lo: int, hi: int, d: int, k: int) -> np.ndarray:
+    """For each q-gram of item[lo:hi]: whether the text has it within k diagonals of ``d`` (place in text less place in item)."""
+    g = grams(item[lo:hi], Q)
+    start = max(0, lo + d - k)
+    there = grams(a[start : max(start, hi + d + k)], Q)
+    if not len(g) or not len(there):
+        return np.zeros(len(g), bool)
+    # a place without a gram holds 0, which can only let more windows pass
+    there = part(there, lo + d - k - start, lo + d + k - start + len(g), 0)
+    return (np.lib.stride_tricks.sliding_window_view(there, 2 * k + 1) == g[:, None]).any(1)
 
-def band_distance(w: np.ndarray, r: np.ndarray, shift: int, k: int) -> int:
-    """Least edits between the window and a part of the region, along diagonals shift - k to shift + k; k + 1 if more."""
-    width = 2 * k + 1
+
+def band_distances(item: np.ndarray, a: np.ndarray, los: np.ndarray, n: int, d: int, k: int) -> np.ndarray:
+    """Least edits between each window item[lo:lo + n] and a part of the text, along diagonals d - k to d + k."""
+    width, far = 2 * k + 1, 1 << 20
     steps = np.arange(width)
-    far = 1 << 20
-    padded = np.concatenate([np.full(k + len(w) + abs(shift) + width, 0xFFFFFFFF, np.uint32), r, np.full(k + len(w) + width, 0xFFFFFFFF, np.uint32)])
-    origin = k + len(w) + abs(shift) + width
-    row = np.where((steps + shift - k >= 0) & (steps + shift - k <= len(r)), 0, far)
-    for i in range(len(w)):
-        lo = origin + i + shift - k
-        up = np.append(row[1:], far) + 1
-        new = np.minimum(row + (padded[lo : lo + width] != w[i]), up)
-        row = np.minimum.accumulate(new - steps) + steps
-        if row.min() > k:
-            return k + 1
-    return int(row.min())
+    first = int(los.min()) + d - k
+    text = part(a, first, int(los.max()) + d + k + n + 1, 0xFFFFFFFF)
+    at = los[:, None] + d - k + steps
+    row = np.where((at >= 0) & (at <= len(a)), 0, far)
+    at -= first
+    end = np.full((len(los), 1), far)
+    for i in range(n):
+        up = np.concatenate([row[:, 1:], end], 1) + 1
+        new = np.minimum(row + (text[at + i] != item[los + i][:, None]), up)
+        row = np.minimum.accumulate(new - steps, 1) + steps
+    return row.min(1)
 
 
 class Finder:
@@ -151,23 +166,23 @@ class Finder:
     def confirm(self, a: np.ndarray, item: int, p: np.ndarray, o: np.ndarray) -> bool:
         """Seed hits of one item at places p of the text and o of the item."""
         text = self.x.texts[item]
-        tried = set()
-        for lo, hi in windows(len(text)):
-            k = budget(hi - lo)
-            inside = (o >= lo) & (o + SEED <= hi)
-            for d in np.unique(p[inside] - o[inside]).tolist():
-                if (lo, d) in tried:
-                    continue
-                tried.add((lo, d))
-                w = text[lo:hi]
-                start = max(0, d + lo - k)
-                r = a[start : max(0, d + hi + k)]
-                shift = d + lo - start
-                if np.array_equal(w, a[max(0, d + lo) : max(0, d + hi)]):
-                    return True
-                least = hi - lo + 1 - Q * (k + 1)
-                if band_grams(w, r, shift, k) >= least and band_distance(w, r, shift, k) <= k:
+        m = len(text)
+        for n in lengths(m):
+            k = budget(n)
+            least = n + 1 - Q * (k + 1)
+            for d in np.unique(p - o).tolist():
+                seeds = o[p - o == d]
+                # windows that hold a seed of this diagonal
+                lo, hi = max(0, int(seeds.min()) + SEED - n), min(m, int(seeds.max()) + n)
+                same = np.concatenate(([0], np.cumsum(text[lo:hi] == part(a, lo + d, hi + d, 0xFFFFFFFF))))
+                if (same[n:] - same[:-n] == n).any():
                     return True
+                found = np.concatenate(([0], np.cumsum(band_grams(text, a, lo, hi, d, k))))
+                run = n - Q + 1
+                los = lo + np.flatnonzero(found[run:] - found[:-run] >= least)
+                for i in range(0, len(los), BATCH):
+                    if (band_distances(text, a, los[i : i + BATCH], n, d, k) <= k).any():
+                        return True
         return False
 
     def items(self, a: np.ndarray) -> set[int]:
@@ -194,7 +209,7 @@ class Finder:
         a = normal(text, self.table)
         if len(a) <= PIECE:
             return self.items(a)
-        over = 2 * (WINDOW + STRIDE)
+        over = 2 * WHOLE
         return set().union(*(self.items(a[i : i + PIECE + over]) for i in range(0, len(a), PIECE)))
 
 
