@@ -79,3 +79,11 @@ def test_query(spark, sf):
     total = sum(r.tokens for r in rows)
     assert abs(sum(r.rate * r.tokens * r.p_sound for r in rows) / total - 0.85) < 0.01
     assert all(abs(r.p_sound + r.p_junk + r.p_toxic - 1) < 1e-9 for r in rows)
+
+
+def test_a_rare_domain_reaches_its_target(spark):
+    rows = [(i, 10, [1.0, 0.0]) for i in range(300)] + [(300, 10, [0.0, 1.0])]
+    weights = spark.createDataFrame(rows, "doc_id bigint, tokens bigint, posterior array<double>")
+    rate, report = mixing.fit_rates(weights, [0.9, 0.1])
+    got = {r.doc_id: r.r for r in weights.select("doc_id", rate.alias("r")).collect()}
+    assert abs(got[300] - 30.1) < 1e-3 and report[-1]["miss"] < 1e-4, report[-1]

@@ -28,7 +28,9 @@ from pyspark.sql import functions as F
 
 from .common import materialize, small, text_of
 
-BUCKETS, MAX_TRAIN, STEPS, MOST_RATE = 1 << 12, 4000, 40, 8
+BUCKETS, MAX_TRAIN, STEPS = 1 << 12, 4000, 40
+#: Rates have no upper bound: a rare domain needs as many uses as its target asks for.
+MOST_RATE = float("inf")
 WORDS = "[ \\t\\n\\x0B\\f\\r]+"
 
 
@@ -84,7 +86,7 @@ def posteriors(docs: DataFrame, text_col: str, prior: np.ndarray, like: np.ndarr
 
 
 def fold_rate(a: list[Column], steps: list[np.ndarray]) -> Column:
-    """Rate after the steps so far: r <- max(0, r - a.g), capped by MOST_RATE."""
+    """Rate after the steps so far: r <- max(0, r - a.g), at most MOST_RATE."""
     if not steps:
         return F.lit(1.0)
     gs = F.array(*[F.array(*[F.lit(float(x)) for x in g]) for g in steps])
