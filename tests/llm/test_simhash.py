@@ -100,6 +100,18 @@ def test_edits_against_brute_force(spark, sf, monkeypatch):
     assert simhash_search.fingerprint_edits(df.limit(0)).count() == 0
 
 
+def test_two_levels_of_cuts(spark, monkeypatch):
+    monkeypatch.setattr(simhash_search, "MOST_CUTS", 6)
+    ids = [i * i % 977 for i in range(900)] + [None] * 5
+    df = spark.createDataFrame([(i, f"t{n}") for n, i in enumerate(ids)], SCHEMA)
+    placed = simhash_search.ordered_buckets(df, "doc_id", 10)
+    spans = placed.where("not guest").groupBy("bucket").agg(F.min(F.coalesce("doc_id", F.lit(-1))).alias("lo"), F.max(F.coalesce("doc_id", F.lit(-1))).alias("hi")).orderBy("bucket").collect()
+    assert len(spans) > 20 and all(a.hi < b.lo for a, b in zip(spans, spans[1:])) and [s.bucket for s in spans] == list(range(len(spans)))
+    firsts = {r.bucket: r.lo for r in spans}
+    guests = {r.bucket: r.i for r in placed.where("guest").groupBy("bucket").agg(F.min(F.coalesce("doc_id", F.lit(-1))).alias("i")).collect()}
+    assert guests == {b: firsts[(b + 1) % len(spans)] for b in firsts}
+
+
 def test_small_buckets_give_the_same(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
     placed = simhash_search.ordered_buckets(docs, "doc_id", 7)
@@ -153,9 +165,9 @@ def test_settle_loses_no_link_of_a_crowded_bucket(spark):
     for a, b in sorted(ring):
         x, y = sorted((up[a], up[b]))
         up = [x if u == y else u for u in up]
-    linked = {r.node: r.component for r in found.collect()}
+    linked = {r.node: r.component for r in found.labels.collect()}
     assert [linked.get(i, i) for i in range(160)] == up
-    assert simhash_neardup.settle(df.limit(0), lambda pairs: pairs, 0.8) is None
+    assert simhash_neardup.settle(df.limit(0), lambda pairs: pairs, 0.8).labels is None
 
 
 def test_links_between_members_that_do_not_lead(spark):
@@ -199,3 +211,18 @@ def test_near_copies_have_twelve_bands(spark):
     row = simhash_neardup.wide_fingerprints(spark.createDataFrame([(1, text)], SCHEMA), "doc_id", "text", 5).first()
     halves = {(i, v >> s & simhash_neardup.HALF) for i, v in enumerate(row.f) for s in (0, 32)}
     assert len(row.f) == len(set(row.f)) == 6 and len({v for _, v in halves}) == 12
+
+
+def test_near_dedup_defined_cases(spark):
+    rows = [(1, None), (2, ""), (3, "  \n"), (4, "one"), (5, "ONE"), (5, "one"), (6, "word " * 200_000), (7, "word " * 200_000), (None, "one"), (None, None), (8, "a b c d e f")]
+    df = spark.createDataFrame([(*r, 1, 2, 3) for r in rows], "doc_id bigint, text string, key int, rep int, f int")
+    got = simhash_neardup.near_dedup(df)
+    assert got.columns == df.columns
+    assert Counter(r.doc_id for r in got.collect()) == {1: 1, 4: 1, 6: 1, 8: 1, None: 2}
+    assert simhash_neardup.near_dedup(df.limit(0)).count() == 0
+
+
+def test_hubs_and_chains_have_one_component(spark):
+    edges = [(0, i) for i in range(1, 4000)] + [(10_000 + i, 10_001 + i) for i in range(70)] + [(5, 5), (None, 3), (20_000, 20_001)]
+    got = {r.node: r.component for r in simhash_neardup.components(spark.createDataFrame(edges, "a bigint, b bigint")).collect()}
+    assert got == {i: 0 for i in range(4000)} | {10_000 + i: 10_000 for i in range(71)} | {20_000: 20_000, 20_001: 20_000}

@@ -19,6 +19,7 @@ gives an empty result; columns other than the id and the text are ignored.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, materialize, small
+from .common import components, look_up, materialize, release, small
 
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 #: Bit positions 1..31 whose number has bit k set, as a mask over bits 0..30.
@@ -167,26 +168,48 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int)
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, key binary, f array<bigint>, m int, o array<bigint>")
 
 
-def buckets_of(nodes: DataFrame) -> DataFrame:
-    """``rep``, ``f``, ``m``, ``o`` -> members of band values that several share, and of pairs of values one bit apart.
-
-    Rows are ``band``, ``v``, ``w`` (the bucket; ``w`` is -1 or the neighbouring value), ``rep``, ``side``
-    (only members of different sides are to be compared), ``m`` and ``o``. Neighbours are found at anchors.
-    """
+def band_values(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """``rep``, ``f`` -> (``rep``, ``band``, ``v``), a row for each half of each fingerprint; and (``band``, ``v``, ``n`` members, the least of them ``one``)."""
     halves = f"array(struct(2 * i as band, v & {HALF}L as v), struct(2 * i + 1 as band, shiftrightunsigned(v, 32) & {HALF}L as v))"
     bands = nodes.select("rep", F.explode(F.expr(f"flatten(transform(f, (v, i) -> {halves}))")).alias("h"))
     bands = materialize(bands.select("rep", "h.band", "h.v"), "bands")
-    values = materialize(bands.groupBy("band", "v").agg(F.count("*").alias("n")), "bands")
+    return bands, materialize(bands.groupBy("band", "v").agg(F.count("*").alias("n"), F.min("rep").alias("one")), "values")
+
+
+def same_value_buckets(nodes: DataFrame, bands: DataFrame, values: DataFrame) -> DataFrame:
+    """Members of the band values that several share: ``band``, ``v``, ``w`` = -1, ``rep``, ``side`` (of its own each), ``m``, ``o``."""
     shared = values.where("n > 1").select("band", "v", F.lit(-1).cast("long").alias("w"))
-    points = values.select("band", "v")
-    home = with_anchors(points, "v", True).select("band", "anchor", "v")
-    visit = with_anchors(points, "v", False).select("band", "anchor", F.col("v").alias("w"))
-    near = materialize(home.join(visit, ["band", "anchor"]).where("v < w and bit_count(v ^ w) <= 1").select("band", "v", "w").distinct(), "bands")
-    within = bands.join(shared, ["band", "v"]).withColumn("side", F.col("rep"))
+    rows = bands.join(shared, ["band", "v"]).withColumn("side", F.col("rep")).select(*BUCKET, "rep", "side")
+    return materialize(rows.join(nodes.select("rep", "m", "o"), "rep"), "buckets")
+
+
+def labelled(rows: DataFrame, labels: DataFrame | None, node: str = "rep") -> DataFrame:
+    """Add ``c``, the component of the node: itself if it has no link."""
+    if labels is None:
+        return rows.withColumn("c", F.col(node))
+    return rows.join(small(labels.toDF(node, "of"), 32), node, "left").withColumn("c", F.coalesce("of", node)).drop("of")
+
+
+def near_value_buckets(nodes: DataFrame, bands: DataFrame, values: DataFrame, within: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """Members of pairs of band values ``v`` < ``w`` that are one bit apart and not both of one component alone.
+
+    Rows are as those of ``same_value_buckets``, with side 0 for members of ``v`` and 1 for those of ``w``: only members of different sides
+    are to be compared. Values one bit apart are found at anchors; a value has 31 such neighbours at most. A
+    cluster whose values are neighbours in many ways is one component by then, so its pairs of values make no rows.
+    """
+    alone = labelled(values.where("n = 1").withColumnRenamed("one", "rep"), labels).select("band", "v", F.col("c").alias("lo"), F.col("c").alias("hi"))
+    shared = labelled(within.select("band", "v", "rep"), labels).groupBy("band", "v").agg(F.min("c").alias("lo"), F.max("c").alias("hi"))
+    points = materialize(alone.union(shared), "points")
+    home = with_anchors(points, "v", True)
+    visit = with_anchors(points.toDF("band", "w", "least", "most"), "w", False)
+    near = home.join(visit, ["band", "anchor"]).where("v < w and bit_count(v ^ w) <= 1 and least(lo, least) <> greatest(hi, most)")
+    near = materialize(near.select("band", "v", "w").distinct(), "near")
     lower = bands.join(near, ["band", "v"]).withColumn("side", F.lit(0).cast("long"))
     upper = bands.withColumnRenamed("v", "w").join(near, ["band", "w"]).withColumn("side", F.lit(1).cast("long"))
-    rows = [x.select(*BUCKET, "rep", "side") for x in (within, lower, upper)]
-    return materialize(rows[0].union(rows[1]).union(rows[2]).join(nodes.select("rep", "m", "o"), "rep"), "buckets")
+    rows = [x.select(*BUCKET, "rep", "side") for x in (lower, upper)]
+    out = materialize(rows[0].union(rows[1]).join(nodes.select("rep", "m", "o"), "rep"), "buckets")
+    release(points, near)
+    return out
 
 
 def may_be_like(least: float) -> str:
@@ -198,40 +221,54 @@ def may_be_like(least: float) -> str:
     return f"abs(m - l.m) <= (m + l.m) * {(1 - least) / (1 + least)!r}D + 1e-6D and {apart} <= (m + l.m) * {(1 - least) / (1 + least)!r}D + 1e-6D"
 
 
-def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, leaders: int = 2) -> DataFrame | None:
-    """Components (``node``, ``component``) of all pairs that meet in a bucket and that ``confirm`` keeps.
+@dataclass
+class Known:
+    """What is settled so far: components (``node``, ``component``; None if there is no link), and the pairs compared."""
+
+    labels: DataFrame | None = None
+    tried: list[DataFrame] = field(default_factory=list)
+
+
+def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, known: Known | None = None, leaders: int = 8) -> Known:
+    """Components of all pairs that meet in a bucket and that ``confirm`` keeps, beside what is ``known``.
 
     In each round members outside a bucket's largest component lead: ``leaders`` of them (sixteen times as
     many in each further round) are compared with the members of other components. A bucket is settled
     once it is one component, or all outside the largest have led. Of two members in different components one has led
     then, so no link is lost. Rows are made for pairs that pass ``may_be_like`` only; in a bucket whose
     members stay apart the comparisons themselves still grow with the square of its size.
-    None if there is no link at all.
     """
-    labels = led = tried = None
+    known, led, own = known or Known(), [], None
     while True:
-        c = buckets.withColumn("c", F.col("rep")) if labels is None else buckets.join(small(labels.toDF("rep", "of"), 32), "rep", "left").select(buckets["*"], F.coalesce("of", "rep").alias("c"))
+        c = labelled(buckets, known.labels)
         parts = c.groupBy(*BUCKET, "c").agg(F.count("*").alias("n"))
         unsettled = parts.groupBy(*BUCKET).agg(F.max_by("c", F.struct("n", "c")).alias("main"), F.count("*").alias("n")).where("n > 1").drop("n")
-        seen = materialize(c.join(small(materialize(unsettled, "open"), 40), BUCKET), "members")
+        unsettled = materialize(unsettled, "open")
+        seen = materialize(c.join(small(unsettled, 40), BUCKET), "members")
+        release(unsettled, own)
+        own = seen
         fresh = seen.where("c <> main")
-        if led is not None:
-            fresh = fresh.join(led, [*BUCKET, "rep"], "left_anti")
+        for x in led:
+            fresh = fresh.join(x.select(*BUCKET, "l.rep"), [*BUCKET, "rep"], "left_anti")
         chosen = fresh.groupBy(*BUCKET, F.pmod(F.xxhash64("rep"), F.lit(leaders)).alias("salt")).agg(F.min(F.struct("rep", "side", "c", "m", "o")).alias("l"))
         chosen = materialize(chosen.select(*BUCKET, "l"), "leaders")
+        led.append(chosen)
         if chosen.isEmpty():
-            return labels
-        now = chosen.select(*BUCKET, "l.rep")
-        led = now if led is None else led.union(now)
+            release(seen, *led)
+            return known
         met = small(chosen, 192).join(seen, BUCKET).where((F.col("c") != F.col("l.c")) & (F.col("side") != F.col("l.side")) & F.expr(may_be_like(least)))
         pairs = met.select(F.least("rep", "l.rep").alias("a"), F.greatest("rep", "l.rep").alias("b")).distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
+        for x in known.tried:
+            pairs = pairs.join(x, ["a", "b"], "left_anti")
         pairs = materialize(pairs, "pairs")
-        tried = pairs if tried is None else tried.union(pairs)
-        links = materialize(confirm(pairs), "confirmed")
-        if not links.isEmpty():
-            labels = materialize(components(links if labels is None else links.union(labels.toDF("a", "b"))), "components")
+        known.tried.append(pairs)
+        if not pairs.isEmpty():
+            links = materialize(confirm(pairs), "confirmed")
+            if not links.isEmpty():
+                before = known.labels
+                known.labels = materialize(components(links if before is None else links.union(before.toDF("a", "b"))), "components")
+                release(before)
+            release(links)
         buckets, leaders = seen.drop("c", "main"), 16 * leaders
 
 
@@ -262,32 +299,51 @@ def jaccard_at_least(pairs: DataFrame, least: float) -> DataFrame:
     return pairs.select("a", "b", "ga", "gb").mapInArrow(run, pairs.select("a", "b").schema)
 
 
-def near_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, least: float = 0.8) -> DataFrame:
-    """One document of each group of near copies: the one with the smallest id stays.
+def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, least: float = 0.8) -> tuple[DataFrame, DataFrame]:
+    """-> (``id_col``, ``rep``): a row for each row with an id, and the smallest id of equal lowered words; (``node``, ``component``) of
+    linked representatives, the smallest of them.
 
-    Texts of equal lowered words are copies. Other links: wide SimHashes that differ in at most one bit of
-    one of twelve bands, confirmed by the exact Jaccard similarity of ``shingle``-word sets, at
-    least ``least``. Columns pass unchanged. Rows with a null id stay; of repeated rows of one id one stays.
+    Links: wide SimHashes that agree on one of twelve bands, or differ in one bit of it, confirmed by the exact Jaccard similarity
+    of ``shingle``-word sets, at least ``least``. Equal bands are settled first.
     """
     fps = materialize(wide_fingerprints(docs, id_col, text_col, shingle).where(F.col(id_col).isNotNull()), "wide")
-    nodes = fps.groupBy("key").agg(F.min(id_col).alias("rep"), F.min_by(F.struct("f", "m", "o"), id_col).alias("x"))
-    nodes = materialize(nodes.select("key", "rep", "x.f", "x.m", "x.o"), "wide")
-    buckets = buckets_of(nodes)
-    wanted = materialize(buckets.select(F.col("rep").alias(id_col)).distinct(), "met")
-    picked = docs.join(small(wanted, 16), id_col, "left_semi")
-    sets = materialize(shingle_sets(picked, id_col, text_col, shingle).dropDuplicates([id_col]), "shingles")
+    nodes = fps.groupBy("key").agg(F.min(id_col).alias("rep"), F.min_by(F.struct("f", "m", "o"), id_col).alias("x"), F.count("*").alias("n"))
+    nodes = materialize(nodes.select("key", "rep", "n", "x.f", "x.m", "x.o"), "nodes")
+    bands, values = band_values(nodes)
 
     def confirm(pairs: DataFrame) -> DataFrame:
-        return jaccard_at_least(pairs.join(sets.toDF("a", "ga"), "a").join(sets.toDF("b", "gb"), "b"), least)
+        wanted = materialize(pairs.select(F.col("a").alias(id_col)).union(pairs.select("b")).distinct(), "met")
+        picked = docs.select(id_col, text_col).join(small(wanted, 16), id_col, "left_semi")
+        # repeated rows of an id: the text that stands for it is the one that its fingerprint was taken from
+        sets = materialize(shingle_sets(picked, id_col, text_col, shingle).groupBy(id_col).agg(F.min("g").alias("g")), "shingles")
+        out = materialize(jaccard_at_least(pairs.join(sets.toDF("a", "ga"), "a").join(sets.toDF("b", "gb"), "b"), least), "alike")
+        release(wanted, sets)
+        return out
+
+    within = same_value_buckets(nodes, bands, values)
+    known = settle(within, confirm, least)
+    across = near_value_buckets(nodes, bands, values, within, known.labels)
+    known = settle(across, confirm, least, known)
+    copies = look_up(fps.select(id_col, "key"), nodes.select("key", "rep", "n"), "key", "n", fps.count()).select(id_col, "rep")
+    copies = materialize(copies, "copies")
+    release(fps, nodes, bands, values, within, across, *known.tried)
+    linked = known.labels
+    if linked is None:
+        linked = copies.select(F.col("rep").alias("node"), F.col("rep").alias("component")).limit(0)
+    return copies, linked
 
-    linked = settle(buckets, confirm, least)
+
+def near_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, least: float = 0.8) -> DataFrame:
+    """One document of each class of near copies (``near_classes``): the one with the smallest id stays.
+
+    Columns pass unchanged. Rows with a null id stay; of repeated rows of one id one stays.
+    """
+    copies, linked = near_classes(docs, id_col, text_col, shingle, least)
     # ids that leave: copies of a text but the first, and representatives linked to a smaller one
-    lost = fps.join(nodes.select("key", "rep"), "key").where(F.col(id_col) != F.col("rep")).select(id_col)
-    if linked is not None:
-        lost = lost.union(linked.where("node <> component").select("node"))
+    lost = copies.where(F.col(id_col) != F.col("rep")).select(id_col).union(linked.where("node <> component").select("node"))
     out = materialize(lost.distinct(), "lost")
     kept = docs.join(small(out, 16), id_col, "left_anti").select(*docs.columns)
-    again = fps.groupBy(id_col).count().where("count > 1").select(id_col)
+    again = copies.groupBy(id_col).count().where("count > 1").select(id_col)
     if not again.isEmpty():
         again = small(materialize(again, "again"), 16)
         once = kept.join(again, id_col, "left_anti").select(*docs.columns)
