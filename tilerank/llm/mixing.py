@@ -2,35 +2,46 @@
 
 A classifier learned from a labelled table gives each document a posterior over domains. Nonnegative rates r_d
 (how often a document is to be used) are fitted so that the expected tokens of each domain, the sum of
-r_d * tokens_d * posterior_d, match target shares of the total, by projected-gradient least squares from r = 1.
+r_d * tokens_d * posterior_d, come as near to target shares of the total as can be: least squares over r >= 0 by projected
+gradient steps from r = 1.
 
-With A the documents' token posteriors and G = A'A (a few domains squared, gathered by an aggregate), a step is
-r <- max(0, r - A G^-1 (A'r - t)): the gradient of the squared residual in the metric G^-1, in which the
-unconstrained problem is solved by one step; further steps only mend what the projection cut off. As every step is
-linear in A, a document's rate is a fold over the steps' K-vectors, so a step is one pass over a narrow table of K numbers
-a document; nothing is rewritten and nothing but K sums reaches the driver.
+The gradient of half the squared residual is, per token of a document, the product of its posterior with the K residuals, so all
+steps taken so far sum up to K numbers u, and the projected iterate is r_d = max(0, 1 - posterior_d . u). A step's length and
+direction in those K numbers come from the second derivative over the documents not held at the bound (with a small weight on
+staying near 1, lowered in TIES, which picks one of many optima); several lengths are tried in the same pass and the best one is taken. A step is
+one pass over a narrow table of K numbers a document; nothing is rewritten and only sums over K domains reach the driver.
+
+Targets that no rates can reach (a share beyond every document's posterior) end at the plain least-squares optimum;
+the report's last entry has the remaining miss of each domain, and ``mix`` warns of it. A run that doesn't settle raises an error.
+Rates have no upper bound.
 
 Only DataFrame and SQL functions. The classifier is naive Bayes over hashed words (BUCKETS of them, counts from at most
-MAX_TRAIN labelled documents chosen by hash); posteriors are tempered by the number of words.
+MAX_TRAIN labelled documents chosen by hash); posteriors are tempered by the number of words. At most MAX_DOMAINS domains, as
+their tables of evidence travel in the plan.
 
 Defined cases: null text is empty; an empty text has the class priors as posterior and no tokens, its rate is 1; a
 document with several labels counts for its smallest label; rows whose label or id is null are not learned from;
-repeated rows are documents of their own; without labels there is one domain and all rates are 1.
+repeated rows are documents of their own; without labels, or without any token, all rates are 1; targets that are
+negative or all zero raise an error; columns of any name may stand beside the id and the text.
 """
 
 from __future__ import annotations
 
 import json
+import warnings
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, small, text_of
+from .common import free_name, materialize, small, text_of
 
-BUCKETS, MAX_TRAIN, STEPS = 1 << 12, 4000, 40
-#: Rates have no upper bound: a rare domain needs as many uses as its target asks for.
-MOST_RATE = float("inf")
+BUCKETS, MAX_TRAIN, MAX_DOMAINS = 1 << 12, 4000, 64
+#: Weights of staying near rate 1, one fit after the other; steps at most for each; step lengths tried in a pass; gradient (in
+#: shares of the tokens) at which a fit has settled, and that a fit must reach.
+TIES, STEPS, LENGTHS, SETTLED, ENOUGH = (1e-3, 1e-5, 1e-7), 40, (1.0, 0.5, 0.25, 0.1, 0.03, 0.01, 1e-3, 1e-4), 1e-8, 1e-5
+#: Share of the tokens by which targets may be missed without a warning.
+MISS = 1e-3
 WORDS = "[ \\t\\n\\x0B\\f\\r]+"
 
 
@@ -50,6 +61,8 @@ def learn(docs: DataFrame, labelled: DataFrame, id_col: str, text_col: str, labe
     domains = sorted(totals)
     if not domains:
         return [], np.zeros(0), np.zeros((BUCKETS, 0))
+    if len(domains) > MAX_DOMAINS:
+        raise ValueError(f"{len(domains)} domains; at most {MAX_DOMAINS}")
     share = most / sum(totals.values())
     if share < 1:
         known = known.where(F.pmod(F.xxhash64("id"), F.lit(1_000_000)) < int(share * 1_000_000))
@@ -85,40 +98,67 @@ def posteriors(docs: DataFrame, text_col: str, prior: np.ndarray, like: np.ndarr
     return docs.withColumn("posterior", F.transform("e__", lambda x: x / total)).drop("b__", "l__", "e__")
 
 
-def fold_rate(a: list[Column], steps: list[np.ndarray]) -> Column:
-    """Rate after the steps so far: r <- max(0, r - a.g), at most MOST_RATE."""
-    if not steps:
-        return F.lit(1.0)
-    gs = F.array(*[F.array(*[F.lit(float(x)) for x in g]) for g in steps])
-    dot = lambda g: sum((a[j] * F.get(g, F.lit(j)) for j in range(1, len(a))), a[0] * F.get(g, F.lit(0)))
-    return F.aggregate(gs, F.lit(1.0), lambda r, g: F.least(F.lit(float(MOST_RATE)), F.greatest(F.lit(0.0), r - dot(g))))
+def rate_of(posterior: str, u: np.ndarray) -> Column:
+    """The projected iterate: max(0, 1 - posterior . u); 1 for documents without tokens, which no step moves."""
+    return F.when(F.col("tokens") == 0, 1.0).otherwise(step_of(posterior, u))
+
+
+def step_of(posterior: str, u: np.ndarray) -> Column:
+    return F.greatest(F.lit(0.0), F.lit(1.0) - sum((F.get(posterior, F.lit(j)) * F.lit(float(x)) for j, x in enumerate(u)), F.lit(0.0)))
 
 
-def fit_rates(weights: DataFrame, shares: dict | list, steps: int = STEPS, tol: float = 1e-6) -> tuple[Column, list[dict]]:
+def evaluate(weights: DataFrame, points: list[np.ndarray], target: np.ndarray, total: float, tie: float) -> tuple[list[float], np.ndarray, np.ndarray]:
+    """In one pass: the objective at each u, and for the first the domains' shares and the second derivative (shares of ``total`` tokens)."""
+    k = len(target)
+    p = [F.get("posterior", F.lit(j)) for j in range(k)]
+    r = step_of("posterior", points[0])
+    sums = [F.sum(F.col("tokens") * x * x) for x in (step_of("posterior", u) for u in points)]
+    sums += [F.sum(F.col("tokens") * r * x) for x in p]
+    sums += [F.sum(F.when(r > 0, F.col("tokens") * p[i] * p[j])) for i in range(k) for j in range(i + 1)]
+    flat = np.array([x or 0.0 for x in weights.agg(*sums).first()], float) / total
+    n = len(points)
+    curve = np.zeros((k, k))
+    curve[np.tril_indices(k)] = flat[n + k :]
+    curve = curve + np.tril(curve, -1).T + tie * np.eye(k)
+    return [float(v / 2 + target @ u + tie / 2 * (u @ u)) for v, u in zip(flat[:n], points, strict=True)], flat[n : n + k], curve
+
+
+def fit_rates(weights: DataFrame, shares: dict | list, steps: int = STEPS) -> tuple[Column, list[dict]]:
     """``tokens``, ``posterior`` (materialized) -> the rate as a column expression, and a report for each step."""
-    shares = np.array(list(shares), float)
-    k = len(shares)
-    a = [F.col("tokens") * F.get("posterior", F.lit(j)) for j in range(k)]
-    sums = weights.agg(F.count("*"), F.coalesce(F.sum("tokens"), F.lit(0)), *[F.coalesce(F.sum(a[i] * a[j]), F.lit(0.0)) for i in range(k) for j in range(i + 1)]).first()
-    total, flat = float(sums[1]), list(sums[2:])
+    target = np.array(list(shares), float)
+    if (target < 0).any() or not target.sum() > 0:
+        raise ValueError("targets must be nonnegative and not all zero")
+    target /= target.sum()
+    total = float(weights.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0])
     if not total:
         return F.lit(1.0), []
-    gram = np.zeros((k, k))
-    for i in range(k):
-        for j in range(i + 1):
-            gram[i, j] = gram[j, i] = flat.pop(0)
-    inverse = np.linalg.pinv(gram + np.eye(k) * 1e-9 * np.trace(gram))
-    target = total * shares / shares.sum()
-    taken, report = [], []
-    for n in range(steps):
-        rate = fold_rate(a, taken)
-        got = np.array(weights.agg(*[F.sum(rate * x) for x in a]).first(), float)
-        miss = float(np.abs(got - target).sum() / total)
-        report.append({"step": n, "miss": miss, "domain_tokens": got.tolist()})
-        if n == steps - 1 or miss < tol or (n > 8 and report[-5]["miss"] - miss < 1e-3 * miss):
-            break
-        taken.append(inverse @ (got - target))
-    return fold_rate(a, taken), report
+
+    def best_of(points: list[np.ndarray], tie: float) -> tuple:
+        """The point with the least objective, and what the next step needs there: one pass if it is the first, else two."""
+        values, got, curve = evaluate(weights, points, target, total, tie)
+        at = int(np.argmin(values))
+        if at:
+            _, got, curve = evaluate(weights, [points[at]], target, total, tie)
+        return (values[at], got, curve), points[at]
+
+    u, report, before = np.zeros(len(target)), [], None
+    for tie in TIES:
+        # what a target out of reach leaves is tie * u, what is within reach leaves u as it is
+        (value, got, curve), u = best_of([u] if before is None else [u, u * (before / tie)], tie)
+        before = tie
+        for _ in range(steps):
+            gradient = target + tie * u - got
+            report.append({"tie": tie, "miss": float(np.abs(got - target).sum()), "missed": (target - got).tolist(), "gradient": float(np.abs(gradient).max())})
+            if report[-1]["gradient"] <= SETTLED:
+                break
+            way = -np.linalg.solve(curve, gradient)
+            (new, got_there, curve_there), at = best_of([u + x * way for x in LENGTHS], tie)
+            if new >= value and np.abs(target + tie * at - got_there).max() >= report[-1]["gradient"]:
+                break  # the last digits of the sums: no step is better any more
+            value, got, curve, u = new, got_there, curve_there, at
+    if report[-1]["gradient"] > ENOUGH:
+        raise RuntimeError(f"rates did not settle: {report[-1]}")
+    return rate_of("posterior", u), report
 
 
 def copies(rate: Column, id_col: Column) -> Column:
@@ -133,8 +173,10 @@ def mix(docs: DataFrame, labelled: DataFrame, shares: dict, id_col: str = "doc_i
     if not domains:
         flat = docs.select(id_col, F.size(words_of(text_of(text_col))).cast("long").alias("tokens"), F.array(F.lit(1.0)).alias("posterior"), F.lit(1.0).alias("rate"))
         return flat, [], []
-    weights = materialize(posteriors(docs.select(id_col, text_col), text_col, prior, like).select(id_col, "tokens", "posterior"), "posteriors")
+    weights = materialize(posteriors(docs.select(F.col(id_col), F.col(text_col).alias("text__")), "text__", prior, like).select(id_col, "tokens", "posterior"), "posteriors")
     rate, report = fit_rates(weights, [shares.get(d, 0.0) for d in domains])
+    if report and report[-1]["miss"] > MISS:
+        warnings.warn(f"no rates reach the targets; shares still missing: {dict(zip(domains, report[-1]['missed'], strict=True))}", stacklevel=2)
     return weights.withColumn("rate", rate), domains, report
 
 
@@ -145,9 +187,13 @@ def labelled_domains(labels: DataFrame, id_col: str = "doc_id") -> DataFrame:
 
 
 def resample(docs: DataFrame, rates: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The documents as often as their ``rate`` says; ``docs`` and ``rates`` have the same rows of ids."""
-    times = rates.groupBy(id_col).agg(F.max("rate").alias("rate__"))
-    times = times.select(F.col(id_col).alias("id__"), copies(F.col("rate__"), F.col(id_col)).alias("n__"))
-    odd = small(materialize(times.where("n__ <> 1"), "copies"), 24)
-    joined = docs.join(odd, docs[id_col] == odd["id__"], "left").withColumn("n__", F.coalesce("n__", F.lit(1)))
-    return joined.where("n__ > 0").withColumn("k__", F.explode(F.sequence(F.lit(1), F.col("n__")))).select(*[docs[c] for c in docs.columns])
+    """The documents as often as their ``rate`` says; ``docs`` and ``rates`` have the same rows of ids.
+
+    Rows with a null id are used once each time their own rate rounds up to.
+    """
+    key, n, k = (free_name(docs.columns, x) for x in ("id", "n", "k"))
+    times = rates.groupBy(id_col).agg(F.max("rate").alias("rate"))
+    times = times.select(F.col(id_col).alias(key), copies(F.col("rate"), F.col(id_col)).alias(n))
+    odd = small(materialize(times.where(F.col(n) != 1), "copies"), 24)
+    joined = docs.join(odd, docs[id_col].eqNullSafe(odd[key]), "left").withColumn(n, F.coalesce(n, F.lit(1)))
+    return joined.where(F.col(n) > 0).withColumn(k, F.explode(F.sequence(F.lit(1), F.col(n)))).select(*[docs[c] for c in docs.columns])
