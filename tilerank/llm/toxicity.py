@@ -30,9 +30,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, text_of
+from .common import free_name, materialize, text_of
 
-FOLDS, MAX_TRAIN, MAX_LEXICON = 5, 8000, 4000
+FOLDS, MAX_TRAIN = 5, 8000
 STEMS = (3, 4, 5, 6, 7, 8)
 
 # Fixed word lists of the seed lexicon and the closed classes.
@@ -208,13 +208,17 @@ def training_rows(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", te
     return docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")).join(F.broadcast(known), "id")
 
 
-def learn_lexicon(rows: DataFrame, most: int = MAX_LEXICON) -> tuple[dict, dict]:
-    """Words and stems (token longer than the stem) tied to the toxic label, with weights near 1 for the surest."""
+def learn_lexicon(rows: DataFrame) -> tuple[dict, dict]:
+    """Words and stems (token longer than the stem) tied to the toxic label, with weights near 1 for the surest.
+
+    Features that the same documents have are gathered as one, with the numbers of those documents; the driver gets those
+    whose likelihood ratio passes, fewer than the distinct words of at most MAX_TRAIN documents.
+    """
     tokens = rows.select("id", "toxic", F.explode(F.array_distinct(F.split(F.lower("text"), "[^\\p{L}\\p{N}']+"))).alias("t")).where("length(t) >= 3")
     stem = [F.when(F.length("t") > n, F.concat(F.substring("t", 1, n), F.lit("*"))) for n in STEMS]
     features = tokens.select("id", "toxic", F.explode(F.array(F.col("t"), *stem)).alias("f")).where("f is not null").distinct()
-    size = rows.agg(F.coalesce(F.sum("toxic"), F.lit(0)), F.coalesce(F.sum(1 - F.col("toxic")), F.lit(0))).first()
-    a_all, b_all = int(size[0]), int(size[1])
+    toxic = {r.id: r.toxic for r in rows.select("id", "toxic").distinct().collect()}  # MAX_TRAIN or so
+    a_all, b_all = sum(toxic.values()), len(toxic) - sum(toxic.values())
     if not a_all or not b_all:
         return {}, {}
     counts = features.groupBy("f").agg(F.sum("toxic").alias("a"), F.sum(1 - F.col("toxic")).alias("b"))
@@ -226,20 +230,26 @@ def learn_lexicon(rows: DataFrame, most: int = MAX_LEXICON) -> tuple[dict, dict]
     log = lambda x, y: F.when(x > 0, x * F.log(x / y)).otherwise(0.0)
     rest_a, rest_b = a_all - F.col("a"), b_all - F.col("b")
     g2 = 2 * (log(F.col("a"), seen * p) + log(F.col("b"), seen * (1 - p)) + log(rest_a, (n - seen) * p) + log(rest_b, (n - seen) * (1 - p)))
-    picked = materialize(counts.withColumn("g2", g2).where((F.col("g2") >= bar) & (ratio >= 0.35)).orderBy(F.desc("g2"), "f").limit(most), "picked")
-    held = features.join(F.broadcast(picked), "f").groupBy("f", "a", "b").agg(F.collect_list(F.struct("id", "toxic")).alias("docs")).collect()
+    picked = materialize(counts.where((g2 >= bar) & (ratio >= 0.35)), "picked")
+    named = features.join(F.broadcast(picked), "f").groupBy("f", "a", "b").agg(F.sort_array(F.collect_list("id")).alias("ids"))
+    is_stem = F.col("f").endswith("*")
+    # a sure whole word stays whatever else its documents have; of others with equal documents the first in order stands for all
+    sure = ~is_stem & (F.col("a") >= 0.9 * seen)
+    order = F.struct(is_stem.alias("stem"), (-F.length("f")).alias("short"), "f")
+    held = named.groupBy("ids", "a", "b", sure.alias("sure")).agg(F.min(order).alias("first"), F.collect_list(F.when(sure, F.col("f"))).alias("words")).collect()
     words, stems, covered = {}, {}, set()
     # surest first, then most frequent, then longest; a stem, or a word that clean texts have too, must still tell
     # something where no surer feature is
-    for r in sorted(held, key=lambda r: (-r.a / (r.a + r.b), -r.a, r.f.endswith("*"), -len(r.f), r.f)):
-        stem, strength = r.f.endswith("*"), (INSULT, round(((r.a + 0.1) / (r.a + r.b + 0.2)) ** 4, 3))
-        left = [(d.id, d.toxic) for d in r.docs if d.id not in covered]
-        ra = sum(t for _, t in left)
+    for r in sorted(held, key=lambda r: (-r.a / (r.a + r.b), -r.a, tuple(r.first))):
+        strength = (INSULT, round(((r.a + 0.1) / (r.a + r.b + 0.2)) ** 4, 3))
+        left = [toxic[i] for i in r.ids if i not in covered]
+        ra = sum(left)
         rb = len(left) - ra
-        if (stem or r.a < 0.9 * (r.a + r.b)) and (ra + rb == 0 or ra <= rb * 0.5 or 2 * ra * math.log(ra / ((ra + rb) * p)) < bar):
+        if not r.sure and (ra + rb == 0 or ra <= rb * 0.5 or 2 * ra * math.log(ra / ((ra + rb) * p)) < bar):
             continue
-        (stems if stem else words)[r.f.rstrip("*")] = strength
-        covered.update(i for i, _ in left)
+        for f in r.words if r.sure else [r.first.f]:
+            (stems if f.endswith("*") else words)[f.rstrip("*")] = strength
+        covered.update(r.ids)
     return words, stems
 
 
@@ -291,7 +301,5 @@ def with_scores(docs: DataFrame, model: Model, text_col: str = "text", out: str
 
 def reject(docs: DataFrame, model: Model, text_col: str = "text", bar: float = 0.5) -> DataFrame:
     """The documents that score under ``bar``, their columns unchanged."""
-    out = "score"
-    while out in docs.columns:
-        out += "_"
-    return with_scores(docs, model, text_col, out).where(F.col(out) < bar).select(*docs.columns)
+    out = free_name(docs.columns, "score")
+    return with_scores(docs, model, text_col, out).where(F.col(out) < bar).select(*[F.col(f"`{c}`") for c in docs.columns])
