@@ -2,28 +2,43 @@
 
 Arrivals are appended as small runs (Parquet folders that are never changed). A tier holds runs whose size is
 within a factor FANOUT of each other; as soon as a tier has FANOUT runs, those are merged into one run with files of
-about the target size, and the result moves up. Every change commits a new manifest version: the list of live runs is
-written beside the old one and put in place by a rename that fails if the version exists, so that
+about the target size, and the result moves up. Every change commits a new manifest version: the list of live runs,
+written by Spark's own manager of checkpoint files (an atomic create that fails if the version exists, by rename or, in object
+stores, by the manager that ``spark.sql.streaming.checkpointFileManagerClass`` names), so that
 readers see a whole version or the one before, and a lost writer leaves nothing but unlisted files.
 
+A merge keeps the runs it replaced, since older versions name them; ``expire`` forgets old versions and removes the runs, and what lost
+writers left, that no kept version names.
+
 Only DataFrame operations touch rows; the driver handles the manifest (a line for each run).
 
 Defined cases: nulls and repeated rows are stored as they are; an empty arrival adds no run; any columns are kept
-under their names; a merge of a crash-interrupted run is repeated under a new name.
+under their names, and where one is called ``shard_run`` or ``shard_tier`` the added column's name gets an underscore; a merge of a
+crash-interrupted run is repeated under a new name.
 """
 
 from __future__ import annotations
 
 import json
+import time
 import uuid
 from dataclasses import asdict, dataclass
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import free_name
+
 FANOUT, TARGET_BYTES = 4, 128 << 20
 
 
+def file_manager(spark: SparkSession, folder):
+    """Spark's manager of checkpoint files for a folder: creates files whole, or not at all if they exist."""
+    package = spark.sparkContext._jvm.org.apache.spark.sql.execution.streaming.checkpointing
+    return package.CheckpointFileManager.create(folder, spark.sparkContext._jsc.hadoopConfiguration())
+
+
 @dataclass(frozen=True)
 class Run:
     """One immutable folder: rows, bytes on disk, tier, and the arrivals it holds (first and last)."""
@@ -52,11 +67,7 @@ class ShardSet:
     # manifest
 
     def version(self) -> int:
-        folder = self.path("manifest")
-        if not self.fs.exists(folder):
-            return 0
-        names = [s.getPath().getName() for s in self.fs.listStatus(folder)]
-        return max((int(n[1:]) for n in names if n[:1] == "v" and n[1:].isdigit()), default=0)
+        return max(self.versions(), default=0)
 
     def runs(self, version: int | None = None) -> list[Run]:
         version = self.version() if version is None else version
@@ -71,19 +82,52 @@ class ShardSet:
 
     def commit(self, runs: list[Run], base: int) -> int:
         """Publish ``runs`` as version ``base + 1``; raises if another writer was first."""
-        self.fs.mkdirs(self.path("manifest"))
-        draft = self.path(f"manifest/.{uuid.uuid4().hex}")
-        out = self.fs.create(draft, False)
-        try:
-            out.write(bytearray("\n".join(json.dumps(asdict(r)) for r in runs).encode()))
-        finally:
-            out.close()
+        folder = self.path("manifest")
+        self.fs.mkdirs(folder)
+        files = file_manager(self.spark, folder)
         goal = self.path(f"manifest/v{base + 1}")
-        if self.fs.exists(goal) or not self.fs.rename(draft, goal):
-            self.fs.delete(draft, False)
-            raise RuntimeError(f"version {base + 1} was committed by another writer")
+        try:
+            if files.exists(goal):
+                raise RuntimeError(f"version {base + 1} was committed by another writer")
+            out = files.createAtomic(goal, False)
+            try:
+                out.write(bytearray("\n".join(json.dumps(asdict(r)) for r in runs).encode()))
+                out.close()
+            except BaseException:
+                out.cancel()
+                raise
+        except Py4JJavaError as e:
+            if "FileAlreadyExists" in e.java_exception.toString():
+                raise RuntimeError(f"version {base + 1} was committed by another writer") from e
+            raise
         return base + 1
 
+    def versions(self) -> list[int]:
+        folder = self.path("manifest")
+        if not self.fs.exists(folder):
+            return []
+        names = [s.getPath().getName() for s in self.fs.listStatus(folder)]
+        return sorted(int(n[1:]) for n in names if n[:1] == "v" and n[1:].isdigit())
+
+    def expire(self, keep: int = 1, older_s: float = 86_400.0) -> list[str]:
+        """Forget all but the last ``keep`` versions, then remove folders that no kept version names and that are older than ``older_s`` seconds.
+
+        Runs of writers at work are younger than that. -> names of the folders removed.
+        """
+        known = self.versions()
+        kept = known[-max(1, keep) :]
+        named = {r.name for v in kept for r in self.runs(v)}
+        for v in known[: len(known) - len(kept)]:
+            self.fs.delete(self.path(f"manifest/v{v}"), False)
+        bound = (time.time() - older_s) * 1000
+        gone = []
+        for s in self.fs.listStatus(self.path("")):
+            name = s.getPath().getName()
+            if name.startswith(("run-", "dealt-")) and name not in named and s.getModificationTime() <= bound:
+                self.fs.delete(s.getPath(), True)
+                gone.append(name)
+        return sorted(gone)
+
     # rows
 
     def tier_of(self, size: int) -> int:
@@ -134,8 +178,6 @@ class ShardSet:
             # a merge moves up at least one tier, so that merging ends
             made = Run(**asdict(made) | {"tier": max(tier + 1, made.tier)})
             self.commit([r for r in runs if r not in old] + [made], base)
-            for r in old:  # readers of older versions are served until here; keep by not calling merge while they read
-                self.fs.delete(self.path(r.name), True)
             return True
         return False
 
@@ -145,14 +187,16 @@ class ShardSet:
         return self.version()
 
     def read(self, schema, version: int | None = None) -> DataFrame:
-        """The rows of all live runs, with ``shard_run`` and ``shard_tier``."""
+        """The rows of a version's runs (the last one's if none is named), with ``shard_run`` and ``shard_tier``."""
         runs = self.runs(version)
+        run_col = free_name(schema.names, "shard_run")
+        tier_col = free_name([*schema.names, run_col], "shard_tier")
         if not runs:
-            return self.spark.createDataFrame([], schema).withColumns({"shard_run": F.lit("").cast("string"), "shard_tier": F.lit(0)})
+            return self.spark.createDataFrame([], schema).withColumns({run_col: F.lit("").cast("string"), tier_col: F.lit(0)})
         rows = self.spark.read.schema(schema).parquet(*[f"{self.root}/{r.name}" for r in runs])
         run = F.regexp_extract(F.col("_metadata.file_path"), "/(run-[^/]+)/", 1)
         tiers = F.create_map(*[F.lit(x) for r in runs for x in (r.name, r.tier)])
-        return rows.select(*rows.columns, run.alias("shard_run")).withColumn("shard_tier", F.element_at(tiers, F.col("shard_run")))
+        return rows.select(*[F.col(f"`{c}`") for c in schema.names], run.alias(run_col)).withColumn(tier_col, F.element_at(tiers, F.col(run_col)))
 
 
 def shard_arrivals(docs: DataFrame, root: str, arrivals: int = 8, key: str = "doc_id", fanout: int = FANOUT, target_bytes: int = TARGET_BYTES) -> ShardSet:
@@ -162,7 +206,7 @@ def shard_arrivals(docs: DataFrame, root: str, arrivals: int = 8, key: str = "do
     rename, each its own version.
     """
     shards = ShardSet(docs.sparkSession, root, fanout, target_bytes)
-    slot, dealt = "arrival__", f"dealt-{uuid.uuid4().hex[:8]}"
+    slot, dealt = free_name(docs.columns, "arrival"), f"dealt-{uuid.uuid4().hex[:8]}"
     docs.withColumn(slot, F.pmod(F.xxhash64(key), F.lit(arrivals)).cast("int")).write.partitionBy(slot).parquet(f"{shards.root}/{dealt}")
     for k in range(arrivals):
         folder = f"{dealt}/{slot}={k}"
