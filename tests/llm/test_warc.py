@@ -1,6 +1,7 @@
 import base64
 import gzip
 import hashlib
+import re
 from collections import Counter
 
 import pyarrow.fs as pafs
@@ -59,4 +60,20 @@ def test_archives_are_plain_gzip_members(spark):
     warc.write_archives(spark.createDataFrame([(1, "http://a/", "x"), (2, "http://a/", "x")], "page_id bigint, url string, html string").coalesce(1), root)
     store, folder = warc.open_store(root)
     data = b"".join(gzip.decompress(store.open_input_stream(f.path, compression=None).read()) for f in store.get_file_info(pafs.FileSelector(folder)))
-    assert data.count(b"WARC/1.1\r\nWARC-Type: ") == 2 and b"WARC-Refers-To: <urn:page:2>" in data
+    assert data.count(b"WARC/1.1\r\nWARC-Type: ") == 2 and b"Refers-To-Page-ID: 2\r\n" in data
+    assert data.count(b"HTTP/1.1 200 OK\r\n") == 2 and data.count(b"Content-Type: application/http; msgtype=response") == 2
+    ids = re.findall(rb"WARC-Record-ID: (<urn:uuid:[0-9a-f-]{36}>)", data)
+    assert len(set(ids)) == 2 and re.findall(rb"WARC-Refers-To: (<urn:uuid:[0-9a-f-]{36}>)", data) == [ids[1]]
+
+
+def test_pages_with_one_payload_are_dealt_out(spark, monkeypatch):
+    rows = [(i, f"http://h{i % 5}/", "hot" if i % 3 else f"own {i // 2}") for i in range(6000)]
+    df = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    monkeypatch.setattr(warc, "BROADCAST_BYTES", 0)
+    monkeypatch.setattr(warc, "RANGE_ROWS", 500)
+    got = {r.page_id: r for r in warc.archive_and_read(df).collect()}
+    last = {}
+    for p, _, h in rows:
+        last[h] = p
+    assert all(got[p].refers_to == (None if last[h] == p else last[h]) and got[p].payload_bytes == len(h) for p, _, h in rows)
+    assert warc.read_pages(df, [], "file:/tmp").rdd.getNumPartitions() == 12

@@ -1,15 +1,18 @@
 """WARC archives with a two-level capture index.
 
 Writing: each task streams its pages into an archive of its own (a gzip member for each record) in a folder of the shared
-file system. Of pages with equal payloads the one with the largest id is the response, the others are
-revisits that name it; which ids those are is settled first on digests alone.
+file system. A response's block is an HTTP message whose body is the payload; a revisit's block is that message's head. Of pages
+with equal payloads the one with the largest id is the response, the others are revisits that name it; which ids those are is
+settled first on digests alone, and a digest that very many pages share is joined by broadcast, so that they don't meet in a task.
+A record's id is a UUID of page id and payload, so only repeated rows share one.
 
 Index: captures are sorted by range of their key (host labels reversed, then path and query, then the page id); each
 range is a file of compressed blocks of BLOCK captures, and beside it a sparse directory with the first key and the place
 of each block. Of all that, only the first key of each range reaches the driver.
 
-Reading: keys to look up are sorted by the same order and dealt by range; a task finds the range, then the block in the
-range's directory, by binary search, reads the block's bytes and then the record's bytes, no others.
+Reading: keys to look up are sorted by the same order and dealt by range, RANGE_ROWS to a task up to MOST_RANGES tasks; a task
+finds the range, then the block in the range's directory, by binary search, reads the block's bytes and then the record's
+bytes, no others.
 
 Files are named by task and attempt; an attempt that was lost leaves files that no index row names. They are read
 and written through Arrow file systems, so the folder may be in any store that those open.
@@ -26,6 +29,7 @@ import bisect
 import gzip
 import hashlib
 import json
+import uuid
 import zlib
 from collections import OrderedDict
 from collections.abc import Iterator
@@ -37,9 +41,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh_path, materialize, small
+from .common import BROADCAST_BYTES, fresh_path, look_up, materialize
 
 BLOCK, LEVEL, MOST_BYTES = 256, 4, 512 << 20
+#: Captures a range of the index has, as long as there are no more than so many ranges; ranges grow beyond.
+RANGE_ROWS, MOST_RANGES = 4096, 20_000
 #: Sorts before any id; stands for a null one.
 NO_ID = -(1 << 63)
 INDEX = "key string, page long, path string, offset long, length long"
@@ -70,36 +76,45 @@ def base32_sha1(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
+def record_id(page: int | None, digest: str) -> str:
+    return f"<{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page}/sha1:{digest}').urn}>"
+
+
 def record_bytes(url: str | None, page: int | None, payload: bytes, refers: int | None) -> tuple[bytes, str]:
-    """An uncompressed record and its digest. A revisit has no block but the payload's length and digest."""
+    """An uncompressed record and its digest."""
     digest = base32_sha1(payload)
-    kind, body = ("revisit", b"") if refers is not None else ("response", payload)
+    http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
+    kind, body = ("revisit", http) if refers is not None else ("response", http + payload)
     clean = (url or "").replace("\r", "%0D").replace("\n", "%0A")
     head = [
-        "WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <urn:page:{'' if page is None else page}>", f"WARC-Target-URI: {clean}",
-        "WARC-Date: 1970-01-01T00:00:00Z", f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Payload-Length: {len(payload)}",
-        "Content-Type: text/html; charset=utf-8", f"Content-Length: {len(body)}",
+        "WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {record_id(page, digest)}", f"WARC-Target-URI: {clean}",
+        "WARC-Date: 1970-01-01T00:00:00Z", f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Block-Digest: sha1:{base32_sha1(body)}",
+        "Content-Type: application/http; msgtype=response", f"Content-Length: {len(body)}",
     ]
+    if page is not None:
+        head.append(f"Page-ID: {page}")
     if refers is not None:
-        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: <urn:page:{refers}>"]
-    return "\r\n".join(head).encode() + b"\r\n\r\n" + body + b"\r\n\r\n", digest
+        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {record_id(refers, digest)}", f"Refers-To-Page-ID: {refers}"]
+    return "\r\n".join(head).encode("utf-8", "surrogatepass") + b"\r\n\r\n" + body + b"\r\n\r\n", digest
 
 
 def parse_record(raw: bytes) -> dict:
-    """Header fields and ``payload`` of a gzip member; checks length and digest."""
+    """Header fields and ``payload`` of a gzip member; checks lengths and digests."""
     data = gzip.decompress(raw)
     head, _, rest = data.partition(b"\r\n\r\n")
-    lines = head.decode().split("\r\n")
+    lines = head.decode("utf-8", "surrogatepass").split("\r\n")
     h = dict(x.split(": ", 1) for x in lines[1:] if ": " in x)
     body = rest[: int(h["Content-Length"])]
-    if lines[0] != "WARC/1.1" or rest[len(body) :] != b"\r\n\r\n":
+    if lines[0] != "WARC/1.1" or rest[len(body) :] != b"\r\n\r\n" or f"sha1:{base32_sha1(body)}" != h["WARC-Block-Digest"]:
         raise ValueError("broken record")
-    if h["WARC-Type"] == "response" and f"sha1:{base32_sha1(body)}" != h["WARC-Payload-Digest"]:
+    message, _, payload = body.partition(b"\r\n\r\n")
+    size = int(message.rpartition(b"Content-Length: ")[2])
+    if h["WARC-Type"] == "response" and (len(payload) != size or f"sha1:{base32_sha1(payload)}" != h["WARC-Payload-Digest"]):
         raise ValueError("payload does not match its digest")
-    number = lambda name: int(h[name][10:-1]) if name in h and h[name] != "<urn:page:>" else None
+    number = lambda name: int(h[name]) if name in h else None
     return {
-        "page": number("WARC-Record-ID"), "type": h["WARC-Type"], "digest": h["WARC-Payload-Digest"][5:],
-        "bytes": int(h["WARC-Payload-Length"]), "refers": number("WARC-Refers-To"), "payload": body if h["WARC-Type"] == "response" else None,
+        "id": h["WARC-Record-ID"], "page": number("Page-ID"), "type": h["WARC-Type"], "digest": h["WARC-Payload-Digest"][5:],
+        "bytes": size, "refers": number("Refers-To-Page-ID"), "payload": payload if h["WARC-Type"] == "response" else None,
     }
 
 
@@ -111,13 +126,21 @@ def task_name(prefix: str) -> str:
 def responses(pages: DataFrame, least: int = 0) -> DataFrame:
     """Add ``refers``: the id of the response with the same payload, null for responses. Payloads under ``least`` bytes never refer."""
     payload = F.coalesce("html", F.lit(""))
-    keyed = pages.select("page_id", "url", payload.alias("html")).withColumn("d__", F.sha1("html"))
-    known = keyed.where(F.octet_length("html") >= least).groupBy("d__").agg(F.max("page_id").alias("last"), F.count("*").alias("n"))
-    shared = materialize(known.where("n > 1").select("d__", "last"), "payloads")
-    joined = keyed.join(small(shared, 64), "d__", "left")
+    keyed = pages.select("page_id", "url", payload.alias("html")).withColumn("d", F.sha1("html"))
+    known = keyed.where(F.octet_length("html") >= least).groupBy("d").agg(F.max("page_id").alias("last"), F.count("*").alias("n"))
+    shared = materialize(known.where("n > 1"), "payloads")
+    size = shared.agg(F.count("*").alias("keys"), F.coalesce(F.sum("n"), F.lit(0)).alias("rows")).first()
+    if size["keys"] * 64 <= BROADCAST_BYTES:
+        joined = keyed.join(F.broadcast(shared.drop("n")), "d", "left")
+    else:
+        joined = look_up(keyed, shared, "d", "n", size["rows"], "left")
     return joined.select("page_id", "url", "html", F.when(F.col("last").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("last")), F.col("last")).alias("refers"))
 
 
+def ranges_for(rows: int) -> int:
+    return max(1, min(MOST_RANGES, -(-rows // RANGE_ROWS)))
+
+
 def write_archives(pages: DataFrame, root: str, least: int = 0) -> DataFrame:
     """Write ``page_id``, ``url``, ``html`` as archives under ``root`` -> captures (INDEX columns), a table of the shared folder."""
 
@@ -179,7 +202,7 @@ def write_index(captures: DataFrame, root: str, block: int = BLOCK) -> list[tupl
                 f.write(zlib.compress(json.dumps(directory).encode(), LEVEL))
             yield pa.RecordBatch.from_arrays([pa.array([directory[0][0]]), pa.array([path])], names=["first", "path"])
 
-    ordered = captures.select("key", "page", "path", "offset", "length").repartitionByRange("key").sortWithinPartitions("key", "path", "offset")
+    ordered = captures.select("key", "page", "path", "offset", "length").repartitionByRange(ranges_for(captures.count()), "key").sortWithinPartitions("key", "path", "offset")
     ranges = materialize(ordered.mapInArrow(run, "first string, path string"), "ranges")
     return sorted((r.first, r.path) for r in ranges.collect())  # a row for each range of the index
 
@@ -266,7 +289,7 @@ def read_pages(wanted: DataFrame, ranges: list[tuple[str, str]], root: str) -> D
 
     # pages of one host follow each other in the index; dealt by range so that a task reads neighbouring blocks
     keyed = wanted.select(F.col("page_id").cast("long").alias("page_id"), "url", reversed_host_column("url").alias("host"))
-    ordered = keyed.repartitionByRange("host", "url", "page_id").sortWithinPartitions("host", "url", "page_id").select("page_id", "url")
+    ordered = keyed.repartitionByRange(ranges_for(wanted.count()), "host", "url", "page_id").sortWithinPartitions("host", "url", "page_id").select("page_id", "url")
     return ordered.mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
