@@ -12,11 +12,13 @@ the next per candidate:
    for all windows on the diagonal by one running sum;
 3. alignment in that band must stay within k.
 
-Items travel to the executors in blocks of bounded size, however many there are; documents are never shuffled.
+Items travel to the executors in blocks of ITEM_BLOCK characters at most (about 24 bytes a character in each Python worker), however
+many and however long they are; a longer item is cut into overlapping parts. Documents are never shuffled.
 
-Defined cases: null and empty texts hold nothing; items of fewer than MIN_CHARS normal characters identify
-nothing and are left out; null item ids are left out, repeated items count once; repeated documents each get
-a row; without items no document is contaminated; extra columns pass through ``clean`` unchanged.
+Defined cases: null and empty texts hold nothing; items of fewer than MIN_CHARS normal characters are common phrases, so they count
+only where they stand alone, as a whole line or a whole text of equal normal form; items without a letter or digit, and null item
+ids, are left out; repeated items count once; repeated documents each get a row; without items no document is contaminated; extra
+columns pass through unchanged (the added column's name gets an underscore where they have it).
 """
 
 from __future__ import annotations
@@ -28,11 +30,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import free_name
+
 SEED, Q, WINDOW, WHOLE, EDITS, MIN_CHARS = 15, 8, 120, 180, 0.05, 25
-#: Windows aligned at once.
-BATCH = 1024
+#: Windows aligned at once, and seed hits held at once.
+BATCH, HITS = 1024, 1 << 20
 #: Characters of text worked on at once, and characters of items sent at once.
-PIECE, ITEM_BLOCK = 1 << 19, 8 << 20
+PIECE, ITEM_BLOCK = 1 << 19, 2 << 20
 BASE, SCATTER = np.uint64(0x9E3779B97F4A7C15 | 1), np.uint64(0xD6E8FEB86659FD93)
 BITS = 22
 
@@ -100,9 +104,12 @@ class ItemIndex:
     def __init__(self, items: list[tuple[int, str]]):
         table = code_table()
         self.ids, self.texts, h, who, at = [], [], [], [], []
+        self.short: dict[bytes, list[int]] = {}
         for item, text in items:
             a = normal(text, table)
             if len(a) < MIN_CHARS:
+                if len(a):
+                    self.short.setdefault(a.tobytes(), []).append(item)
                 continue
             g = grams(a, SEED)
             who.append(np.full(len(g), len(self.ids), np.int32))
@@ -196,30 +203,55 @@ class Finder:
         pos, left, n = pos[n > 0], left[n > 0], n[n > 0]
         if not len(pos):
             return found
-        p = np.repeat(pos, n)
-        e = np.repeat(left - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(int(n.sum()))
-        who, at = x.who[e], x.at[e]
-        for item in np.unique(who).tolist():
-            mine = who == item
-            if self.confirm(a, item, p[mine].astype(np.int64), at[mine].astype(np.int64)):
-                found.add(x.ids[item])
+        # a repetitive item in a repetitive text has very many hits; so many places at a time that HITS bound them
+        ends = np.cumsum(n)
+        lo = 0
+        while lo < len(n):
+            hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + HITS, "right")))
+            m = n[lo:hi]
+            p = np.repeat(pos[lo:hi], m)
+            e = np.repeat(left[lo:hi] - np.concatenate(([0], np.cumsum(m)[:-1])), m) + np.arange(int(m.sum()))
+            who, at = x.who[e], x.at[e]
+            for item in np.unique(who).tolist():
+                mine = who == item
+                if x.ids[item] not in found and self.confirm(a, item, p[mine].astype(np.int64), at[mine].astype(np.int64)):
+                    found.add(x.ids[item])
+            lo = hi
+        return found
+
+    def alone(self, text: str) -> set[int]:
+        """Short items that are a whole line of the text, or all of it."""
+        found: set[int] = set()
+        for line in (text, *text.split("\n")):
+            found.update(self.x.short.get(normal(line, self.table).tobytes(), ()))
         return found
 
     def of(self, text: str | None) -> set[int]:
+        found = self.alone(text or "") if self.x.short else set()
         a = normal(text, self.table)
         if len(a) <= PIECE:
-            return self.items(a)
+            return found | self.items(a)
         over = 2 * WHOLE
-        return set().union(*(self.items(a[i : i + PIECE + over]) for i in range(0, len(a), PIECE)))
+        return found.union(*(self.items(a[i : i + PIECE + over]) for i in range(0, len(a), PIECE)))
 
 
-def item_blocks(bench: DataFrame, item_col: str, text_col: str) -> list[list[tuple[int, str]]]:
-    """The items in lists of at most about ITEM_BLOCK characters each, read one block at a time."""
+def item_blocks(bench: DataFrame, item_col: str, text_col: str) -> Iterator[list[tuple[int, str]]]:
+    """The items in lists of at most ITEM_BLOCK characters each, read one list at a time, in the order of a hash."""
     rows = bench.where(F.col(item_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(item_col).cast("long").alias("i"), F.col(text_col).alias("t")).distinct()
     size = rows.agg(F.coalesce(F.sum(F.char_length("t")), F.lit(0))).first()[0]
-    n = -(-size // ITEM_BLOCK)
+    n = -(-2 * size // ITEM_BLOCK)
+    now, length, longest = [], 0, max(ITEM_BLOCK, 4 * WHOLE)
     for k in range(n):
-        yield [(r.i, r.t) for r in rows.where(F.pmod(F.xxhash64("i"), F.lit(n)) == k).collect()]
+        for r in rows.where(F.pmod(F.xxhash64("i", "t"), F.lit(n)) == k).toLocalIterator():
+            for at in range(0, max(1, len(r.t) - 2 * WHOLE), longest - 2 * WHOLE):
+                piece = r.t[at : at + longest]
+                if now and length + len(piece) > ITEM_BLOCK:
+                    yield now
+                    now, length = [], 0
+                now.append((r.i, piece))
+                length += len(piece)
+    if now:
+        yield now
 
 
 def scan(docs: DataFrame, items: list[tuple[int, str]], text_col: str, out: str) -> DataFrame:
@@ -238,18 +270,15 @@ def scan(docs: DataFrame, items: list[tuple[int, str]], text_col: str, out: str)
 
 def leaks(docs: DataFrame, bench: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", out: str = "leaked_items") -> DataFrame:
     """``docs`` with ``out``: the sorted ids of all benchmark items a text holds."""
-    merged = None
-    for k, items in enumerate(item_blocks(bench, item_col, item_text)):
-        docs = scan(docs, items, text_col, f"{out}__{k}")
-        part = F.col(f"{out}__{k}")
-        merged = part if merged is None else F.array_sort(F.array_union(merged, part))
-    names = [c for c in docs.columns if not c.startswith(f"{out}__")]
-    return docs.select(*names, (merged if merged is not None else F.array().cast("array<bigint>")).alias(out))
+    out, own, merged = free_name(docs.columns, out), docs.columns, None
+    for items in item_blocks(bench, item_col, item_text):
+        name = free_name(docs.columns, "held")
+        docs = scan(docs, items, text_col, name)
+        merged = F.col(name) if merged is None else F.array_sort(F.array_union(merged, F.col(name)))
+    return docs.select(*[F.col(f"`{c}`") for c in own], (merged if merged is not None else F.array().cast("array<bigint>")).alias(out))
 
 
 def clean(docs: DataFrame, bench: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """The documents that hold no benchmark item, their columns unchanged."""
-    flag = "leaked_items"
-    while flag in docs.columns:
-        flag += "_"
-    return leaks(docs, bench, text_col, item_col, item_text, flag).where(F.size(flag) == 0).select(*docs.columns)
+    flag = free_name(docs.columns, "leaked_items")
+    return leaks(docs, bench, text_col, item_col, item_text, flag).where(F.size(F.col(f"`{flag}`")) == 0).select(*[F.col(f"`{c}`") for c in docs.columns])
