@@ -18,11 +18,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import materialize, text_of
+from .common import look_up, materialize, text_of
 
 WHITE = "[ \\t\\n\\x0B\\f\\r]+"
 PAIR = 0x0000000100000001
-BUCKET_ROWS, MOST_BUCKETS = 2000, 20_000
+#: Rows of a bucket of consecutive ids; buckets of buckets, and buckets in each of those, at most (a million buckets in all; they grow beyond).
+BUCKET_ROWS, MOST_CUTS = 2000, 1000
 
 
 def terms(text: Column) -> Column:
@@ -56,32 +57,42 @@ def ordered_buckets(docs: DataFrame, id_col: str, rows: int = BUCKET_ROWS) -> Da
     """Add ``bucket`` (consecutive ranges of ids) and ``guest``: the first row of each range comes
     once more, as a guest at the end of the range before it; that of the first range in the last.
 
-    Ranges start at ids that the table has (quantiles), at most MOST_BUCKETS of them, so a window over
-    a bucket sees each row's successor and no window spans the table.
+    Ranges start at ids that the table has, so a window over a bucket sees each row's successor and no window spans the table.
+    They are quantiles in two levels: up to MOST_CUTS quantiles of all ids, which travel in the plan, and up to as many of the ids
+    between two of those, aggregated by outer range into a broadcast table of at most MOST_CUTS ** 2 numbers.
     """
     size = docs.agg(F.count("*").alias("n"), F.count(id_col).alias("ids"), F.min(id_col).alias("first")).first()
-    n = min(MOST_BUCKETS, max(1, size["ids"] // rows))
-    cuts: list = []
-    if size["ids"] and n > 1:
-        cuts = docs.agg(F.percentile_approx(id_col, [i / n for i in range(1, n)], max(10_000, 4 * n))).first()[0]
-        cuts = sorted({c for c in cuts if c > size["first"]})
-    step = max(1, int(len(cuts) ** 0.5))
-    blocks = [cuts[i : i + step] for i in range(0, len(cuts), step)]
-    long_array = lambda xs: F.array(*[F.lit(x) for x in xs]).cast("array<bigint>")
-    if cuts:
-        tops = F.size(F.filter(long_array([b[0] for b in blocks]), lambda c: c <= F.col(id_col)))
-        nested = F.array(*[long_array(b) for b in blocks])
-        inner = F.size(F.filter(F.get(nested, tops - 1), lambda c: c <= F.col(id_col)))
-        bucket = F.when(F.col(id_col).isNull() | (tops == 0), 0).otherwise((tops - 1) * step + inner)
-        leads = F.array_contains(F.get(nested, tops - 1), F.col(id_col))
-    else:
-        bucket, leads = F.lit(0), F.lit(False)
+    n = max(1, size["ids"] // rows)
+    each = min(MOST_CUTS, max(1, round(n**0.5)))
+    wide = min(MOST_CUTS, -(-n // each))
     opens = F.col(id_col).isNull() if size["ids"] < size["n"] else F.col(id_col) == F.lit(size["first"])
-    placed = docs.withColumn("own", bucket.cast("int"))
+    if n == 1:
+        placed = docs.withColumns({"own": F.lit(0), "leads": F.lit(False)})
+        last = 0
+    else:
+        tops = docs.agg(F.percentile_approx(id_col, [i / wide for i in range(1, wide)], max(10_000, 4 * wide))).first()[0] if wide > 1 else []
+        tops = sorted({t for t in tops if t > size["first"]})
+        outer = F.size(F.filter(F.array(*[F.lit(t) for t in tops]).cast("array<bigint>"), lambda c: c <= F.col(id_col))) if tops else F.lit(0)
+        outer = F.when(F.col(id_col).isNull(), 0).otherwise(outer)
+        cuts = docs.where(F.col(id_col).isNotNull()).select(outer.alias("outer"), F.col(id_col).cast("long").alias("i")).groupBy("outer")
+        cuts = cuts.agg(F.min("i").alias("least"), F.percentile_approx("i", [i / each for i in range(1, each)] or [0.5], max(10_000, 4 * each)).alias("cuts"))
+        # inside an outer range after the first, its least id opens a bucket too
+        cuts = cuts.select("outer", F.array_sort(F.array_distinct(F.concat(F.when(F.col("outer") > 0, F.array("least")).otherwise(F.array().cast("array<bigint>")), F.filter("cuts", lambda c: c > F.col("least"))))).alias("cuts"))
+        cuts = materialize(cuts, "cuts")
+        sizes = {r["outer"]: r["size"] for r in cuts.select("outer", F.size("cuts").alias("size")).collect()}  # MOST_CUTS rows at most
+        base, before = [], 0
+        for o in range(len(tops) + 1):
+            base.append(before)
+            before += sizes.get(o, 0)
+        last = before
+        inner = F.size(F.filter("cuts", lambda c: c <= F.col(id_col)))
+        own = F.when(F.col(id_col).isNull(), 0).otherwise(F.get(F.array(*[F.lit(x) for x in base]), F.col("outer")) + inner)
+        placed = docs.withColumn("outer", outer).join(F.broadcast(cuts), "outer", "left")
+        placed = placed.withColumns({"own": own.cast("int"), "leads": F.coalesce(F.array_contains("cuts", F.col(id_col)), F.lit(False))})
     places = F.array(
         F.struct(F.col("own").alias("bucket"), F.lit(False).alias("guest")),
-        F.when(opens, F.struct(F.lit(len(cuts)).alias("bucket"), F.lit(True).alias("guest"))).when(
-            leads, F.struct((F.col("own") - 1).alias("bucket"), F.lit(True).alias("guest"))
+        F.when(opens, F.struct(F.lit(last).alias("bucket"), F.lit(True).alias("guest"))).when(
+            F.col("leads"), F.struct((F.col("own") - 1).alias("bucket"), F.lit(True).alias("guest"))
         ),
     )
     placed = placed.withColumn("at", F.explode(F.filter(places, lambda p: p.isNotNull())))
@@ -160,5 +171,5 @@ def search_counts(found: DataFrame, radius: int = 3) -> DataFrame:
     near = within_radius(nodes.select("fp"), nodes.select("fp"), radius=radius).where("x <> y")
     near = near.join(nodes.toDF("y", "copies"), "y").groupBy("x").agg(F.sum("copies").alias("others"))
     counts = nodes.join(near, nodes["fp"] == near["x"], "left").where("copies > 1 or others is not null")
-    counts = counts.select("fp", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_near"))
-    return found.join(counts, "fp", "left").withColumn("n_near", F.coalesce("n_near", F.lit(0)).cast("long"))
+    counts = materialize(counts.select("fp", "copies", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_near")), "counts")
+    return look_up(found, counts, "fp", "copies", found.count(), "left").withColumn("n_near", F.coalesce("n_near", F.lit(0)).cast("long"))
