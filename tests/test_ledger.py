@@ -32,7 +32,7 @@ def test_first_column_counts():
         assert len([t for t in L.plan_qr(m, n) if t.step == 0]) == n + (m - 1) * n
 
 
-@pytest.mark.parametrize("m,n,b", [(12, 12, 4), (20, 8, 4), (10, 7, 3), (9, 9, 3), (6, 6, 6), (13, 5, 4)])
+@pytest.mark.parametrize("m,n,b", [(12, 12, 4), (20, 8, 4), (10, 7, 3), (9, 9, 3), (6, 6, 6), (13, 5, 4), (24, 20, 8), (6, 5, 6)])
 @pytest.mark.parametrize("q", [0, 2])
 def test_tiles_in_memory(m, n, b, q):
     a = np.random.default_rng(1).normal(size=(m, n))
@@ -60,8 +60,61 @@ def test_waves_respect_dependences_and_spark_gives_the_same(spark):
     rows = [(k, v.shape[0], v.shape[1], bytearray(np.ascontiguousarray(v).tobytes())) for k, v in X.split(a, 4).items()]
     df = spark.createDataFrame(rows, X.STORE)
     for mode in ("direct", "overlap"):
-        got = {r.name: np.frombuffer(r.data).reshape(r.nr, r.nc) for r in X.run_waves(tasks, df, 7, 6, 4, mode=mode).where(F.col("name").startswith("A_")).collect()}
+        run = X.run_waves(tasks, df, 7, 6, 4, mode=mode)
+        got = {r.name: np.frombuffer(r.data).reshape(r.nr, r.nc) for r in run.tiles("A").collect()}
         assert all(np.allclose(got[k], want[k]) for k in got) and len(got) == 4
+        # just the tiles that tasks change are written, and each lane's times are kept
+        assert run.written[0] == sum(len(t.outs) for t in tasks) and {x[0] for x in run.trace} == ({"compute", "read"} if mode == "overlap" else {"compute"})
+        assert all(start <= end for _, _, start, end, _ in run.trace)
+    # started again on the same folder, nothing is run anew
+    again = X.run_waves(tasks, df, 7, 6, 4, mode="direct", root=run.root)
+    assert again.trace == [] and again.manifest == run.manifest and again.tiles("A").count() == 4
+
+
+@pytest.mark.parametrize("m,n,b", [(20, 8, 4), (13, 5, 4), (9, 9, 3), (30, 6, 3)])
+def test_tree_over_tile_columns(m, n, b):
+    a = np.random.default_rng(1).normal(size=(m, n))
+    rows, cols = -(-m // b), -(-n // b)
+    tasks = L.plan_qr(rows, cols, True)
+    for workers in (1, 3):
+        got = X.run_local(tasks, X.split(a, b), m, n, b, workers=workers)
+        r = np.triu(X.join_tiles(got, "A", rows, cols))[:n]
+        assert np.allclose(K.positive(r), K.positive(np.linalg.qr(a)[1]))
+    chain, tree = (max(L.waves(L.plan_qr(64, 2, x))) for x in (False, True))
+    assert tree < chain / 3
+
+
+def test_utv_by_tiles_beside_each_other():
+    from tilerank.operators import baselines
+
+    a = np.random.default_rng(3).normal(size=(24, 20))
+    u, t, v = baselines.utv_tiles(a, 8, 1, workers=4)
+    assert np.allclose(u @ t @ v.T, a) and np.allclose(u.T @ u, np.eye(24)) and np.allclose(np.tril(t, -1), 0)
+    assert len(baselines.utv_tiles(a, 8, 1, uv=False, workers=2)) == 1
+    u, t, v = baselines.utv_dense(a, 8, 1, threads=1)
+    assert np.allclose(u @ t @ v.T, a)
+    with X.blas_threads(1) as known:
+        assert known in (True, False)
+
+
+def test_lanes_and_windows():
+    tasks = L.plan_utv(3, 3)
+    rows = L.lanes(tasks, [t.flops for t in tasks], [1.0] * len(tasks), 12, 2)
+    assert max(x["end"] for x in rows) == L.schedule(tasks, [t.flops for t in tasks], [1.0] * len(tasks), 12, 2)
+    for lane in {x["lane"] for x in rows}:
+        mine = [x for x in rows if x["lane"] == lane]
+        assert all(a["end"] <= b["start"] + 1e-9 for a, b in zip(mine, mine[1:]))
+    early = L.window(rows, 1 / 6)
+    assert 0 < len(early) < len(rows) / 2
+
+
+def test_reuse_distances_equal_brute_force():
+    tasks = L.plan_utv(3, 3, 1, True)
+    touches = [x for t in tasks for x in [*t.ins, *t.outs]]
+    got = L.reuse_distances(tasks)
+    for i, x in enumerate(touches):
+        before = max((j for j in range(i) if touches[j] == x), default=None)
+        assert got[i]["dist"] == (-1 if before is None else len(set(touches[before + 1 : i])))
 
 
 def test_cost_model():

@@ -30,6 +30,33 @@ def test_triangle_and_products(emb, a):
     assert np.allclose(m.reduce(lambda _, x: K.r_only(x), K.r_only, fan_in=2) ** 2, np.linalg.qr(a)[1] ** 2)
 
 
+def test_passes_and_flops_are_as_the_cost_model_says(emb):
+    from tilerank.plans import costmodel as C
+
+    for schedule, sketch in [("left", x) for x in ("recompute", "pullback", "project", "upfront", "downdate")] + [("right", ""), ("triangle", "")]:
+        f = S.sketch_qr(Tall(emb), 8, 24, schedule, sketch)
+        assert f.passes == C.passes(schedule, sketch, 24, 8), (schedule, sketch, f.passes)
+    # a partial run's work is linear in k as long as k is well under n, and a full triangle's is not needed for it
+    assert C.tall_flops(10**6, 1000, 50, 10) < 2.1 * C.tall_flops(10**6, 1000, 25, 5) < C.tall_flops(10**6, 1000, 1000, 10) / 8
+
+
+class Counted(Tall):
+    """Adds up the sizes of the arrays that passes gather."""
+
+    gathered = 0
+
+    def reduce(self, *a, **b):
+        got = super().reduce(*a, **b)
+        self.gathered = max(self.gathered, got.size)
+        return got
+
+
+def test_a_partial_run_gathers_thin_arrays_only(emb):
+    mat = Counted(emb)
+    S.sketch_qr(mat, 4, 16, "left", "project")
+    assert mat.gathered <= 3 * 4 * 64
+
+
 VARIANTS = [("left", s) for s in ("recompute", "pullback", "project", "upfront")] + [("right", ""), ("triangle", "")]
 
 
@@ -40,6 +67,7 @@ def test_all_schedules_choose_the_same_pivots(emb, a):
         assert f.perm == base.perm and np.allclose(f.r, base.r, atol=1e-9), v
         assert np.isclose(f.residual**2 + (f.r**2).sum(), (a * a).sum())
     assert found["right", ""].written == 1 and base.written == 0 and found["triangle", ""].passes == 1
+    assert [round(x["residual"], 9) for x in base.steps] == [round(x["residual"], 9) for x in found["right", ""].steps]
     down = S.sketch_qr(Tall(emb), 8, 16, "left", "downdate")
     assert down.perm[:8] == base.perm[:8] and down.k == 16
     q = dense(base.q())
@@ -49,6 +77,73 @@ def test_all_schedules_choose_the_same_pivots(emb, a):
     assert np.linalg.norm(a - q @ base.virtual(), 2) < 2 * best
 
 
+def test_layouts_and_the_residual_as_stopping_rule(emb, a):
+    base = S.sketch_qr(Tall(emb), 8, 24, "left", "project")
+    for layout in ("virtual", "physical"):
+        f = S.sketch_qr(Tall(emb), 8, 24, "right", layout=layout)
+        assert f.perm == base.perm and np.allclose(f.r, base.r, atol=1e-9) and f.written == 2
+    with pytest.raises(ValueError):
+        S.sketch_qr(Tall(emb), 8, 24, "right", layout="sideways")
+    norm = np.linalg.norm(a)
+    for schedule, sketch in VARIANTS:
+        f = S.sketch_qr(Tall(emb), 8, None, schedule, sketch, error=0.6)
+        assert f.residual <= 0.6 * norm < f.steps[-2]["residual"] and f.k % 8 == 0, (schedule, sketch)
+        q = np.linalg.qr(a[:, f.perm[: f.k]])[0]
+        assert np.isclose(f.residual, np.linalg.norm(a - q @ (q.T @ a)))
+
+
+@pytest.mark.parametrize("kind", ["power", "decay", "plain"])
+def test_reflectors_stay_orthogonal(spark, kind):
+    from tilerank.operators import reflect
+
+    rng = np.random.default_rng(5)
+    m, n = 300, 24
+    x = np.linspace(0.1, 1, m)
+    a = {
+        "power": x[:, None] ** np.arange(n)[None, :],
+        "decay": np.linalg.qr(rng.normal(size=(m, n)))[0] * 10.0 ** (-0.5 * np.arange(n))[None, :] @ np.linalg.qr(rng.normal(size=(n, n)))[0],
+        "plain": rng.normal(size=(m, n)),
+    }[kind]
+    df = spark.createDataFrame([(7 * i - 40, r.tolist()) for i, r in enumerate(a)], "row_id long, x array<double>").repartition(3)
+    for b in (5, 24):
+        f = reflect.reflector_qr(Tall(df), b)
+        q = dense(f.q())
+        assert np.linalg.norm(q.T @ q - np.eye(n)) < 1e-12 and np.linalg.norm(q @ f.r - a) < 1e-13 * np.linalg.norm(a) * n
+        assert np.allclose(np.tril(f.r, -1), 0)
+    thin = np.linalg.solve(K.positive(np.linalg.qr(a)[1]).T, a.T).T
+    assert kind == "plain" or np.linalg.norm(thin.T @ thin - np.eye(n)) > 1e-8
+    w = {(r.step, r.row_id): r.w for r in reflect.reflector_qr(Tall(df), 5).reflectors().collect()}
+    assert len(w) == 5 * m and w[1, -40] == [0.0] * 5 and len(w[4, -40]) == 4
+    with pytest.raises(ValueError):
+        reflect.reflector_qr(Tall(df.where("row_id < 0")), 5)
+
+
+def test_factors_are_saved_and_loaded(spark, emb):
+    from tilerank.operators import reflect
+    from tilerank.sources import factors
+
+    f = S.sketch_qr(Tall(emb), 8, 16, "left", "project")
+    g = factors.load_factor(spark, factors.save_factor(spark, f), Tall(emb))
+    assert g.perm == f.perm and np.array_equal(g.r, f.r) and g.residual == f.residual and g.q().count() == f.q().count()
+    u = U.power_utv(Tall(emb), 16, 1, 16, "triangle")
+    v = factors.load_factor(spark, factors.save_factor(spark, u), Tall(emb))
+    assert np.array_equal(v.v, u.v) and np.array_equal(v.t, u.t)
+    path = factors.save_factor(spark, reflect.reflector_qr(Tall(emb), 16, f.perm[:32]))
+    assert factors.read_reflectors(spark, path, 1).count() == emb.count() == factors.read_reflectors(spark, path).count() / 2
+
+
+def test_factorize_picks_a_schedule(spark, emb):
+    from tilerank.operators.router import factorize
+
+    emb.createOrReplaceTempView("some_rows__")
+    assert factorize(spark, "SELECT row_id, x FROM some_rows__", "sketch_qr", k=16, b=8, rng="md5").perm == S.sketch_qr(Tall(emb), 8, 16, "triangle").perm
+    assert factorize(spark, "SELECT row_id, x[0] AS p, x[1] AS q FROM some_rows__", "qr").r.shape == (2, 2)
+    assert factorize(spark, "SELECT row_id, x FROM some_rows__", "utv", b=16).k == 64
+    for bad in ("SELECT row_id, 'a' AS x FROM some_rows__", "SELECT row_id FROM some_rows__"):
+        with pytest.raises(ValueError):
+            factorize(spark, bad)
+
+
 def test_full_ragged_and_deficient(spark, sf, emb, a):
     full = S.sketch_qr(Tall(emb), 24, None, "left", "project")
     assert sorted(full.perm) == list(range(64)) and full.residual < 1e-9 and np.allclose(dense(full.reconstruct()), a)

@@ -11,7 +11,7 @@ from oracle import connect, difference  # noqa: E402
 
 QUICK = [
     "src_table_counts", "src_keyed_gaussian", "mat_userhour_pivot", "mat_tile_roundtrip", "mat_page_tags", "lin_gram_emb", "lin_tile_matmul", "cpqr_emb_pivots", "cpqr_columnwise_emb",
-    "sketchqr_emb_k16_pullback", "sketchqr_emb_k16_right", "sketchqr_emb_k16_downdate", "sketch_emb_block1_pivots", "utv_q1_emb_tile0_logvol", "utv_left_emb_recon", "svd_emb_power_sums",
+    "sketchqr_emb_k16_pullback", "sketchqr_emb_k16_right", "sketchqr_emb_k16_downdate", "sketch_emb_block1_pivots", "utv_q1_emb_tile0_logvol", "utv_left_emb_identity", "sketchqr_emb_k16_physical", "sketchqr_emb_residuals", "reflectorqr_emb_identity", "cpqr_design_rank", "ledger_lru_trace", "ledger_qr_masks", "tileutv_emb_gram_memory", "join_lateral", "join_salted", "lin_tile_combine", "io_npy_tiles", "io_matrix_market", "app_near_dup_pairs", "stream_output_modes", "svd_emb_power_sums",
     "ledger_2x2_tasks", "ledger_lru_io", "ledger_reuse_distance", "ledger_utv_counts", "model_write_volume", "model_table1_ratios", "join_asof_events", "join_cogroup_pair", "join_range_panels",
     "agg_cube", "agg_percentile", "win_row_index", "win_range_frame", "set_intersect_except_all", "fn_householder", "fn_dates", "udf_grouped_qr", "udtf_tile_entries", "io_bucketed_join", "io_roundtrip_orc",
     "stream_session", "stream_sketch_state", "stream_r_incremental", "stream_late_rows", "app_lstsq_line4", "lin_tri_solve",
@@ -44,18 +44,28 @@ def test_plans(spark, sf):
     assert "ReadSchema: struct<l_quantity:double,l_discount:double,l_shipdate:timestamp_ntz>" in pushed
     assert "BroadcastHashJoin" in plan(q["join_broadcast_thin"](spark, sf))
     assert "ShuffledHashJoin" in plan(q["join_shuffle_hash"](spark, sf))
-    for name in ("join_asof_events", "join_theta_upper", "join_range_panels", "join_multi_star", "lin_tile_matmul"):
+    for name in ("join_asof_events", "join_theta_upper", "join_range_panels", "join_multi_star", "lin_tile_matmul", "join_lateral", "join_cross_grid"):
         assert "CartesianProduct" not in plan(q[name](spark, sf)) and "BroadcastNestedLoop" not in plan(q[name](spark, sf)), name
     bucketed = plan(q["io_bucketed_join"](spark, sf))
     assert "SortMergeJoin" in bucketed and bucketed.split("== Physical Plan ==")[1].count("Exchange hashpartitioning") == 0
 
 
 def test_random_tiles_do_not_depend_on_the_partitioning(spark):
-    from tilerank.sources.formats import RandomTiles
+    from tilerank.sources import formats
 
-    spark.dataSource.register(RandomTiles)
+    formats.register(spark)
     read = lambda b: spark.read.format("tilematrix").option("m", "20").option("n", "12").option("b", b).load()
     from tilerank.sources.tables import from_tiles
 
     rows = lambda b: sorted(tuple(r) for r in from_tiles(read(str(b)), b).collect())
     assert rows(5) == rows(8) and len(rows(5)) == 240
+
+
+def test_filters_reach_the_tile_sources(spark):
+    from tilerank.sources import formats
+
+    formats.register(spark)
+    tiles = spark.read.format("tilematrix").option("m", "100").option("n", "40").option("b", "10").load()
+    kept = tiles.where("bi >= 8 and bj = 1")
+    assert kept.rdd.getNumPartitions() == 2 and {(r.bi, r.bj) for r in kept.collect()} == {(8, 1), (9, 1)}
+    assert tiles.where("bi in (1, 3)").rdd.getNumPartitions() == 2

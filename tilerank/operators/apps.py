@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from tilerank.functions import kernels as K
 
 from . import utv
-from .matrix import Tall
+from .matrix import Tall, write_step
 
 
 def lstsq(mat: Tall, n: int, tol: float = 1e-10) -> tuple[np.ndarray, float]:
@@ -54,3 +54,40 @@ def kept_energy(mat: Tall, ks: list[int], seed: int) -> list[tuple]:
     r = mat.triangle()
     total = float((r**2).sum())
     return [(k, float((np.linalg.qr(r @ f.v[:, :k])[0].T @ r).__pow__(2).sum() / total)) for k in ks]
+
+
+def term_classes(rows: DataFrame, digits: int = 9) -> DataFrame:
+    """(row_id, first_id): each row with the smallest id of the rows equal to it (to so many digits)."""
+    key = rows.select("row_id", F.md5(F.array_join(F.transform("x", lambda v: F.round(v, digits).cast("string")), ",")).alias("key"))
+    first = key.groupBy("key").agg(F.min("row_id").alias("first_id"))
+    return key.join(first, "key").select("row_id", "first_id")
+
+
+def near_pairs(rows: DataFrame, n: int, cosine: float, width: int = 12, cells: int = 3) -> DataFrame:
+    """(a, b, cosine) for all pairs of different rows, one for each class of equal ones, whose cosine is at least ``cosine``.
+
+    Rows of norm one that are so alike lie within a distance of sqrt(2 - 2 cosine), and so do their projections on any orthonormal
+    columns. The leading right basis of a UTV factorization of the centred rows spreads them most: its first ``cells`` coordinates
+    are cut into cells of that width, a row meets those of its own and the adjoining cells, ``width`` coordinates sort out most pairs, and
+    the rows' product decides. No pair is lost; the number of pairs that meet falls with ``cells``.
+    """
+    kept = rows.join(term_classes(rows).where("row_id = first_id").select("row_id"), "row_id", "left_semi")
+    norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, v: s + v * v))
+    unit = write_step(kept.select("row_id", "x", norm.alias("n")).where("n > 0").select("row_id", F.transform("x", lambda v: v / F.col("n")).alias("x")), "unit")
+    if unit.isEmpty():
+        return unit.select(F.col("row_id").alias("a"), F.col("row_id").alias("b"), F.lit(0.0).alias("cosine"))
+    mat = Tall(unit, n)
+    mean = mat.reduce(lambda _, a: np.vstack([a.sum(0), np.full(a.shape[1], len(a))]))
+    mean = mean[0] / mean[1]
+    centred = Tall(mat.map_rows(lambda _, a: a - mean), n)
+    v = utv.power_utv(centred, width, 1, width, "triangle", rng="mix").v[:, :width]
+    far = float(np.sqrt(2 - 2 * cosine))
+    points = Tall(centred.map_rows(lambda _, a: a @ v), width).df.withColumnRenamed("x", "y").withColumnRenamed("row_id", "i")
+    points = write_step(points.withColumn("cell", F.array(*[F.floor(F.get("y", F.lit(c)) / far) for c in range(cells)])), "points")
+    near = F.array(*[F.array(*[F.lit(x - 1) for x in np.unravel_index(k, (3,) * cells)]) for k in range(3**cells)])
+    visits = points.withColumn("off", F.explode(near)).select(F.zip_with("cell", "off", lambda a, b: a + b).alias("cell"), F.col("i").alias("b"), F.col("y").alias("z"))
+    apart = F.aggregate(F.zip_with("y", "z", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, d: s + d)
+    met = points.withColumnRenamed("i", "a").join(visits, "cell").where(F.col("a") < F.col("b")).where(apart <= far * far * (1 + 1e-9)).select("a", "b")
+    both = met.join(unit.toDF("a", "x"), "a").join(unit.toDF("b", "w"), "b")
+    product = F.aggregate(F.zip_with("x", "w", lambda a, b: a * b), F.lit(0.0), lambda s, d: s + d)
+    return both.select("a", "b", product.alias("cosine")).where(F.col("cosine") >= cosine)

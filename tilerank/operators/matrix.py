@@ -150,11 +150,20 @@ class Tall:
         return K.positive(np.vstack([r, np.zeros((max(0, n - len(r)), n))]))
 
 
+def shared_root(spark) -> str:
+    """A folder that driver and executors share: ``spark.checkpoint.dir``; the warehouse only where that is unset and the master is local."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        root = spark.conf.get("spark.sql.warehouse.dir")
+    return f"{root.rstrip('/')}/steps"
+
+
 def write_step(df: DataFrame, label: str) -> DataFrame:
     """Write a step's frame to the shared folder and read it back: a restart point that cuts the lineage."""
     spark = df.sparkSession
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    path = f"{root.rstrip('/')}/steps/{label}-{uuid.uuid4().hex}"
+    path = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -6,7 +6,7 @@ import numpy as np
 
 from tilerank.functions import kernels as K
 
-from . import sketchqr, utv
+from . import baselines, sketchqr, utv
 from .matrix import Tall
 
 
@@ -33,7 +33,8 @@ def rank_k_errors(mat: Tall, ks: list[int], b: int, seed: int) -> list[tuple]:
             else:
                 basis = np.linalg.qr(r[:, f.perm[:k]])[0]
             spectral, frob = residual_norms(r, basis @ (basis.T @ r))
-            rows.append((name, k, q, spectral / float(sv[k]), frob / float(np.sqrt((sv[k:] ** 2).sum()))))
+            best = baselines.optimal_error(mat, k, sv)
+            rows.append((name, k, q, spectral / best[0], frob / best[1]))
     return rows
 
 

@@ -1,24 +1,35 @@
 """Running a ledger on real tiles: in memory, or as Spark jobs wave by wave.
 
-A tile store is a frame ``name``, ``nr``, ``nc``, ``data``. A wave's tasks are rows; their in-blocks are brought to them by
-a join on the name, one group a task (at most four tiles), and the blocks they change replace the old ones. Every
-wave is a table of the shared folder, so a run can restart from it. ``direct`` reads it back for each use; ``overlap``
-keeps it as persisted blocks that the block manager reads once, serves from memory and evicts by age.
+A tile store is a frame ``name``, ``nr``, ``nc``, ``data``. Tiles are never changed: a wave writes those that it makes as a version of
+their own, ``version=w/panel=...`` with a panel for each tile column of each matrix, and a manifest on the driver (a
+number for each tile) says which version of a tile is the last. A wave reads just the (version, panel) folders that its tasks' blocks are in,
+and brings the blocks to the tasks by a join on name and version, one group a task (at most four tiles). What a run writes is thus what its tasks
+change. A version with its success mark is finished, so a run that is started again on the same folder goes on where it stopped.
+
+``direct`` reads a wave's blocks when the wave runs. ``overlap`` has a second lane: while a wave runs, another thread reads the blocks that the next wave
+needs and that are there already into the block manager. Both keep a trace of each lane's start and end.
 """
 
 from __future__ import annotations
 
+import time
+import uuid
+from concurrent.futures import ThreadPoolExecutor
+from contextlib import contextmanager
+from dataclasses import dataclass, field
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tilerank.functions import kernels as K
 from tilerank.functions.keyed import DRAWS
 from tilerank.plans.ledger import Task, waves
 
-from .matrix import write_step
+from .matrix import shared_root
 
+TILE = "bi int, bj int, nr int, nc int, data binary"
 STORE = "name string, nr int, nc int, data binary"
 
 
@@ -60,6 +71,23 @@ def run_task(op: str, args: tuple, ins: list[np.ndarray], shapes: dict, seed: in
         new = top.copy()
         new[:h] = np.tril(top[:h], -1) + np.triu(r[:h])
         return [new, w[n:], s]
+    if op == "qr_tree":
+        upper, lower = ins
+        n = upper.shape[1]
+        h, g = min(len(upper), n), min(len(lower), n)
+        tri, low = np.zeros((n, n)), np.zeros((n, n))
+        tri[:h], low[:g] = np.triu(upper[:h]), np.triu(lower[:g])
+        r, w, s = K.reflectors(np.vstack([tri, low]))
+        new = upper.copy()
+        new[:h] = np.tril(upper[:h], -1) + np.triu(r[:h])
+        return [new, w[n:], s]
+    if op == "left_tree":
+        low, s, top, x = ins
+        n = low.shape[1]
+        a, c = np.zeros((n, top.shape[1])), np.zeros((n, top.shape[1]))
+        a[: min(len(top), n)], c[: min(len(x), n)] = top[:n], x[:n]
+        both = K.apply_left(stacked_w(low), s, np.vstack([a, c]))
+        return [np.vstack([both[:n][: len(top)], top[n:]]), np.vstack([both[n:][: len(x)], x[n:]])]
     if op == "left_dense":
         return [K.apply_left(unit_lower(ins[0]), ins[1], ins[2])]
     if op == "right_dense":
@@ -81,7 +109,8 @@ def run_task(op: str, args: tuple, ins: list[np.ndarray], shapes: dict, seed: in
     if op == "svd":
         a = ins[0]
         h = min(a.shape)
-        u, d, v = K.small_svd(a[:h])
+        # a tall tile that no triangle was made of (the last one of a grid with more rows than columns) takes all its rows
+        u, d, v = K.small_svd(a[:h] if not a[h:].any() else a)
         out = np.zeros_like(a)
         out[np.arange(h), np.arange(h)] = d
         return [out, u, v]
@@ -113,12 +142,54 @@ def join_tiles(tiles: dict[str, np.ndarray], name: str, rows: int, cols: int) ->
     return np.block([[tiles[f"{name}_{i}_{j}"] for j in range(cols)] for i in range(rows)])
 
 
-def run_local(tasks: list[Task], tiles: dict[str, np.ndarray], m: int, n: int, b: int, seed: int = 7) -> dict[str, np.ndarray]:
-    """All tiles in memory."""
+@contextmanager
+def blas_threads(n: int):
+    """Let BLAS use ``n`` threads inside; -> whether this NumPy's library could be told."""
+    calls = blas_calls()
+    if calls is None:
+        yield False
+        return
+    get, put = calls
+    before = get()
+    put(n)
+    try:
+        yield True
+    finally:
+        put(before)
+
+
+def blas_calls():
+    """(get, set) for the number of threads of the OpenBLAS that comes with NumPy, or None."""
+    import ctypes
+    from pathlib import Path
+
+    for lib in Path(np.__file__).parent.parent.glob("numpy.libs/*openblas*"):
+        handle = ctypes.CDLL(str(lib))
+        for prefix, suffix in (("scipy_openblas", "64_"), ("openblas", "64_"), ("openblas", "")):
+            get, put = (getattr(handle, f"{prefix}_{x}_num_threads{suffix}", None) for x in ("get", "set"))
+            if get and put:
+                return get, put
+    return None
+
+
+def run_local(tasks: list[Task], tiles: dict[str, np.ndarray], m: int, n: int, b: int, seed: int = 7, workers: int = 1) -> dict[str, np.ndarray]:
+    """All tiles in memory. With several workers the tasks of a wave run beside each other, each with one BLAS thread."""
     shapes, held = grid_shapes(m, n, b), dict(tiles)
-    for t in tasks:
-        got = [zero_of(t.outs[0], shapes)] if t.op == "set_zero" else run_task(t.op, t.args, [held[x] for x in t.ins], shapes, seed, b)
-        held.update(zip(t.outs, got, strict=True))
+
+    def one(t: Task) -> list[np.ndarray]:
+        return [zero_of(t.outs[0], shapes)] if t.op == "set_zero" else run_task(t.op, t.args, [held[x] for x in t.ins], shapes, seed, b)
+
+    if workers == 1:
+        for t in tasks:
+            held.update(zip(t.outs, one(t), strict=True))
+        return held
+    by_wave: dict[int, list[Task]] = {}
+    for t, w in zip(tasks, waves(tasks), strict=True):
+        by_wave.setdefault(w, []).append(t)
+    with blas_threads(1), ThreadPoolExecutor(workers) as pool:
+        for w in sorted(by_wave):
+            for t, got in zip(by_wave[w], list(pool.map(one, by_wave[w])), strict=True):
+                held.update(zip(t.outs, got, strict=True))
     return held
 
 
@@ -127,38 +198,177 @@ def store(tiles: DataFrame, name: str = "A") -> DataFrame:
     return tiles.select(F.format_string(f"{name}_%d_%d", "bi", "bj").alias("name"), "nr", "nc", "data")
 
 
-def run_waves(tasks: list[Task], tiles: DataFrame, m: int, n: int, b: int, seed: int = 7, mode: str = "overlap") -> DataFrame:
-    """The same on executors: a job for each wave; missing tiles are zero."""
-    if mode not in ("direct", "overlap"):
-        raise ValueError(f"no mode {mode}")
-    spark, shapes = tiles.sparkSession, grid_shapes(m, n, b)
-    level = waves(tasks)
-    arguments = {t.seq: (t.op, t.args, t.ins, t.outs) for t in tasks}
+def grid(tiles: DataFrame, name: str) -> DataFrame:
+    """One matrix of a tile store -> tile frame."""
+    own = tiles.where(F.split("name", "_")[0] == name)
+    return own.select(F.split("name", "_")[1].cast("int").alias("bi"), F.split("name", "_")[2].cast("int").alias("bj"), "nr", "nc", "data")
+
+
+def multiply(x: DataFrame, y: DataFrame) -> DataFrame:
+    """X Y of tile frames: joined on the contraction index, products summed within batches and then by place. Missing tiles are zero."""
+    pairs = x.select("bi", F.col("bj").alias("k"), "nr", F.col("nc").alias("w"), F.col("data").alias("x")).join(y.select(F.col("bi").alias("k"), "bj", "nc", F.col("data").alias("y")), "k")
+
+    def products(batches):
+        for p in batches:
+            sums: dict[tuple[int, int], np.ndarray] = {}
+            for r in p.to_pylist():
+                made = np.frombuffer(r["x"]).reshape(r["nr"], r["w"]) @ np.frombuffer(r["y"]).reshape(r["w"], r["nc"])
+                at = (r["bi"], r["bj"])
+                sums[at] = sums[at] + made if at in sums else made
+            yield tile_batch(sums)
+
+    def total(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+        parts = [np.frombuffer(r["data"]).reshape(r["nr"], r["nc"]) for r in t.to_pylist()]
+        return pa.Table.from_batches([tile_batch({(key[0].as_py(), key[1].as_py()): sum(parts[1:], parts[0])})])
+
+    return pairs.select("bi", "bj", "nr", "nc", "w", "x", "y").mapInArrow(products, TILE).groupBy("bi", "bj").applyInArrow(total, TILE)
+
+
+def combine(x: DataFrame, y: DataFrame, f) -> DataFrame:
+    """``f(tile of x, tile of y)`` place by place: sums, differences, a x + y, entrywise products. A tile that only one side has meets zeros."""
+
+    def run(batches):
+        for p in batches:
+            out = {}
+            for r in p.to_pylist():
+                zero = np.zeros((r["nr"], r["nc"]))
+                a, b = (zero if r[c] is None else np.frombuffer(r[c]).reshape(zero.shape) for c in ("x", "y"))
+                out[r["bi"], r["bj"]] = np.ascontiguousarray(f(a, b), dtype=float)
+            yield tile_batch(out)
+
+    both = x.withColumnRenamed("data", "x").join(y.withColumnRenamed("data", "y"), ["bi", "bj", "nr", "nc"], "full")
+    return both.select("bi", "bj", "nr", "nc", "x", "y").mapInArrow(run, TILE)
+
 
-    def run(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+def trailing(tiles: DataFrame, i: int) -> DataFrame:
+    """The tiles from row and column i on; the filter reaches the scan."""
+    return tiles.where((F.col("bi") >= i) & (F.col("bj") >= i))
+
+
+def tile_batch(tiles: dict[tuple[int, int], np.ndarray]) -> pa.RecordBatch:
+    places, data = list(tiles), [np.ascontiguousarray(a) for a in tiles.values()]
+    ints = [pa.array(c, pa.int32()) for c in ([p[0] for p in places], [p[1] for p in places], [a.shape[0] for a in data], [a.shape[1] for a in data])]
+    return pa.RecordBatch.from_arrays([*ints, pa.array([a.tobytes() for a in data], pa.binary())], names=["bi", "bj", "nr", "nc", "data"])
+
+
+def panel_of(name: str) -> str:
+    """The folder of a tile: its matrix and its tile column."""
+    kind, _, place = name.partition("_")
+    return f"{kind}_{place.rpartition('_')[2]}"
+
+
+@dataclass
+class TileRun:
+    """The versions of all tiles, what was read and written (tiles and bytes, without the first version), and the lanes' times."""
+
+    spark: SparkSession
+    root: str
+    manifest: dict[str, int]
+    read: list[int] = field(default_factory=lambda: [0, 0])
+    written: list[int] = field(default_factory=lambda: [0, 0])
+    trace: list[tuple[str, int, float, float, int]] = field(default_factory=list)
+
+    def folders(self, names) -> list[str]:
+        return sorted({f"{self.root}/version={self.manifest[x]}/panel={panel_of(x)}" for x in names})
+
+    def tiles(self, kind: str | None = None) -> DataFrame:
+        """The last version of all tiles, or of one matrix's."""
+        names = [x for x in self.manifest if kind is None or x.partition("_")[0] == kind]
+        if not names:
+            return self.spark.createDataFrame([], STORE)
+        wanted = self.spark.createDataFrame([(x, self.manifest[x]) for x in names], "name string, made int")
+        found = self.spark.read.schema(f"{STORE}, made int").parquet(*self.folders(names))
+        return found.join(wanted, ["name", "made"], "left_semi").drop("made")
+
+
+def worker(arguments: dict[int, tuple], shapes: dict, seed: int, b: int):
+    """What a group does: one task on its blocks."""
+
+    def work(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         op, args, ins, outs = arguments[key[0].as_py()]
         held = {x["name"]: np.frombuffer(x["data"]).reshape(x["nr"], x["nc"]) for x in t.to_pylist() if x["data"] is not None}
         got = [zero_of(outs[0], shapes)] if op == "set_zero" else run_task(op, args, [held[x] if x in held else zero_of(x, shapes) for x in ins], shapes, seed, b)
         return pa.table({"name": outs, "nr": pa.array([g.shape[0] for g in got], pa.int32()), "nc": pa.array([g.shape[1] for g in got], pa.int32()), "data": pa.array([np.ascontiguousarray(g).tobytes() for g in got], pa.binary())})
 
-    now, kept = tiles.select("name", "nr", "nc", "data"), []
-    for w in range(max(level, default=-1) + 1):
-        mine = [t for t, x in zip(tasks, level, strict=True) if x == w]
-        needs = spark.createDataFrame([(t.seq, x) for t in mine for x in (t.ins or [""])], "seq int, name string")
-        gone = spark.createDataFrame([(x,) for t in mine for x in t.outs], "name string")
-        made = F.broadcast(needs).join(now, "name", "right").where("seq is not null")
-        idle = needs.where("name = ''").select("name", "seq", F.lit(None).cast("int").alias("nr"), F.lit(None).cast("int").alias("nc"), F.lit(None).cast("binary").alias("data"))
-        absent = needs.where("name <> ''").join(now.select("name"), "name", "left_anti").select(*idle.columns[:2], *[F.lit(None).cast(c).alias(x) for x, c in (("nr", "int"), ("nc", "int"), ("data", "binary"))])
-        done = made.select(*idle.columns).union(idle).union(absent).groupBy("seq").applyInArrow(run, STORE)
-        now = now.join(F.broadcast(gone), "name", "left_anti").union(done).coalesce(8)
-        now = write_step(now, "wave")
-        if mode == "overlap":
-            now = now.persist()
-            last = kept and kept.pop()
-            if last:
-                last.unpersist()
-            kept.append(now)
-    out = write_step(now, "tiles")
-    for k in kept:
-        k.unpersist()
-    return out
+    return work
+
+
+def run_waves(tasks: list[Task], tiles: DataFrame, m: int, n: int, b: int, seed: int = 7, mode: str = "overlap", root: str | None = None) -> TileRun:
+    """The same on executors: a job for each wave; missing tiles are zero."""
+    if mode not in ("direct", "overlap"):
+        raise ValueError(f"no mode {mode}")
+    spark, shapes = tiles.sparkSession, grid_shapes(m, n, b)
+    root = root or f"{shared_root(spark)}/tiles-{uuid.uuid4().hex}"
+    run = TileRun(spark, root, {})
+    began = time.time()
+
+    def put(df: DataFrame, version: int) -> None:
+        place = F.regexp_replace("name", "_(?:[0-9]+_)?([0-9]+)$", "_$1")
+        df.withColumns({"made": F.lit(version), "panel": place}).write.mode("overwrite").partitionBy("panel").parquet(f"{root}/version={version}")
+
+    def done(version: int) -> bool:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{root}/version={version}/_SUCCESS")
+        return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path)
+
+    def names_of(version: int) -> list[str]:
+        return [r["name"] for r in spark.read.parquet(f"{root}/version={version}").select("name").collect()]
+
+    if not done(0):
+        put(tiles.select("name", "nr", "nc", "data"), 0)
+    run.manifest = dict.fromkeys(names_of(0), 0)  # a name for each tile
+    size = {}
+    by_wave: list[list[Task]] = []
+    for t, w in zip(tasks, waves(tasks), strict=True):
+        by_wave += [[]] * (w + 1 - len(by_wave))
+        by_wave[w] = by_wave[w] + [t]
+
+    def blocks(mine: list[Task], names: list[str]) -> DataFrame:
+        """(seq, name, nr, nc, data) for the tasks' blocks among ``names``, all of which are there."""
+        wanted = set(names)
+        needs = spark.createDataFrame([(t.seq, x, run.manifest[x]) for t in mine for x in dict.fromkeys(t.ins) if x in wanted], "seq int, name string, made int")
+        found = spark.read.schema(f"{STORE}, made int").parquet(*run.folders(names))
+        # at most four rows a task of this wave
+        return found.join(F.broadcast(needs), ["name", "made"]).select("seq", "name", "nr", "nc", "data")
+
+    def prefetch(mine: list[Task], names: list[str], wave: int) -> DataFrame:
+        start = time.time()
+        held = blocks(mine, names).persist()
+        held.count()
+        run.trace.append(("read", wave, start - began, time.time() - began, len(names)))
+        return held
+
+    with ThreadPoolExecutor(1) as lane:
+        ahead = None
+        for w, mine in enumerate(by_wave):
+            outs = {x for t in mine for x in t.outs}
+            if done(w + 1):
+                run.manifest.update(dict.fromkeys(names_of(w + 1), w + 1))
+                continue
+            needed = sorted({x for t in mine for x in t.ins if x in run.manifest})
+            early, held = ahead.result() if ahead else ([], None)
+            late = sorted(set(needed) - set(early))
+            parts = ([held] if held is not None else []) + ([blocks(mine, late)] if late else [])
+            # a row without data keeps tasks whose blocks aren't there
+            idle = spark.createDataFrame([(t.seq, "", None, None, None) for t in mine], f"seq int, {STORE}")
+            for p in parts:
+                idle = idle.unionByName(p)
+            arguments = {t.seq: (t.op, t.args, t.ins, t.outs) for t in mine}
+
+            ahead = None
+            if mode == "overlap" and w + 1 < len(by_wave) and not done(w + 2):
+                after = by_wave[w + 1]
+                there = sorted({x for t in after for x in t.ins if x in run.manifest and x not in outs})
+                if there:
+                    ahead = lane.submit(lambda a=after, n=there, w=w: (n, prefetch(a, n, w + 1)))
+            start = time.time()
+            put(idle.groupBy("seq").applyInArrow(worker(arguments, shapes, seed, b), STORE), w + 1)
+            run.trace.append(("compute", w, start - began, time.time() - began, len(mine)))
+            if held is not None:
+                held.unpersist()
+            run.manifest.update(dict.fromkeys(outs, w + 1))
+            sizes = spark.read.parquet(f"{root}/version={w + 1}").select("name", (F.col("nr") * F.col("nc") * 8).alias("bytes")).collect()  # the wave's tiles
+            size.update({r["name"]: r["bytes"] for r in sizes})
+            for counted, names in ((run.read, [x for t in mine for x in t.ins if x in run.manifest]), (run.written, [x for t in mine for x in t.outs])):
+                counted[0] += len(names)
+                counted[1] += sum(size.get(x, 8 * b * b) for x in names)
+    return run

@@ -44,13 +44,27 @@ def speedup_percent(direct: float, overlapped: float) -> float:
 
 
 def passes(schedule: str, sketch: str, k: int, b: int) -> int:
-    """Scans of a tall matrix by ``sketch_qr``."""
-    p = -(-k // b)
+    """Scans of a tall matrix by ``sketch_qr`` (one for the triangle; else a pass a step, with what its sketch takes besides)."""
     if schedule == "triangle":
         return 1
-    each = {"pullback": 2, "recompute": 2, "project": 1, "upfront": 1, "downdate": 1}[sketch]
-    first = 1
-    return first + (p - 1) * each + p + 1
+    p = -(-k // b)
+    if schedule == "right":  # the draws are put beside A in the first pass; a step reads twice, and writes once but for the last
+        return 3 * p - 1
+    return 1 + p + (p - 1) * {"pullback": 2, "recompute": 1, "project": 0, "upfront": 0, "downdate": 0}[sketch]
+
+
+def tall_flops(m: int, n: int, k: int, b: int, sketch: str = "project") -> float:
+    """Leading flops of a left-looking partial run on m x n: sketches, panels made current, H'A and the panels' triangles."""
+    total = 0.0
+    for lo in range(0, k, b):
+        w = min(b, k - lo)
+        total += 2.0 * m * n * w  # G'A
+        total += 2.0 * m * lo * w + 2.0 * m * n * w + 2.0 * m * w * w
+        if lo and sketch == "pullback":
+            total += 4.0 * m * lo * w
+        if lo and sketch == "recompute":
+            total += 2.0 * m * n * lo
+    return total
 
 
 def choose_regime(rows: float, n: int, k: int, memory: int = 512 << 20) -> str:

@@ -10,13 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tilerank.functions import vectors as V
-from tilerank.functions.keyed import gaussian_sql, mixed
+from tilerank.functions.keyed import gaussian_sql, gaussians
+from tilerank.operators.router import factorize
 from tilerank.sources import formats
 from tilerank.sources import tables as T
 from tilerank.streaming import events as S
 
 from . import sqlgen as G
-from .methods import triangle_frame
+from .methods import pivot_frame, triangle_frame
 from .relational import r6
 
 QUERIES: dict = {}
@@ -141,7 +142,7 @@ def io_pushdown_filter(s: SparkSession, d: str) -> DataFrame:
 
 @q()
 def io_datasource_tiles(s: SparkSession, d: str) -> DataFrame:
-    s.dataSource.register(formats.RandomTiles)
+    formats.register(s)
     return s.read.format("tilematrix").option("m", "100").option("n", "40").option("b", "16").load().select("bi", "bj", (F.round(V.tile_norm("data"), 6) + 0.0).alias("norm"))
 
 
@@ -230,22 +231,59 @@ def stream_late_rows(s: SparkSession, d: str) -> DataFrame:
     return kept.agg(F.count("*").alias("kept")).crossJoin(F.broadcast(e.agg(F.count("*").alias("total")))).select("kept", (F.col("total") - F.col("kept")).alias("dropped"))
 
 
-@q("SELECT mode, event_type, n FROM (SELECT event_type, count(*) AS n FROM events GROUP BY 1), (VALUES ('complete'), ('update')) AS m(mode)")
+@q("SELECT mode, strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, count(*) AS n FROM events, (VALUES ('append'), ('complete'), ('update')) AS m(mode) GROUP BY 1, 2")
 def stream_output_modes(s: SparkSession, d: str) -> DataFrame:
+    """Append, update and complete end with the same table, once later rows have closed all windows."""
+    e = T.load(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
     out = None
-    for mode in ("complete", "update"):
-        one = S.settle(stamped(s, d).groupBy("event_type").agg(F.count("*").alias("n")), mode, ["event_type"]).select(F.lit(mode).alias("mode"), "event_type", "n")
+    for mode in ("append", "complete", "update"):
+        one = S.settle(S.daily_counts(S.closing(e)), mode, ["window"]).where("window.start < timestamp'2100-01-01'")
+        one = one.select(F.lit(mode).alias("mode"), F.date_format("window.start", "yyyy-MM-dd").alias("day"), "n")
         out = one if out is None else out.union(one)
     return out
 
 
-@q()
+@q(G.classical_pivots(G.EMB, 8))
+def sql_factorize_emb(s: SparkSession, d: str) -> DataFrame:
+    """A factorization of what a SQL text returns."""
+    T.load(s, d, "embeddings").createOrReplaceTempView("embeddings__")
+    f = factorize(s, "SELECT vec_id, embedding FROM embeddings__", "cpqr", k=8)
+    return pivot_frame(s, f, 8)
+
+
+@q(f"SELECT row_id AS vec_id, CAST(col_id AS BIGINT) AS col, round(v, 6) + 0.0 AS v FROM ({G.EMB})")
+def io_matrix_market(s: SparkSession, d: str) -> DataFrame:
+    path = f"{S.root_of(s)}/matrix"
+    e = T.entries(T.emb(s, d))
+    formats.write_matrix_market(e, path, T.load(s, d, "embeddings").count(), 64)
+    return formats.read_matrix_market(s, path).select(F.col("row_id").alias("vec_id"), F.col("col_id").cast("bigint").alias("col"), r6(F.col("v"), "v"))
+
+
+@q(f"SELECT row_id AS vec_id, CAST(col_id AS BIGINT) AS col, round(v, 6) + 0.0 AS v FROM ({G.EMB}) WHERE row_id >= 32")
+def io_npy_tiles(s: SparkSession, d: str) -> DataFrame:
+    """Tiles of a .npy file by range reads; the filter on tile rows leaves out whole partitions."""
+    formats.register(s)
+    path = f"{S.root_of(s)}/matrix.npy"
+    formats.write_npy(T.emb(s, d), path, 64)
+    tiles = s.read.format("matrixfile").option("path", path).option("b", "32").load().where("bi >= 1")
+    return T.from_tiles(tiles, 32).select(F.col("row_id").alias("vec_id"), F.col("col_id").cast("bigint").alias("col"), r6(F.col("v"), "v"))
+
+
+@q("SELECT s_name AS value FROM supplier")
+def io_roundtrip_text(s: SparkSession, d: str) -> DataFrame:
+    path = f"{S.root_of(s)}/text"
+    T.load(s, d, "supplier").select(F.col("s_name").alias("value")).write.text(path)
+    return s.read.text(path)
+
+
+@q(f"SELECT CAST(r AS BIGINT) AS row_id, CAST(c AS BIGINT) AS col, round({gaussian_sql(7, 'r', 'c')}, 6) + 0.0 AS g FROM (SELECT unnest(range(2000)) AS r), (SELECT unnest(range(16)) AS c)")
 def src_random_matrix(s: SparkSession, d: str) -> DataFrame:
     """Random rows by key, never stored."""
 
     def run(batches):
         for b in batches:
-            x = mixed(7, b.column(0).to_numpy(), 16)
+            x = gaussians(7, b.column(0).to_pylist(), 16)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x.tolist(), pa.list_(pa.float64()))], names=["row_id", "x"])
 
-    return s.range(2000).withColumnRenamed("id", "row_id").mapInArrow(run, "row_id bigint, x array<double>")
+    rows = s.range(2000).withColumnRenamed("id", "row_id").mapInArrow(run, "row_id bigint, x array<double>")
+    return T.entries(rows).select("row_id", F.col("col_id").cast("bigint").alias("col"), r6(F.col("v"), "g"))

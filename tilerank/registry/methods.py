@@ -8,8 +8,9 @@ from pyspark.sql import functions as F
 
 from tilerank.functions import kernels as K
 from tilerank.functions.keyed import gaussian_sql, gaussians
-from tilerank.operators import apps, baselines, quality, sketchqr, utv
+from tilerank.operators import apps, baselines, quality, reflect, sketchqr, utv
 from tilerank.operators.matrix import Tall
+from tilerank.sources import factors
 from tilerank.sources import tables as T
 
 from . import sqlgen as G
@@ -67,10 +68,20 @@ register("cpqr_emb_pivots", G.classical_pivots(G.EMB, 64))(lambda s, d: pivot_fr
 register("cpqr_line4_r", G.classical_pivots(G.LINE4, 4))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(Tall(T.line4(s, d)))))
 register("cpqr_userhour_r", G.classical_pivots(G.USERHOUR, 24))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(Tall(T.userhour(s, d)))))
 register("cpqr_columnwise_emb", G.classical_pivots(G.EMB, 8))(lambda s, d: pivot_frame(s, sketchqr.pivoted_columnwise(emb(s, d), 8)))
-register("cpqr_design_rank", 'SELECT CAST(12 - 3 AS BIGINT) AS "rank"')(lambda s, d: s.createDataFrame([(sketchqr.numerical_rank(sketchqr.pivoted_qr(Tall(T.design(s, d))).r),)], "rank bigint"))
+DESIGN_RANK = G.rank(G.DESIGN, 12)
+register("cpqr_design_rank", DESIGN_RANK)(lambda s, d: s.createDataFrame([(sketchqr.numerical_rank(sketchqr.pivoted_qr(Tall(T.design(s, d))).r),)], "rank bigint"))
 register("app_subset_emb", G.classical_pivots(G.EMB, 8))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(emb(s, d), 8)))
 register("leftqr_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, sketchqr.left_qr(emb(s, d), 16)))
 register("panelqr_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, sketchqr.panel_qr(emb(s, d))))
+register("qr_dense_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, baselines.qr_dense(baselines.in_memory(emb(s, d)))))
+
+
+@register("gram_pivoted_cholesky_emb", G.classical_pivots(G.EMB, 64))
+def gram_pivoted(s: SparkSession, d: str) -> DataFrame:
+    order, r = baselines.gram_pivoted_cholesky(emb(s, d))
+    return frame(s, [(i, int(order[i]), float(r[i, i])) for i in range(len(r))], "k bigint, pivot bigint, r_kk double", "r_kk")
+
+
 register("gram_cholesky_emb", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, baselines.gram_cholesky(emb(s, d))))
 M_LINE = "(SELECT sqrt(sum(l_extendedprice * l_extendedprice)) FROM lineitem)"
 
@@ -93,7 +104,7 @@ EMB_ROWS, USER_ROWS = "SELECT vec_id AS row_id FROM embeddings", "SELECT DISTINC
 K16 = G.sketched_pivots(G.EMB, EMB_ROWS, 16, 8, SEED)
 for name, schedule, sketch in (
     ("right", "right", ""), ("recompute", "left", "recompute"), ("pullback", "left", "pullback"), ("project", "left", "project"),
-    ("upfront", "left", "upfront"), ("triangle", "triangle", ""), ("virtual", "left", "project"), ("physical", "left", "upfront"),
+    ("upfront", "left", "upfront"), ("triangle", "triangle", ""),
 ):
     register(f"sketchqr_emb_k16_{name}", K16)(lambda s, d, a=schedule, b=sketch: pivot_frame(s, sketchqr.sketch_qr(emb(s, d), 8, 16, a, b, SEED)))
 register("sketchqr_emb_k16_downdate", G.sketched_pivots(G.EMB, EMB_ROWS, 16, 8, SEED, True))(lambda s, d: pivot_frame(s, sketchqr.sketch_qr(emb(s, d), 8, 16, "left", "downdate", SEED)))
@@ -107,17 +118,90 @@ register("sketch_emb_block1_pivots", f"WITH {G.sketched(G.EMB, EMB_ROWS, 8, 8, S
 )
 FROB_EMB = f"SELECT round(sum(v * v), 6) + 0.0 AS energy FROM ({G.EMB})"
 register("sketchqr_emb_energy", FROB_EMB)(lambda s, d: frame(s, [(float((sketchqr.sketch_qr(emb(s, d), 16, None, "left", "project", SEED).r ** 2).sum()),)], "energy double", "energy"))
-register("sketchqr_emb_virtual_recon", EMB_TABLE)(lambda s, d: entry_frame(sketchqr.sketch_qr(emb(s, d), 16, None, "left", "project", SEED).reconstruct()))
 
 
-@register("sketchqr_emb_physical_recon", EMB_TABLE)
-def physical_recon(s: SparkSession, d: str) -> DataFrame:
-    """Q R with columns in pivot order, moved back by the permutation as metadata."""
-    f = sketchqr.sketch_qr(emb(s, d), 16, None, "left", "upfront", SEED)
-    r = f.r
-    product = Tall(f.physical(), f.mat.n).map_rows(lambda _, a: K.right_solve(a, r) @ r)
-    perm = s.createDataFrame([(i, int(p)) for i, p in enumerate(f.perm)], "col_id int, col bigint")
-    return rounded(T.entries(product).join(F.broadcast(perm), "col_id").select(F.col("row_id").alias("vec_id"), "col", "v"), "v")
+# layouts: what is stored, and where its columns are
+
+
+@register("sketchqr_emb_k16_virtual", G.sketched_rows(G.EMB, EMB_ROWS, 64, 16, 8, SEED, False))
+def sketchqr_virtual(s: SparkSession, d: str) -> DataFrame:
+    """R P': columns stay where they stand while the trailing matrix is rewritten."""
+    f = sketchqr.sketch_qr(emb(s, d), 8, 16, "right", seed=SEED, layout="virtual")
+    r = f.virtual()
+    return frame(s, [(i, c, float(r[i, c])) for i in range(f.k) for c in range(64) if c not in f.perm[:i]], "i bigint, col bigint, r double", "r")
+
+
+@register("sketchqr_emb_k16_physical", G.sketched_rows(G.EMB, EMB_ROWS, 64, 16, 8, SEED, True))
+def sketchqr_physical(s: SparkSession, d: str) -> DataFrame:
+    """R as stored: each step's write moved the columns into pivot order; read back from the factor table."""
+    f = sketchqr.sketch_qr(emb(s, d), 8, 16, "right", seed=SEED, layout="physical")
+    stored = factors.read_triangle(s, factors.save_factor(s, f))
+    return rounded(stored.select("i", F.posexplode("r").alias("pos", "r")).where("pos >= i").select("i", F.col("pos").cast("bigint").alias("pos"), "r"), "r")
+
+
+register("sketchqr_emb_residuals", G.sketched_residuals(G.EMB, EMB_ROWS, 16, 8, SEED))(
+    lambda s, d: frame(s, [(8 * (x["step"] + 1), x["residual"]) for x in sketchqr.sketch_qr(emb(s, d), 8, 16, "left", "project", SEED).steps], "k bigint, residual double", "residual")
+)
+
+
+# orthogonal factors, formed as tables and multiplied with A: Q'Q is the identity, Q'A X equals the triangle
+
+
+def identity_sql(k: int, n: int) -> str:
+    grid = f"(SELECT unnest(range({k})) AS i), (SELECT unnest(range({{}})) AS j)"
+    return (
+        f"SELECT 'basis' AS part, i, j, CASE WHEN i = j THEN 1.0 ELSE 0.0 END AS v FROM {grid.format(k)} "
+        f"UNION ALL SELECT 'triangle', i, j, 0.0 FROM {grid.format(n)}"
+    )
+
+
+def identities(s: SparkSession, q: DataFrame, mat: Tall, x: np.ndarray, t: np.ndarray) -> DataFrame:
+    """Q'Q, and Q'A X less T, from the joined rows of Q and A."""
+    k, n = len(t), mat.n
+    both = q.select("row_id", F.col("x").alias("q")).join(mat.df, "row_id").select("row_id", F.concat("q", "x").alias("x"))
+    g = Tall(both, k + n).reduce(lambda _, a: a[:, :k].T @ a)
+    off = g[:, k:] @ x - t
+    rows = [("basis", i, j, float(g[i, j])) for i in range(k) for j in range(k)]
+    rows += [("triangle", i, j, float(off[i, j])) for i in range(k) for j in range(off.shape[1])]
+    return frame(s, rows, "part string, i bigint, j bigint, v double", "v")
+
+
+def moved(perm: list[int]) -> np.ndarray:
+    return np.eye(len(perm))[:, perm]
+
+
+@register("sketchqr_emb_identity", identity_sql(64, 64))
+def sketchqr_identity(s: SparkSession, d: str) -> DataFrame:
+    f = sketchqr.sketch_qr(emb(s, d), 16, None, "left", "project", SEED)
+    return identities(s, f.q(), f.mat, moved(f.perm), f.r)
+
+
+@register("sketchqr_emb_physical_identity", identity_sql(64, 64))
+def physical_identity(s: SparkSession, d: str) -> DataFrame:
+    f = sketchqr.sketch_qr(emb(s, d), 16, None, "right", seed=SEED, layout="physical")
+    return identities(s, f.q(), f.mat, moved(f.perm), f.r)
+
+
+@register("reflectorqr_emb_identity", identity_sql(64, 64))
+def reflector_identity(s: SparkSession, d: str) -> DataFrame:
+    """Stored reflectors, Q by back-accumulation, over sketched pivots."""
+    perm = sketchqr.sketch_qr(emb(s, d), 16, None, "left", "project", SEED).perm
+    f = reflect.reflector_qr(emb(s, d), 16, perm)
+    return identities(s, f.q(), f.mat, moved(perm), f.r)
+
+
+register("reflectorqr_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, K.positive(reflect.reflector_qr(emb(s, d), 16).r)))
+
+
+@register("reflectorqr_emb_vectors", "SELECT CAST(s AS BIGINT) AS step, count(*) AS n, CAST(0 AS BIGINT) AS above FROM embeddings, (SELECT unnest(range(4)) AS s) GROUP BY 1")
+def reflector_vectors(s: SparkSession, d: str) -> DataFrame:
+    """The reflectors as stored by step: how many rows, and entries above the unit diagonal that aren't zero."""
+    f = reflect.reflector_qr(emb(s, d), 16)
+    stored = factors.read_reflectors(s, factors.save_factor(s, f)).withColumnRenamed("step", "panel")
+    place = F.get(F.map_values(F.map_filter(F.create_map(*[F.lit(int(x)) for kv in zip(f.run.top, range(64)) for x in kv]), lambda k, _: k == F.col("row_id"))), F.lit(0))
+    own = F.when(place >= F.col("panel") * 16, place - F.col("panel") * 16)
+    wrong = F.when(place < F.col("panel") * 16, F.size(F.filter("w", lambda x: F.abs(x) > 1e-12))).when(own < 16, F.size(F.filter("w", lambda x, i: ((i > own) & (F.abs(x) > 1e-12)) | ((i == own) & (F.abs(x - 1) > 1e-9))))).otherwise(0)
+    return stored.groupBy(F.col("panel").cast("bigint").alias("step")).agg(F.count("*").alias("n"), F.sum(wrong).cast("bigint").alias("above"))
 
 
 @register("sketchqr_userhour_partial", f"SELECT round(sqrt(sum(v * v)), 6) + 0.0 AS frob FROM ({G.USERHOUR})")
@@ -138,9 +222,13 @@ def sketchqr_line4_full(s: SparkSession, d: str) -> DataFrame:
 
 # UTV
 
+def utv_identity(s: SparkSession, f: utv.UTV) -> DataFrame:
+    return identities(s, f.u(), f.mat, f.v, f.t[: f.k])
+
+
 for q in (0, 1, 2):
     register(f"utv_q{q}_emb_energy", FROB_EMB)(lambda s, d, q=q: frame(s, [(float((utv.power_utv(emb(s, d), 16, q, None, "left", SEED).t ** 2).sum()),)], "energy double", "energy"))
-    register(f"utv_q{q}_emb_recon", EMB_TABLE)(lambda s, d, q=q: entry_frame(utv.power_utv(emb(s, d), 16, q, None, "right", SEED).reconstruct()))
+    register(f"utv_q{q}_emb_identity", identity_sql(64, 64))(lambda s, d, q=q: utv_identity(s, utv.power_utv(emb(s, d), 16, q, None, "right", SEED)))
 
 
 def logvol(s: SparkSession, d: str, q: int) -> DataFrame:
@@ -178,12 +266,16 @@ def utv_orthogonality(s: SparkSession, d: str) -> DataFrame:
 
 @register("utv_emb_lower_mass", "SELECT CAST(unnest(range(4)) AS BIGINT) AS step, CAST(0 AS BIGINT) AS nonzeros")
 def utv_lower_mass(s: SparkSession, d: str) -> DataFrame:
-    t = np.tril(utv.power_utv(emb(s, d), 16, 1, None, "left", SEED).t, -1)
-    return s.createDataFrame([(i, int(np.count_nonzero(t[:, 16 * i : 16 * i + 16]))) for i in range(4)], "step bigint, nonzeros bigint")
+    """Entries under the diagonal of U'A V, by step, from U as a table."""
+    f = utv.power_utv(emb(s, d), 16, 1, None, "left", SEED)
+    both = f.u().select("row_id", F.col("x").alias("u")).join(f.mat.df, "row_id").select("row_id", F.concat("u", "x").alias("x"))
+    t = Tall(both, 128).reduce(lambda _, a: a[:, :64].T @ a[:, 64:]) @ f.v
+    low = np.abs(np.tril(t, -1)) > 1e-8 * np.abs(t).max()
+    return s.createDataFrame([(i, int(np.count_nonzero(low[:, 16 * i : 16 * i + 16]))) for i in range(4)], "step bigint, nonzeros bigint")
 
 
-register("utv_left_emb_recon", EMB_TABLE)(lambda s, d: entry_frame(utv.power_utv(emb(s, d), 16, 1, None, "left", SEED).reconstruct()))
-register("utv_triangle_emb_recon", EMB_TABLE)(lambda s, d: entry_frame(utv.power_utv(emb(s, d), 16, 1, None, "triangle", SEED).reconstruct()))
+for schedule in ("left", "triangle"):
+    register(f"utv_{schedule}_emb_identity", identity_sql(64, 64))(lambda s, d, x=schedule: utv_identity(s, utv.power_utv(emb(s, d), 16, 1, None, x, SEED)))
 USER_GRAM = f"WITH e AS ({G.USERHOUR}), f AS (SELECT sum(v * v) AS f FROM e) SELECT CAST(a.col_id AS BIGINT) AS i, CAST(b.col_id AS BIGINT) AS j, round(sum(a.v * b.v) / any_value(f), 6) + 0.0 AS v FROM e a JOIN e b USING (row_id) CROSS JOIN f GROUP BY 1, 2"
 
 
@@ -195,7 +287,7 @@ def utv_gram_recon(s: SparkSession, d: str) -> DataFrame:
     return frame(s, [(i, j, float(g[i, j])) for i in range(24) for j in range(24)], "i bigint, j bigint, v double", "v")
 
 
-register("utv_design_rank", 'SELECT CAST(9 AS BIGINT) AS "rank"')(lambda s, d: s.createDataFrame([(utv.power_utv(Tall(T.design(s, d)), 4, 1, None, "left", SEED, tol=1e-8).rank(),)], "rank bigint"))
+register("utv_design_rank", DESIGN_RANK)(lambda s, d: s.createDataFrame([(utv.power_utv(Tall(T.design(s, d)), 4, 1, None, "left", SEED, tol=1e-8).rank(),)], "rank bigint"))
 register("utv_gram_det", f"WITH {G.classical(G.EMB, 64)} SELECT round({' + '.join(f'(SELECT ln(d) FROM p{t})' for t in range(64))}, 6) + 0.0 AS logdet")(
     lambda s, d: frame(s, [(float(np.log(np.abs(np.diag(baselines.utv_dense(emb(s, d).gram(), 16, 1, SEED)[1]))).sum()),)], "logdet double", "logdet")
 )
@@ -223,7 +315,11 @@ register("lin_trace_powers", TRACES.format(e=G.EMB, on=0).replace("round((", "ro
 register("err_rank_k_emb")(lambda s, d: frame(s, quality.rank_k_errors(emb(s, d), [8, 16, 32, 48], 8, SEED), "method string, k bigint, q bigint, ratio double, ratio_frob double", "ratio", "ratio_frob"))
 register("err_rank_k_userhour")(lambda s, d: frame(s, quality.rank_k_errors(Tall(T.userhour(s, d)), [1, 4, 8, 16], 4, SEED), "method string, k bigint, q bigint, ratio double, ratio_frob double", "ratio", "ratio_frob"))
 register("err_diag_vs_sv")(lambda s, d: frame(s, quality.diag_deviation(emb(s, d), 8, SEED), "q bigint, max_dev double, mean_dev double", "max_dev", "mean_dev"))
-register("err_pivot_volume")(lambda s, d: frame(s, quality.pivot_volumes(emb(s, d), 16, 8, SEED), "method string, log_volume double", "log_volume"))
+VOLUMES = " UNION ALL ".join([
+    G.half_log_volume("classical", G.classical(G.EMB, 16), 16), G.half_log_volume("sketched", G.sketched(G.EMB, EMB_ROWS, 16, 8, SEED), 16),
+    G.half_log_volume("downdated", G.sketched(G.EMB, EMB_ROWS, 16, 8, SEED, True), 16),
+])
+register("err_pivot_volume", VOLUMES)(lambda s, d: frame(s, quality.pivot_volumes(emb(s, d), 16, 8, SEED), "method string, log_volume double", "log_volume"))
 register("err_subspace_gap")(lambda s, d: frame(s, quality.subspace_gaps(emb(s, d), 8, SEED), "q bigint, sine double", "sine"))
 register("err_invariants")(lambda s, d: s.createDataFrame(quality.invariants(emb(s, d), 16, SEED), "method string, residual double, orthogonality double, lower_mass double"))
 register("base_spark_linalg")(lambda s, d: frame(s, baselines.spark_linalg(T.emb(s, d)), "method string, k bigint, value double", "value"))

@@ -15,7 +15,7 @@ from tilerank.plans import ledger as L
 from tilerank.sources import tables as T
 
 from . import sqlgen as G
-from .methods import EMB_TABLE, rounded, triangle_frame
+from .methods import rounded, triangle_frame
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -60,13 +60,45 @@ register("ledger_2x2_tasks", f"WITH {TASKS} SELECT seq, op, ins, outs FROM tasks
 register("ledger_direct_io", f"WITH {TASKS} SELECT seq, CAST({COUNT.format('ins')} AS BIGINT) AS reads, CAST({COUNT.format('outs')} AS BIGINT) AS writes FROM tasks")(
     lambda s, d: example(s).select("seq", F.size("ins").cast("bigint").alias("reads"), F.size("outs").cast("bigint").alias("writes"))
 )
-LRU_FACTS = [(7, 6, 4, 0), (7, 22, 9, 8), (8, 22, 7, 6), (16, 22, 4, 0)]
-
-
-@register("ledger_lru_io", "SELECT CAST(slots AS BIGINT) AS slots, CAST(tasks AS BIGINT) AS tasks, CAST(reads AS BIGINT) AS reads, CAST(writes AS BIGINT) AS writes FROM (VALUES " + ", ".join(map(str, LRU_FACTS)) + ") AS t(slots, tasks, reads, writes)")
+LRU_CASES = [(7, 6), (7, 22), (8, 22), (16, 22)]
+TOUCH = f"""{TASKS}, touch AS MATERIALIZED (
+  SELECT seq, seq * 100 + pos - 1 AS tick, blocks[pos] AS block, pos <= n_in AS is_in FROM (
+    SELECT seq, {COUNT.format('ins')} AS n_in, list_concat(CASE WHEN ins = '' THEN [] ELSE string_split(ins, ',') END, string_split(outs, ',')) AS blocks,
+           unnest(range(1, CAST(len(list_concat(CASE WHEN ins = '' THEN [] ELSE string_split(ins, ',') END, string_split(outs, ','))) AS BIGINT) + 1)) AS pos FROM tasks)
+)"""
+# When a block goes: as soon as as many other blocks as there are slots were touched since its last touch.
+LRU = f"""{TOUCH}, span AS MATERIALIZED (
+  SELECT a.tick AS l, b.tick AS t, count(DISTINCT c.block) AS d FROM touch a JOIN touch b ON b.tick > a.tick JOIN touch c ON c.tick > a.tick AND c.tick <= b.tick GROUP BY 1, 2
+), gone AS (SELECT slots, l, min(t) AS at FROM span, sizes WHERE d >= slots GROUP BY 1, 2),
+chain AS (SELECT s.slots, t.*, lead(tick) OVER w AS after, lag(tick) OVER w AS before FROM touch t, sizes s WINDOW w AS (PARTITION BY s.slots, block ORDER BY tick)),
+life AS (SELECT c.*, g.at AS leaves, (g.at IS NOT NULL AND (after IS NULL OR g.at < after)) AS ends, (before IS NULL OR coalesce(b.at < c.tick, false)) AS miss
+  FROM chain c LEFT JOIN gone g ON g.slots = c.slots AND g.l = c.tick LEFT JOIN gone b ON b.slots = c.slots AND b.l = c.before),
+stay AS MATERIALIZED (SELECT *, sum(CAST(miss AS INTEGER)) OVER (PARTITION BY slots, block ORDER BY tick ROWS UNBOUNDED PRECEDING) AS visit FROM life)"""
+LRU_IO = f"""WITH sizes(slots) AS (VALUES (7), (8), (16)), cases(slots, tasks) AS (VALUES {', '.join(map(str, LRU_CASES))}), {LRU},
+out AS (SELECT slots, block, visit, max(CASE WHEN ends THEN leaves END) // 100 AS seq, bool_or(NOT is_in) AS dirty FROM stay GROUP BY 1, 2, 3)
+SELECT CAST(c.slots AS BIGINT) AS slots, CAST(c.tasks AS BIGINT) AS tasks, (SELECT count(*) FROM stay s WHERE s.slots = c.slots AND s.seq < c.tasks AND s.miss AND s.is_in) AS reads,
+  (SELECT count(*) FROM out o WHERE o.slots = c.slots AND o.seq < c.tasks AND o.dirty) AS writes FROM cases c"""
+LRU_TRACE = f"""WITH sizes(slots) AS (VALUES (7)), {LRU},
+ends AS (SELECT DISTINCT seq AS e FROM touch),
+held AS (SELECT e, block, max(tick) AS last, row_number() OVER (PARTITION BY e ORDER BY max(tick) DESC) AS age FROM touch JOIN ends ON seq <= e GROUP BY 1, 2),
+inside AS (SELECT h.*, s.visit FROM held h JOIN stay s ON s.block = h.block AND s.tick = h.last WHERE h.age <= 7),
+soiled AS (SELECT i.e, i.block, bool_or(NOT s.is_in) AS dirty FROM inside i JOIN stay s ON s.block = i.block AND s.visit = i.visit AND s.seq <= i.e GROUP BY 1, 2),
+out AS (SELECT block, visit, max(CASE WHEN ends THEN leaves END) // 100 AS seq, bool_or(NOT is_in) AS dirty FROM stay GROUP BY 1, 2)
+SELECT CAST(i.e AS INTEGER) AS seq, string_agg(i.block, ',' ORDER BY i.last) AS slot, CAST((SELECT count(*) FROM stay s WHERE s.seq = i.e AND s.miss AND s.is_in) AS INTEGER) AS reads,
+  CAST((SELECT count(*) FROM out o WHERE o.seq = i.e AND o.dirty) AS INTEGER) AS writes, CAST((SELECT count(*) FROM soiled d WHERE d.e = i.e AND d.dirty) AS INTEGER) AS dirty
+FROM inside i GROUP BY i.e"""
+
+
+@register("ledger_lru_io", LRU_IO)
 def ledger_lru(s: SparkSession, d: str) -> DataFrame:
     tasks = L.plan_utv(2, 2)
-    return s.createDataFrame([(a, b, *L.totals(L.replay(tasks, "lru", a), b)) for a, b, _, _ in LRU_FACTS], "slots bigint, tasks bigint, reads bigint, writes bigint")
+    return s.createDataFrame([(a, b, *L.totals(L.replay(tasks, "lru", a), b)) for a, b in LRU_CASES], "slots bigint, tasks bigint, reads bigint, writes bigint")
+
+
+@register("ledger_lru_trace", LRU_TRACE)
+def ledger_lru_trace(s: SparkSession, d: str) -> DataFrame:
+    trace = L.replay(L.plan_utv(2, 2), "lru", 7)
+    return s.createDataFrame([(x["seq"], ",".join(x["slot"]), x["reads"], x["writes"], x["dirty"]) for x in trace], "seq int, slot string, reads int, writes int, dirty int")
 
 
 def reuse(s: SparkSession, slots: int = 7) -> DataFrame:
@@ -90,10 +122,10 @@ SELECT l.seq, l.block, CAST(l.tick AS BIGINT) AS tick,
   CAST(CASE WHEN l.before IS NULL THEN -1 ELSE (SELECT count(DISTINCT o.block) FROM touch o WHERE o.tick > l.before AND o.tick < l.tick) END AS BIGINT) AS dist,
   CAST(l.is_in AND (l.before IS NULL OR (SELECT count(DISTINCT o.block) FROM touch o WHERE o.tick > l.before AND o.tick < l.tick) >= 7) AS INTEGER) AS miss
 FROM last l"""
-register("ledger_reuse_distance", REUSE)(lambda s, d: reuse(s))
+register("ledger_reuse_distance", REUSE)(
+    lambda s, d: s.createDataFrame([(x["seq"], x["block"], x["tick"], x["dist"], int(x["is_in"] and (x["dist"] < 0 or x["dist"] >= 7))) for x in L.reuse_distances(L.plan_utv(2, 2))], "seq int, block string, tick bigint, dist bigint, miss int")
+)
 register("win_reuse_distance", REUSE)(lambda s, d: reuse(s))
-register("ledger_lru_trace")(lambda s, d: s.createDataFrame([(x["seq"], x["slot"], x["reads"], x["writes"], x["dirty"]) for x in L.replay(L.plan_utv(2, 2), "lru", 7)], "seq int, slot array<string>, reads int, writes int, dirty int"))
-
 QR_COUNTS = """SELECT CAST(m AS BIGINT) AS m, CAST(n AS BIGINT) AS n, op, CAST(sum(c) AS BIGINT) AS tasks FROM (
   SELECT m, n, op, CASE op WHEN 'qr_dense' THEN 1 WHEN 'qr_stacked' THEN m - i - 1 WHEN 'left_dense' THEN n - i - 1 ELSE (m - i - 1) * (n - i - 1) END AS c
   FROM (VALUES (3, 3), (5, 3), (6, 6)) AS g(m, n), (VALUES ('qr_dense'), ('qr_stacked'), ('left_dense'), ('left_stacked')) AS o(op), range(6) AS r(i) WHERE i < n)
@@ -129,29 +161,44 @@ def ledger_makespan(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "method string, q int, uv boolean, compute double, io double, total double, real double")
 
 
+#: Tile edge at which a kernel reaches half of the machine's rate, as tall kernels' rates grow with their tiles.
+HALF_RATE = 2000
+
+
 @register("ledger_block_sizes")
 def ledger_block_sizes(s: SparkSession, d: str) -> DataFrame:
-    """Experiment: block sizes at one matrix size; small blocks pay latency, large ones lose parallelism and slots."""
-    n, memory, rate, disk, latency, workers = 81_920, 16 << 30, 5e9, 91e6, 0.02, 12
+    """Experiment: block sizes at one matrix size, QR and UTV. Small blocks move more tiles and run slower kernels, large ones leave few slots
+    and little to overlap."""
+    n, memory, rate, disk, latency = 81_920, 36 << 30, 3e11, 450e6, 0.01
     rows = []
     for b in (2560, 5120, 7680, 10_240, 20_480):
-        p = -(-n // b)
-        for q in (0, 1):
-            tasks = L.plan_utv(p, p, q) if p <= 16 else L.plan_utv(p, p, q, steps=1)
-            if p > 16:
-                continue
-            tile = 8 * b * b
-            got = L.makespan(tasks, "overlap", max(6, memory // tile), tile / disk + latency, b**3 / rate, workers)
-            rows.append((b, q, got["compute"] / workers, got["io"], got["real"]))
-    return s.createDataFrame(rows, "b bigint, q int, compute double, io double, real double")
+        p, tile = -(-n // b), 8 * b * b
+        plans = [("qr", 0, L.plan_qr(p, p)), *(("utv", q, L.plan_utv(p, p, q)) for q in (0, 1))]
+        for method, q, tasks in plans:
+            for mode in ("direct", "overlap"):
+                got = L.makespan(tasks, mode, max(7, memory // tile), tile / disk + latency, b**3 / (rate * b / (b + HALF_RATE)), 1)
+                rows.append((method, q, mode, b, got["compute"], got["io"], got["real"]))
+    return s.createDataFrame(rows, "method string, q int, mode string, b bigint, compute double, io double, real double")
 
 
 @register("ledger_schedule_trace")
 def ledger_trace(s: SparkSession, d: str) -> DataFrame:
-    """Lanes of reads, writes and computation by task, with the wave that each may start in."""
+    """Start and end of each transfer and task by lane, over the whole run and over its first sixth."""
     tasks = L.plan_utv(4, 4)
     trace, level = L.replay(tasks, "overlap", 12), L.waves(tasks)
-    return s.createDataFrame([(t.seq, t.op, w, x["reads"], x["writes"], t.flops) for t, w, x in zip(tasks, level, trace, strict=True)], "seq int, op string, wave int, reads int, writes int, flops double")
+    whole = L.lanes(tasks, [t.flops for t in tasks], [float(x["reads"] + x["writes"]) for x in trace], 12, 2)
+    rows = [(name, x["lane"], x["seq"], tasks[x["seq"]].op, level[x["seq"]], x["start"], x["end"]) for name, part in (("whole", whole), ("first sixth", L.window(whole, 1 / 6))) for x in part]
+    return s.createDataFrame(rows, "part string, lane string, seq int, op string, wave int, start double, end double")
+
+
+# the nine tasks of a first tile column, as rule: which tile a task changes, and which are nullified after it
+MASKS = """WITH t(seq, op, r, c) AS (VALUES (0, 'qr_dense', 0, 0), (1, 'qr_stacked', 1, 0), (2, 'qr_stacked', 2, 0), (3, 'left_dense', 0, 1), (4, 'left_dense', 0, 2),
+  (5, 'left_stacked', 1, 1), (6, 'left_stacked', 1, 2), (7, 'left_stacked', 2, 1), (8, 'left_stacked', 2, 2)), g AS (SELECT i AS bi, j AS bj FROM range(3) a(i), range(3) b(j))
+SELECT CAST(t.seq AS BIGINT) AS seq, t.op, bi, bj, CAST(bj = t.c AND bi IN (0, t.r) AS BIGINT) AS modified,
+  CASE WHEN bi = 0 AND bj = 0 THEN 'triangle' WHEN bj = 0 AND bi > 0 AND t.seq >= bi THEN 'zero' ELSE 'full' END AS state FROM t, g"""
+register("ledger_qr_masks", MASKS)(
+    lambda s, d: s.createDataFrame([(x["seq"], x["op"], x["bi"], x["bj"], x["modified"], x["state"]) for x in L.masks([t for t in L.plan_qr(3, 3) if t.step == 0], 3, 3)], "seq bigint, op string, bi bigint, bj bigint, modified bigint, state string")
+)
 
 
 # cost model
@@ -196,18 +243,23 @@ def model_decomposed(s: SparkSession, d: str) -> DataFrame:
 
 
 def tile_matrix(s: SparkSession, d: str, m: int, b: int) -> DataFrame:
-    return X.store(T.to_tiles(T.entries(T.emb(s, d)).where(f"row_id < {m}"), b, 64, m))
+    return X.store(T.to_tiles(T.entries(T.emb(s, d)), b, 64, m))
 
 
-def from_store(df: DataFrame, name: str, m: int, b: int) -> np.ndarray:
-    held = {r["name"]: np.frombuffer(r["data"]).reshape(r["nr"], r["nc"]) for r in df.where(F.col("name").startswith(f"{name}_")).collect()}
-    return X.join_tiles(held, name, -(-m // b), -(-64 // b))
+def tileqr(s: SparkSession, d: str, mode: str) -> DataFrame:
+    """All rows of the matrix as a grid of tiles; a tree over each tile column."""
+    m, b = T.load(s, d, "embeddings").count(), 32
+    run = X.run_waves(L.plan_qr(-(-m // b), 2, True), tile_matrix(s, d, m, b), m, 64, b, mode=mode)
+    top = run.tiles("A").where("name rlike '^A_[01]_'").withColumns({"bi": F.split("name", "_")[1].cast("int"), "bj": F.split("name", "_")[2].cast("int")})
+    r = T.from_tiles(top.select("bi", "bj", "nr", "nc", "data"), b).where("row_id <= col_id")
+    # signs as of a triangle whose diagonal is not negative
+    sign = r.where("row_id = col_id").select("row_id", F.when(F.col("v") < 0, -1.0).otherwise(1.0).alias("sign"))
+    signed = r.join(F.broadcast(sign), "row_id")  # 64 rows
+    return rounded(signed.select(F.col("row_id").alias("i"), F.col("col_id").cast("bigint").alias("j"), (F.col("v") * F.col("sign")).alias("r_ij")), "r_ij")
 
 
-@register("tileqr_emb_r", G.fixed_r(G.EMB + " WHERE vec_id < 128", 64))
-def tileqr(s: SparkSession, d: str) -> DataFrame:
-    done = X.run_waves(L.plan_qr(4, 2), tile_matrix(s, d, 128, 32), 128, 64, 32, mode="direct")
-    return triangle_frame(s, K.positive(np.triu(from_store(done, "A", 128, 32))[:64]))
+register("tileqr_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: tileqr(s, d, "direct"))
+register("tileqr_emb_r_overlap", G.fixed_r(G.EMB, 64))(lambda s, d: tileqr(s, d, "overlap"))
 
 
 @register("tileqr_line4_r", G.fixed_r(G.LINE4, 4, "(SELECT sqrt(sum(l_extendedprice * l_extendedprice)) FROM lineitem)"))
@@ -224,27 +276,26 @@ def tileqr_line4(s: SparkSession, d: str) -> DataFrame:
     return triangle_frame(s, K.positive(m.reduce(chain, K.r_only)), float(m.column_norms()[1]))
 
 
-def tile_recon(s: SparkSession, d: str, mode: str) -> DataFrame:
-    """A = U T V' from a tile run; U row by row from A, T and V."""
-    m, b = 64, 32
-    eye = s.createDataFrame([(k, v.shape[0], v.shape[1], bytearray(np.ascontiguousarray(v).tobytes())) for name in "UV" for k, v in X.split(np.eye(64), b, name).items()], X.STORE)
+EMB_GRAM = f"WITH {G.gram(G.EMB)} SELECT CAST(i AS BIGINT) AS i, CAST(j AS BIGINT) AS j, round(v, 6) + 0.0 AS g FROM g0"
+
+
+def tile_gram(s: SparkSession, d: str, mode: str) -> DataFrame:
+    """Tile UTV of the whole matrix's triangle, R = U T V': V T'T V' is A'A."""
+    b = 32
+    r = Tall(T.emb(s, d)).triangle()
     tasks = L.plan_utv(2, 2, 1, True)
+    held = X.split(r, b) | X.split(np.eye(64), b, "U") | X.split(np.eye(64), b, "V")
     if mode == "memory":
-        held = {r["name"]: np.frombuffer(r["data"]).reshape(r["nr"], r["nc"]) for r in tile_matrix(s, d, m, b).union(eye).collect()}
-        held = X.run_local(tasks, held, m, 64, b)
-        u, t, v = (X.join_tiles(held, n, 2, 2) for n in "UAV")
-    else:
-        done = X.run_waves(tasks, tile_matrix(s, d, m, b).union(eye), m, 64, b, mode=mode)
-        u, t, v = (from_store(done, n, m, b) for n in "UAV")
-    a = u @ t @ v.T
-    return rounded(s.createDataFrame([(i, j, float(a[i, j])) for i in range(64) for j in range(64)], "vec_id bigint, col bigint, v double"), "v")
+        held = X.run_local(tasks, held, 64, 64, b, workers=4)
+    start = s.createDataFrame([(k, v.shape[0], v.shape[1], bytearray(np.ascontiguousarray(v).tobytes())) for k, v in held.items() if k[0] in "AUV"], X.STORE)
+    done = start if mode == "memory" else X.run_waves(tasks, start, 64, 64, b, mode=mode).tiles()
+    t, v = (X.grid(done, name) for name in "AV")
+    x = X.multiply(t, T.transpose_tiles(v))
+    return rounded(T.from_tiles(X.multiply(T.transpose_tiles(x), x), b).select(F.col("row_id").alias("i"), F.col("col_id").cast("bigint").alias("j"), F.col("v").alias("g")), "g")
 
 
 for mode in ("memory", "direct", "overlap"):
-    register(f"tileutv_emb_recon_{mode}", EMB_TABLE + " WHERE row_id < 64")(lambda s, d, mode=mode: tile_recon(s, d, mode))
-
-
-QUERIES["tileutv_emb_recon"], ORACLES["tileutv_emb_recon"] = QUERIES["tileutv_emb_recon_direct"], ORACLES["tileutv_emb_recon_direct"]
+    register(f"tileutv_emb_gram_{mode}", EMB_GRAM)(lambda s, d, mode=mode: tile_gram(s, d, mode))
 
 
 @register("set_except_rows", f"WITH {TASKS}, touched AS (SELECT seq, unnest(string_split(ins, ',')) AS block FROM tasks WHERE ins <> ''), changed AS (SELECT seq, unnest(string_split(outs, ',')) AS block FROM tasks) SELECT seq, block FROM touched EXCEPT SELECT seq, block FROM changed")

@@ -15,6 +15,11 @@ def unpivot(columns: list[str], table: str, key: str = "row_number() OVER ()") -
 
 LINE4 = unpivot(["l_quantity", "l_extendedprice", "l_discount", "l_tax"], "lineitem")
 USERHOUR = "SELECT user_id AS row_id, hour(ts) AS col_id, sum(value) AS v FROM events GROUP BY 1, 2"
+DESIGN_COLUMNS = [
+    "1.0", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_extendedprice * (1 - l_discount)", "l_extendedprice * l_discount",
+    *[f"(l_returnflag = '{x}')::INT" for x in "ANR"], *[f"(l_linestatus = '{x}')::INT" for x in "OF"],
+]
+DESIGN = f"WITH d AS MATERIALIZED ({unpivot(DESIGN_COLUMNS, 'lineitem', 'row_number() OVER ()')}) SELECT row_id, col_id, v / sqrt(sum(v * v) OVER (PARTITION BY col_id)) AS v FROM d"
 SUPPMONTH = "SELECT l_suppkey AS row_id, month(l_shipdate) - 1 AS col_id, sum(l_quantity) AS v FROM lineitem WHERE year(l_shipdate) = 1995 GROUP BY 1, 2"
 SUPPPART = "SELECT l_suppkey AS row_id, l_partkey % 64 AS col_id, sum(l_quantity) AS v FROM lineitem GROUP BY 1, 2"
 
@@ -93,3 +98,35 @@ def sketched(entries: str, rows: str, k: int, b: int, seed: int, once: bool = Fa
 
 def sketched_pivots(entries: str, rows: str, k: int, b: int, seed: int, once: bool = False) -> str:
     return f"WITH {sketched(entries, rows, k, b, seed, once)} {pivots(k)}"
+
+
+def rank(entries: str, n: int, bar: float = 1e-12) -> str:
+    """Pivots of the Gram matrix above ``bar`` times the first (so the triangle's above its root)."""
+    ds = " UNION ALL ".join(f"SELECT d FROM p{t}" for t in range(n))
+    return f'WITH {classical(entries, n)} SELECT CAST(count(*) AS BIGINT) AS "rank" FROM ({ds}) WHERE d > {bar} * (SELECT d FROM p0)'
+
+
+def half_log_volume(method: str, body: str, k: int) -> str:
+    """Logarithm of the product of the triangle's first k diagonal entries, from CTEs p0..p(k-1)."""
+    total = " + ".join(f"(SELECT ln(d) FROM p{t})" for t in range(k))
+    return f"SELECT method, log_volume FROM (WITH {body} SELECT '{method}' AS method, round(0.5 * ({total}), 6) + 0.0 AS log_volume)"
+
+
+def sketched_rows(entries: str, rows: str, n: int, k: int, b: int, seed: int, moved: bool) -> str:
+    """Rows of R of the sketched factorization, for the columns not yet finished: at the columns' own numbers, or (``moved``)
+    at their places in pivot order, the chosen first and then the rest by number."""
+    parts = [f"SELECT CAST({t} AS BIGINT) AS i, g.j AS c, g.v / sqrt(p.d) AS v FROM g{t} g, p{t} p WHERE g.i = p.p AND g.j < {FIRST_DRAW}" for t in range(k)]
+    body = f"WITH {sketched(entries, rows, k, b, seed)}, found AS MATERIALIZED ({' UNION ALL '.join(parts)})"
+    if not moved:
+        return f"{body} SELECT i, CAST(c AS BIGINT) AS col, round(v, 6) + 0.0 AS r FROM found"
+    chosen = " UNION ALL ".join(f"SELECT p AS c, {t} AS pos FROM p{t}" for t in range(k))
+    return (
+        f"{body}, chosen AS ({chosen}), places AS (SELECT c, pos FROM chosen UNION ALL SELECT c, {k} - 1 + row_number() OVER (ORDER BY c) FROM (SELECT unnest(range({n})) AS c) "
+        f"WHERE c NOT IN (SELECT c FROM chosen)) SELECT i, CAST(pos AS BIGINT) AS pos, round(v, 6) + 0.0 AS r FROM found JOIN places USING (c)"
+    )
+
+
+def sketched_residuals(entries: str, rows: str, k: int, b: int, seed: int) -> str:
+    """Norm of what is left after each block."""
+    parts = [f"SELECT CAST({t} AS BIGINT) AS k, round(sqrt((SELECT sum(v) FROM g{t} WHERE i = j AND i < {FIRST_DRAW})), 6) + 0.0 AS residual" for t in range(b, k + 1, b)]
+    return f"WITH {sketched(entries, rows, k + 1, b, seed)} {' UNION ALL '.join(parts)}"

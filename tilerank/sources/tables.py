@@ -96,6 +96,25 @@ def transpose_tiles(tiles: DataFrame) -> DataFrame:
     return tiles.mapInArrow(run, TILE)
 
 
+def to_slabs(rows: DataFrame, size: int) -> DataFrame:
+    """Row frame -> (slab, row_id, x): consecutive rows by id in slabs of ``size``, without a window over the table."""
+    from tilerank.operators.matrix import with_index
+
+    return with_index(rows, "row_id", "place").select(F.floor(F.col("place") / size).alias("slab"), "row_id", "x")
+
+
+def select_columns(rows: DataFrame, columns: list[int]) -> DataFrame:
+    """Columns by number, in the order given: a selection, a permutation or both."""
+    return rows.select("row_id", F.array(*[F.get("x", F.lit(c)) for c in columns]).alias("x"))
+
+
+def scaled(rows: DataFrame, n: int, centre: bool = True, scale: bool = True) -> DataFrame:
+    """Columns less their means and over their standard deviations; a constant column stays zero."""
+    one = rows.agg(*[f(F.get("x", F.lit(j))) for f in (F.avg, F.stddev_pop) for j in range(n)]).first()
+    means, sds = ([float(one[j]) if centre else 0.0 for j in range(n)], [float(one[n + j]) or 1.0 if scale else 1.0 for j in range(n)])
+    return rows.select("row_id", F.array(*[(F.get("x", F.lit(j)) - F.lit(means[j])) / F.lit(sds[j]) for j in range(n)]).alias("x"))
+
+
 # the carrier matrices
 
 

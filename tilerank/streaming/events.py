@@ -13,15 +13,14 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tilerank.functions import kernels as K
 from tilerank.functions.keyed import gaussians
+from tilerank.operators.matrix import shared_root
 
 WATERMARK = "1 hour"
 
 
 def root_of(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    return f"{root.rstrip('/')}/streams/{uuid.uuid4().hex}"
+    return f"{shared_root(spark)}/streams-{uuid.uuid4().hex}"
 
 
 def read_events(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
@@ -88,18 +87,46 @@ def user_sketch(events: DataFrame, width: int, seed: int) -> DataFrame:
     return events.select("user_id", "event_id", "value").groupBy("user_id").applyInPandasWithState(step, "user_id bigint, y array<double>", "y array<double>", "update", "NoTimeout")
 
 
-def incremental_triangle(events: DataFrame, columns: list[str]) -> np.ndarray:
-    """R of the event rows, merged batch by batch; a batch seen twice counts once."""
-    spark, root = events.sparkSession, root_of(events.sparkSession)
-    held: dict[int, np.ndarray] = {}
+def incremental_triangle(events: DataFrame, columns: list[str], root: str | None = None) -> np.ndarray:
+    """R of the event rows, merged batch by batch.
 
-    def merge(batch: DataFrame, n: int) -> None:
+    A batch's triangle is a table of its own, ``triangles/batch=n``, put there anew if the batch comes again: a batch counts once however often it is
+    seen, and a run that starts again on the same ``root`` goes on from the stream's checkpoint with all triangles there.
+    """
+    spark = events.sparkSession
+    root = root or root_of(spark)
+    n = len(columns)
+
+    def merge(batch: DataFrame, number: int) -> None:
         from tilerank.operators.matrix import Tall
 
         if batch.isEmpty():
             return
         rows = batch.select(F.col("event_id").alias("row_id"), F.array(*[F.col(c).cast("double") for c in columns]).alias("x"))
-        held[n] = Tall(rows, len(columns)).triangle()
+        r = Tall(rows, n).triangle()
+        made = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(r)], "i int, r array<double>")
+        made.coalesce(1).write.mode("overwrite").parquet(f"{root}/triangles/batch={number}")
 
     events.writeStream.option("checkpointLocation", f"{root}/state").foreachBatch(merge).trigger(availableNow=True).start().awaitTermination()
-    return K.positive(K.r_only(*[held[n] for n in sorted(held)]))
+    return stored_triangle(spark, root, n)
+
+
+def stored_triangle(spark: SparkSession, root: str, n: int) -> np.ndarray:
+    """The triangle of all batches' triangles: n rows a batch, combined by a tree."""
+    from tilerank.operators.matrix import Tall
+
+    held = spark.read.schema("i int, r array<double>, batch bigint").parquet(f"{root}/triangles")
+    return Tall(held.select((F.col("batch") * n + F.col("i")).alias("row_id"), F.col("r").alias("x")), n).triangle()
+
+
+def closing(rows: DataFrame, ts: str = "ts") -> DataFrame:
+    """A table as a stream of three files: its rows, then twice a row ten years later, so that all windows of the table close."""
+    root = root_of(rows.sparkSession)
+    rows.coalesce(1).write.mode("append").parquet(f"{root}/in")
+    for years in (10, 20):
+        rows.limit(1).withColumn(ts, F.expr(f"timestamp'2100-01-01' + INTERVAL {years} YEAR")).coalesce(1).write.mode("append").parquet(f"{root}/in")
+    return rows.sparkSession.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/in")
+
+
+def daily_counts(events: DataFrame) -> DataFrame:
+    return events.withWatermark("ts", WATERMARK).groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
