@@ -50,6 +50,16 @@ def test_base_spans_and_ownership(spark, sf):
     assert registry.op2_secret_scan(spark, sf).columns[:6] == ["doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans"]
 
 
+def test_ownership_counts_equal_brute_force(spark):
+    rnd = random.Random(9)
+    rows = [(rnd.randrange(40), f"r{rnd.randrange(6)}", rnd.choice(["a", "b", "c", None])) for _ in range(3000)] + [(7, "r0", "a")] * 2000
+    got = secrets.ownership(spark.createDataFrame(rows, "hash bigint, repo__ string, owner__ string")).collect()
+    held = defaultdict(list)
+    for h, r, o in rows:
+        held[h].append((r, o))
+    assert {r.hash: (r.n_rows, r.n_repos, r.n_owners) for r in got} == {h: (len(x), len(set(x)), len({o for _, o in x})) for h, x in held.items()}
+
+
 def test_line_dedup_equals_sql(spark, sf):
     con = duckdb.connect()
     con.execute(f"create view documents as select * from '{sf}/documents.parquet'")

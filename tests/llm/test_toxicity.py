@@ -1,4 +1,6 @@
 import itertools
+import math
+import random
 import zlib
 
 from tilerank.llm import registry
@@ -66,3 +68,58 @@ def test_query_shape_and_held_out_fold(spark, sf):
     assert len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count()
     for r in rows:
         assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 5 == 0) and r.predicted == (r.score >= 0.5) and 0 <= r.score <= 1
+
+
+def test_held_out_documents_are_told_apart(spark):
+    sf = "/root/testdata/sf0.01"
+    labels = {r.doc_id: r.toxic for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    rows = [(r.score, labels[r.doc_id]) for r in registry.op4_toxicity(spark, sf).collect() if r.held_out and r.doc_id in labels]
+    toxic, clean = [s for s, t in rows if t], [s for s, t in rows if not t]
+    order = sum((a > b) + 0.5 * (a == b) for a in toxic for b in clean) / (len(toxic) * len(clean))
+    assert len(toxic) > 5 and order > 0.95, order
+    assert sum(s >= 0.5 for s in clean) <= 0.02 * len(clean)
+
+
+def brute_score(model, text):
+    """The score word by word: each clause found by its own search, each token looked up in the lexicon, the five machines one after the other."""
+    closed, out = T.closed_classes(), []
+    clauses, start = [], 0
+    low = text.lower()
+    for i, c in enumerate(low + "\n"):
+        if c in T.CLAUSE_MARKS:
+            clauses.append(low[start:i])
+            start = i + 1
+    for clause in clauses:
+        kinds = []
+        for token in T.TOKEN.findall(clause):
+            found = (T.QUOTE, 0.0) if token in T.QUOTES else closed.get(token)
+            if token in model.words:
+                found = model.words[token]
+            if found is None:
+                stems = [model.stems[token[:n]] for n in range(len(token) - 1, 0, -1) if token[:n] in model.stems]
+                found = stems[0] if stems else (T.OTHER, 0.0)
+            kinds.append(found)
+        if not any(k in (T.INSULT, T.THREAT) for k, _ in kinds):
+            continue
+        parts, total = [T.negation(), T.reported(), T.insult(), T.threat(), T.target()], 0.0
+        states = [0] * 5
+        for symbol, weight in kinds:
+            x = weight if symbol in (T.INSULT, T.THREAT) else 0.0
+            for i, m in enumerate(parts):
+                states[i], symbol, f, w = m.step(states[i], symbol)
+                x = x * f + w
+            total += x
+        if total > 0:
+            out.append(total)
+    a, b, c = model.coefficients
+    return 1 / (1 + math.exp(-(a + b * max(out, default=0.0) + c * math.log1p(sum(out)))))
+
+
+def test_scores_equal_brute_force():
+    rnd = random.Random(6)
+    words = "you idiot scum not never said the a house kill lowein loweis he goes \" . ! ; fine hurt them".split()
+    model = T.Model({"idiot": (T.INSULT, 1.0), "scum": (T.INSULT, 0.8)}, {"lowei": (T.INSULT, 0.9)})
+    scorer = T.Scorer(model)
+    for _ in range(300):
+        text = " ".join(rnd.choice(words) for _ in range(rnd.randrange(25)))
+        assert abs(scorer.score(text) - brute_score(model, text)) < 1e-9, text

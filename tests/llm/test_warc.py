@@ -4,6 +4,7 @@ import hashlib
 import re
 from collections import Counter
 
+import duckdb
 import pyarrow.fs as pafs
 
 from tilerank.llm import registry, warc
@@ -77,3 +78,10 @@ def test_pages_with_one_payload_are_dealt_out(spark, monkeypatch):
         last[h] = p
     assert all(got[p].refers_to == (None if last[h] == p else last[h]) and got[p].payload_bytes == len(h) for p, _, h in rows)
     assert warc.read_pages(df, [], "file:/tmp").rdd.getNumPartitions() == 12
+
+
+def test_query_equals_sql(spark, sf):
+    con = duckdb.connect()
+    con.execute(f"create view pages as select * from '{sf}/pages.parquet'")
+    want = sorted(con.execute(registry.ORACLES["op7_warc"]).fetchall())
+    assert sorted(tuple(r) for r in registry.op7_warc(spark, sf).collect()) == want

@@ -137,3 +137,14 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive_and_read(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+
+
+ORACLES["op7_warc"] = """
+WITH raw AS (SELECT page_id, coalesce(html, '') AS body FROM pages),
+p AS (SELECT page_id, CAST(octet_length(encode(body)) AS BIGINT) AS n, sha1(body) AS hex, max(page_id) OVER (PARTITION BY body) AS last FROM raw)
+SELECT page_id, n AS payload_bytes,
+  array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+    CAST((CAST('0x' || substr(hex, CAST(i // 4 * 5 + 1 AS INTEGER), 5) AS BIGINT) >> CAST(15 - i % 4 * 5 AS BIGINT)) & 31 AS INTEGER) + 1, 1)), '') AS payload_digest,
+  CASE WHEN page_id = last THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> last THEN last END AS refers_to
+FROM p
+"""
