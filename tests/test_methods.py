@@ -210,3 +210,14 @@ def test_accuracy_bands(emb):
     volumes = dict(Q.pivot_volumes(Tall(emb), 16, 8, 7))
     assert volumes["classical"] - volumes["sketched"] < 2
     assert all(res < 1e-12 and orth < 1e-10 and low == 0 for _, res, orth, low in Q.invariants(Tall(emb), 16, 7))
+
+
+def test_run_report(spark, sf):
+    from tilerank.plans.report import as_row, run_report
+
+    rows = tables.emb(spark, sf).repartition(3)
+    f, report = run_report(spark, lambda: S.sketch_qr(Tall(rows, 64), 8, 16, "right"))
+    assert report.passes == f.passes and report.written == 1 and report.stages >= f.passes and report.tasks >= report.stages
+    assert report.bytes_read > 0 < report.shuffle_written and as_row(report)["seconds"] > 0
+    _, nothing = run_report(spark, lambda: None)
+    assert nothing.stages == 0 and nothing.passes is None

@@ -183,8 +183,24 @@ def stream_gram(s: SparkSession, d: str) -> DataFrame:
 
 @q(f"SELECT user_id, CAST(s AS BIGINT) AS s, round(sum(value * {gaussian_sql(5, 'event_id', 's')}), 4) + 0.0 AS y FROM events, (SELECT unnest(range(4)) AS s) GROUP BY 1, 2")
 def stream_sketch_state(s: SparkSession, d: str) -> DataFrame:
-    out = S.settle(S.user_sketch(stamped(s, d), 4, 5), "update", ["user_id"])
-    return out.select("user_id", F.posexplode("y").alias("s", "y")).select("user_id", F.col("s").cast("bigint").alias("s"), (F.round("y", 4) + 0.0).alias("y"))
+    """Sketches that a stateful processor keeps for each user, summed over the hours."""
+    with S.processors(s):
+        out = S.settle(S.user_sketch(stamped(s, d), 4, 5), "update", ["user_id"])
+    each = out.select("user_id", F.posexplode("y").alias("at", "y")).groupBy("user_id", F.floor(F.col("at") / 24).alias("s")).agg(F.sum("y").alias("y"))
+    return each.select("user_id", "s", (F.round("y", 4) + 0.0).alias("y"))
+
+
+FIRST_PIVOT = f"""WITH y AS (SELECT user_id, hour(ts) AS h, s, sum(value * {gaussian_sql(5, 'event_id', 's')}) AS y FROM events, (SELECT unnest(range(4)) AS s) GROUP BY 1, 2, 3),
+n AS (SELECT user_id, h, sum(y * y) AS e FROM y GROUP BY 1, 2)
+SELECT user_id, CAST(h AS INTEGER) AS pivot FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY e DESC, h) AS rn FROM n) WHERE rn = 1"""
+
+
+@q(FIRST_PIVOT)
+def stream_sketch_pivot(s: SparkSession, d: str) -> DataFrame:
+    """The hour that each user's sketch in state would pivot on first."""
+    with S.processors(s):
+        out = S.settle(S.user_sketch(stamped(s, d), 4, 5), "update", ["user_id"])
+    return out.select("user_id", F.get("pivots", F.lit(0)).alias("pivot"))
 
 
 R_EVENTS = G.unpivot(["1.0", "value / 100", "hour(ts) / 10.0"], "events")

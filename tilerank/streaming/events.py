@@ -7,12 +7,15 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor
 
+from tilerank.functions import kernels as K
 from tilerank.functions.keyed import gaussians
 from tilerank.operators.matrix import shared_root
 
@@ -74,17 +77,54 @@ def hour_gram(events: DataFrame) -> DataFrame:
     return events.groupBy("event_type", F.hour("ts").alias("h")).agg(F.sum(F.col("value") ** 2).alias("g"))
 
 
-def user_sketch(events: DataFrame, width: int, seed: int) -> DataFrame:
-    """A sketch of each user's values kept in state: y[s] = sum of g(event, s) * value."""
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
-    def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        y = np.array(state.get[0]) if state.exists else np.zeros(width)
-        for f in frames:
-            y = y + gaussians(seed, f["event_id"].tolist(), width).T @ f["value"].to_numpy()
-        state.update((y.tolist(),))
-        yield pd.DataFrame({"user_id": [key[0]], "y": [y.tolist()]})
 
-    return events.select("user_id", "event_id", "value").groupBy("user_id").applyInPandasWithState(step, "user_id bigint, y array<double>", "y array<double>", "update", "NoTimeout")
+@contextmanager
+def processors(spark: SparkSession):
+    """Queries started inside keep their state in RocksDB, which stateful processors need (a setting of the running session)."""
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, ROCKS)
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+class SketchKeeper(StatefulProcessor):
+    """For each key the sketch of its rows, ``width`` x ``n`` numbers in a value state: row e of key k adds g(e, s) * value at column ``col``.
+
+    State that no row has touched for ``ttl_ms`` goes.
+    """
+
+    def __init__(self, width: int, n: int, seed: int, ttl_ms: int | None = None):
+        self.width, self.n, self.seed, self.ttl_ms = width, n, seed, ttl_ms
+
+    def init(self, handle) -> None:
+        self.held = handle.getValueState("sketch", "y array<double>", self.ttl_ms)
+
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
+        y = np.array(self.held.get()[0]).reshape(self.width, self.n) if self.held.exists() else np.zeros((self.width, self.n))
+        for f in rows:
+            g = gaussians(self.seed, f["event_id"].tolist(), self.width) * f["value"].to_numpy()[:, None]
+            np.add.at(y.T, f["col"].to_numpy(), g)
+        self.held.update((y.ravel().tolist(),))
+        order = K.pivoted(y, self.width)[0][: self.width]
+        yield pd.DataFrame({"user_id": [key[0]], "y": [y.ravel().tolist()], "pivots": [[int(p) for p in order]]})
+
+    def close(self) -> None:
+        pass
+
+
+def user_sketch(events: DataFrame, width: int, seed: int, ttl_ms: int | None = None) -> DataFrame:
+    """A sketch of each user's events by hour, kept in state, and the columns that it would pivot on first.
+
+    Start it inside ``processors``.
+    """
+    rows = events.select("user_id", "event_id", "value", F.hour("ts").alias("col"))
+    keeper = SketchKeeper(width, 24, seed, ttl_ms)
+    return rows.groupBy("user_id").transformWithStateInPandas(keeper, "user_id bigint, y array<double>, pivots array<int>", "Update", "None" if ttl_ms is None else "ProcessingTime")
 
 
 def incremental_triangle(events: DataFrame, columns: list[str], root: str | None = None) -> np.ndarray:
