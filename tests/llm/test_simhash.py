@@ -2,10 +2,11 @@ import hashlib
 import re
 from collections import Counter
 
+import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from tilerank.llm import registry, simhash_neardup, simhash_search
+from tilerank.llm import common, registry, simhash_neardup, simhash_search
 
 EDGE = [(1, "a b c d"), (2, None), (3, ""), (4, " \t\n"), (5, "a b c d"), (5, "a b c d"), (7, "Ä " * 3), (8, "x"), (None, "a b c d"), (9, "long word " * 5000)]
 SCHEMA = "doc_id bigint, text string"
@@ -222,7 +223,9 @@ def test_near_dedup_defined_cases(spark):
     assert simhash_neardup.near_dedup(df.limit(0)).count() == 0
 
 
-def test_hubs_and_chains_have_one_component(spark):
+@pytest.mark.parametrize("most", [64 << 20, 0])
+def test_hubs_and_chains_have_one_component(spark, monkeypatch, most):
+    monkeypatch.setattr(common, "BROADCAST_BYTES", most)
     edges = [(0, i) for i in range(1, 4000)] + [(10_000 + i, 10_001 + i) for i in range(70)] + [(5, 5), (None, 3), (20_000, 20_001)]
     got = {r.node: r.component for r in simhash_neardup.components(spark.createDataFrame(edges, "a bigint, b bigint")).collect()}
     assert got == {i: 0 for i in range(4000)} | {10_000 + i: 10_000 for i in range(71)} | {20_000: 20_000, 20_001: 20_000}

@@ -102,8 +102,9 @@ def look_up(rows: DataFrame, table: DataFrame, key: str, count: str, total: int,
 def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """Connected components of a link table -> ``node``, ``component`` (smallest reachable node).
 
-    Alternates two star contractions. Each round groups by node with map-side minima and joins them back by ``look_up``, so
-    that a hub's neighbours never meet in one task. A round is a table in the shared folder; that of the round before goes.
+    Alternates two star contractions. Each round groups by node with map-side minima and joins them back, by broadcast as long as
+    their counted size allows and then by ``look_up``, so that a hub's neighbours never meet in one task. A round is a table in the
+    shared folder; that of the round before goes.
     Nodes without links don't appear; self links and nulls are ignored.
     """
     old = materialize(
@@ -114,9 +115,10 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 6
         both = old.select("u", "v").union(old.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.when(F.col("v") > F.col("u"), 1)).alias("n"))
         least = least.select("u", F.least("u", "m").alias("m"), "n")
-        large = look_up(both.where("v > u"), least, "u", "n", n).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        few = 2 * n * 24 <= BROADCAST_BYTES
+        large = (both.where("v > u").join(F.broadcast(least), "u") if few else look_up(both.where("v > u"), least, "u", "n", n)).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
-        small_star = look_up(large, least, "u", "n", n)
+        small_star = large.join(F.broadcast(least), "u") if few else look_up(large, least, "u", "n", n)
         new = (
             small_star.select(F.col("v").alias("u"), F.col("m").alias("v"))
             .where("u <> v")

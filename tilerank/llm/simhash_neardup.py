@@ -37,6 +37,8 @@ HALF = 0x7FFFFFFF
 BUCKET = ["band", "v", "w"]
 #: 64-bit words of a parity sketch.
 SKETCH = 8
+#: Bands settled one group after the other: the first ones, then the rest.
+BAND_GROUPS = ((0, 4), (4, 12))
 
 
 def words(text: str | None) -> list[bytes]:
@@ -168,19 +170,28 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, shingle: int)
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, key binary, f array<bigint>, m int, o array<bigint>")
 
 
-def band_values(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """``rep``, ``f`` -> (``rep``, ``band``, ``v``), a row for each half of each fingerprint; and (``band``, ``v``, ``n`` members, the least of them ``one``)."""
+def bands_of(nodes: DataFrame) -> DataFrame:
+    """``rep``, ``f`` -> (``rep``, ``band``, ``v``), a row for each half of each fingerprint."""
     halves = f"array(struct(2 * i as band, v & {HALF}L as v), struct(2 * i + 1 as band, shiftrightunsigned(v, 32) & {HALF}L as v))"
     bands = nodes.select("rep", F.explode(F.expr(f"flatten(transform(f, (v, i) -> {halves}))")).alias("h"))
-    bands = materialize(bands.select("rep", "h.band", "h.v"), "bands")
-    return bands, materialize(bands.groupBy("band", "v").agg(F.count("*").alias("n"), F.min("rep").alias("one")), "values")
+    return materialize(bands.select("rep", "h.band", "h.v"), "bands")
 
 
-def same_value_buckets(nodes: DataFrame, bands: DataFrame, values: DataFrame) -> DataFrame:
-    """Members of the band values that several share: ``band``, ``v``, ``w`` = -1, ``rep``, ``side`` (of its own each), ``m``, ``o``."""
-    shared = values.where("n > 1").select("band", "v", F.lit(-1).cast("long").alias("w"))
-    rows = bands.join(shared, ["band", "v"]).withColumn("side", F.col("rep")).select(*BUCKET, "rep", "side")
-    return materialize(rows.join(nodes.select("rep", "m", "o"), "rep"), "buckets")
+def value_components(bands: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """(``band``, ``v``, ``lo``, ``hi``): the least and the largest component of each band value's members."""
+    return labelled(bands, labels).groupBy("band", "v").agg(F.min("c").alias("lo"), F.max("c").alias("hi"))
+
+
+def same_value_buckets(nodes: DataFrame, bands: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """Members of the band values that several components share: ``band``, ``v``, ``w`` = -1, ``rep``, ``side`` (of its own each), ``m``, ``o``.
+
+    The members of one component alone make no rows, however many they are.
+    """
+    mixed = materialize(value_components(bands, labels).where("lo <> hi").select("band", "v", F.lit(-1).cast("long").alias("w")), "values")
+    rows = bands.join(small(mixed, 24), ["band", "v"]).withColumn("side", F.col("rep")).select(*BUCKET, "rep", "side")
+    out = materialize(rows.join(nodes.select("rep", "m", "o"), "rep"), "buckets")
+    release(mixed)
+    return out
 
 
 def labelled(rows: DataFrame, labels: DataFrame | None, node: str = "rep") -> DataFrame:
@@ -190,16 +201,14 @@ def labelled(rows: DataFrame, labels: DataFrame | None, node: str = "rep") -> Da
     return rows.join(small(labels.toDF(node, "of"), 32), node, "left").withColumn("c", F.coalesce("of", node)).drop("of")
 
 
-def near_value_buckets(nodes: DataFrame, bands: DataFrame, values: DataFrame, within: DataFrame, labels: DataFrame | None) -> DataFrame:
+def near_value_buckets(nodes: DataFrame, bands: DataFrame, labels: DataFrame | None) -> DataFrame:
     """Members of pairs of band values ``v`` < ``w`` that are one bit apart and not both of one component alone.
 
     Rows are as those of ``same_value_buckets``, with side 0 for members of ``v`` and 1 for those of ``w``: only members of different sides
     are to be compared. Values one bit apart are found at anchors; a value has 31 such neighbours at most. A
     cluster whose values are neighbours in many ways is one component by then, so its pairs of values make no rows.
     """
-    alone = labelled(values.where("n = 1").withColumnRenamed("one", "rep"), labels).select("band", "v", F.col("c").alias("lo"), F.col("c").alias("hi"))
-    shared = labelled(within.select("band", "v", "rep"), labels).groupBy("band", "v").agg(F.min("c").alias("lo"), F.max("c").alias("hi"))
-    points = materialize(alone.union(shared), "points")
+    points = materialize(value_components(bands, labels), "points")
     home = with_anchors(points, "v", True)
     visit = with_anchors(points.toDF("band", "w", "least", "most"), "w", False)
     near = home.join(visit, ["band", "anchor"]).where("v < w and bit_count(v ^ w) <= 1 and least(lo, least) <> greatest(hi, most)")
@@ -229,7 +238,7 @@ class Known:
     tried: list[DataFrame] = field(default_factory=list)
 
 
-def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, known: Known | None = None, leaders: int = 8) -> Known:
+def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, known: Known | None = None, leaders: int = 64) -> Known:
     """Components of all pairs that meet in a bucket and that ``confirm`` keeps, beside what is ``known``.
 
     In each round members outside a bucket's largest component lead: ``leaders`` of them (sixteen times as
@@ -263,7 +272,8 @@ def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least:
         pairs = materialize(pairs, "pairs")
         known.tried.append(pairs)
         if not pairs.isEmpty():
-            links = materialize(confirm(pairs), "confirmed")
+            links = confirm(pairs)
+            links = links if "table_path" in links.__dict__ else materialize(links, "confirmed")
             if not links.isEmpty():
                 before = known.labels
                 known.labels = materialize(components(links if before is None else links.union(before.toDF("a", "b"))), "components")
@@ -304,12 +314,12 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     linked representatives, the smallest of them.
 
     Links: wide SimHashes that agree on one of twelve bands, or differ in one bit of it, confirmed by the exact Jaccard similarity
-    of ``shingle``-word sets, at least ``least``. Equal bands are settled first.
+    of ``shingle``-word sets, at least ``least``. Equal values are settled first, a group of bands after the other.
     """
     fps = materialize(wide_fingerprints(docs, id_col, text_col, shingle).where(F.col(id_col).isNotNull()), "wide")
     nodes = fps.groupBy("key").agg(F.min(id_col).alias("rep"), F.min_by(F.struct("f", "m", "o"), id_col).alias("x"), F.count("*").alias("n"))
     nodes = materialize(nodes.select("key", "rep", "n", "x.f", "x.m", "x.o"), "nodes")
-    bands, values = band_values(nodes)
+    bands = bands_of(nodes)
 
     def confirm(pairs: DataFrame) -> DataFrame:
         wanted = materialize(pairs.select(F.col("a").alias(id_col)).union(pairs.select("b")).distinct(), "met")
@@ -320,13 +330,17 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         release(wanted, sets)
         return out
 
-    within = same_value_buckets(nodes, bands, values)
-    known = settle(within, confirm, least)
-    across = near_value_buckets(nodes, bands, values, within, known.labels)
-    known = settle(across, confirm, least, known)
+    known = Known()
+    for lo, hi in BAND_GROUPS:
+        own = bands.where((F.col("band") >= lo) & (F.col("band") < hi))
+        buckets = same_value_buckets(nodes, own, known.labels)
+        known = settle(buckets, confirm, least, known)
+        release(buckets)
+    buckets = near_value_buckets(nodes, bands, known.labels)
+    known = settle(buckets, confirm, least, known)
     copies = look_up(fps.select(id_col, "key"), nodes.select("key", "rep", "n"), "key", "n", fps.count()).select(id_col, "rep")
     copies = materialize(copies, "copies")
-    release(fps, nodes, bands, values, within, across, *known.tried)
+    release(fps, nodes, bands, buckets, *known.tried)
     linked = known.labels
     if linked is None:
         linked = copies.select(F.col("rep").alias("node"), F.col("rep").alias("component")).limit(0)
