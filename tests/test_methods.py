@@ -221,3 +221,16 @@ def test_run_report(spark, sf):
     assert report.bytes_read > 0 < report.shuffle_written and as_row(report)["seconds"] > 0
     _, nothing = run_report(spark, lambda: None)
     assert nothing.stages == 0 and nothing.passes is None
+
+
+def test_frame_operators(spark, emb, a):
+    from tilerank.operators import reflect
+    from tilerank.operators.matrix import equal_within, identity_rows, stack
+
+    eye = identity_rows(spark, 64)
+    assert np.array_equal(dense(eye), np.eye(64)) and np.isclose(Tall(emb).spectral_norm(), np.linalg.norm(a, 2))
+    assert np.allclose(dense(stack(emb, eye)), np.vstack([a, np.eye(64)]))
+    assert equal_within(emb, emb, 0.0) and not equal_within(emb, Tall(emb).map_rows(lambda _, x: x + 1e-3), 1e-4) and not equal_within(emb, eye, 1e9)
+    f = reflect.reflector_qr(Tall(emb), 16)
+    assert equal_within(reflect.apply_q(f, f.r), emb, 1e-10) and np.allclose(reflect.apply_qt(f, emb, 64), f.r)
+    assert np.allclose(Tall.stored(emb.groupBy("row_id").agg({"x": "max"}).toDF("row_id", "x")).triangle(), Tall(emb).triangle())

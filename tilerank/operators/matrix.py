@@ -59,6 +59,11 @@ class Tall:
             raise ValueError(f"{n} columns are too many to keep n x n arrays on the driver; use tiles")
         self.n, self.passes, self._leaves = n, 0, None
 
+    @classmethod
+    def stored(cls, df: DataFrame, n: int | None = None) -> Tall:
+        """Of a frame that takes a shuffle to make: written once, so that the passes only scan."""
+        return cls(write_step(df.select("row_id", "x"), "rows"), n)
+
     @property
     def spark(self):
         return self.df.sparkSession
@@ -135,6 +140,10 @@ class Tall:
     def frob(self) -> float:
         return float(np.sqrt(self.reduce(lambda _, a: np.array([[(a * a).sum()]]))[0, 0]))
 
+    def spectral_norm(self) -> float:
+        """Largest singular value, from the triangle of one pass."""
+        return float(np.linalg.norm(self.triangle(), 2))
+
     def column_norms(self) -> np.ndarray:
         return np.sqrt(self.reduce(lambda _, a: (a * a).sum(0)[None, :])[0])
 
@@ -150,6 +159,25 @@ class Tall:
         return K.positive(np.vstack([r, np.zeros((max(0, n - len(r)), n))]))
 
 
+def stack(top: DataFrame, below: DataFrame) -> DataFrame:
+    """Rows of two row frames of one width under each other; the lower ones' ids (from 0 on) follow the upper ones' largest."""
+    last = top.agg(F.coalesce(F.max("row_id"), F.lit(-1))).first()[0]
+    return top.select("row_id", "x").union(below.select(F.col("row_id") + last + 1, "x"))
+
+
+def identity_rows(spark, n: int) -> DataFrame:
+    """The identity as a row frame."""
+    return spark.range(n).select(F.col("id").alias("row_id"), F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda j: F.when(j == F.col("id"), 1.0).otherwise(0.0)).alias("x"))
+
+
+def equal_within(a: DataFrame, b: DataFrame, tol: float) -> bool:
+    """Whether two row frames have the same row ids, and entries that differ by ``tol`` at most."""
+    both = a.select("row_id", F.col("x").alias("p")).join(b.select("row_id", F.col("x").alias("q")), "row_id", "full")
+    off = F.aggregate(F.zip_with("p", "q", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda m, v: F.greatest(m, v))
+    wrong = F.col("p").isNull() | F.col("q").isNull() | (F.size("p") != F.size("q")) | ~(off <= tol)
+    return both.where(wrong).isEmpty()
+
+
 def shared_root(spark) -> str:
     """A folder that driver and executors share: ``spark.checkpoint.dir``; the warehouse only where that is unset and the master is local."""
     root = spark.conf.get("spark.checkpoint.dir", None)

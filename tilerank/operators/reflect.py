@@ -131,6 +131,18 @@ class ReflectorQR:
         return self.mat.map_rows(rows)
 
 
+def apply_q(f: ReflectorQR, x: np.ndarray) -> DataFrame:
+    """Q X for a small X (as many rows as columns were factored): a row frame."""
+    return Tall(f.q(), len(f.columns)).times(x)
+
+
+def apply_qt(f: ReflectorQR, y: DataFrame, width: int) -> np.ndarray:
+    """Q'Y for a row frame Y over the same rows."""
+    k = len(f.columns)
+    both = f.q().select("row_id", F.col("x").alias("q")).join(y.select("row_id", F.col("x").alias("y")), "row_id").select("row_id", F.concat("q", "y").alias("x"))
+    return Tall(both, k + width).reduce(lambda _, a: a[:, :k].T @ a[:, k:])
+
+
 def reflector_qr(mat: Tall, b: int, columns: list[int] | None = None) -> ReflectorQR:
     """QR of the columns, in the order given. Row ids must differ; there must be as many rows as columns."""
     columns = list(range(mat.n)) if columns is None else list(columns)

@@ -20,6 +20,7 @@ from tilerank.functions import kernels as K
 from tilerank.functions.keyed import DRAWS
 
 from .matrix import Tall, write_step
+from .sketchqr import low
 
 
 @dataclass
@@ -100,7 +101,7 @@ def left(mat: Tall, b: int, q: int, k: int, seed: int, draw, tol: float) -> UTV:
                 y = v[:, s:].T @ (mat.gram_times(x) - rows.T @ (rows @ x))
             v = turned(y, v, s)
         lead = v[:, :e].copy()
-        r = K.positive(mat.reduce(lambda _, a, lead=lead: K.r_only(a @ lead), K.r_only))
+        r = K.positive(low(mat.reduce(lambda _, a, lead=lead: K.r_only(a @ lead), K.r_only), e))  # fewer rows than columns: zero rows
         x, d, z = K.small_svd(r[s:e, s:e])
         v[:, s:e] = v[:, s:e] @ z
         t[:s, s:e] = r[:s, s:e] @ z

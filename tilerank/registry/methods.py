@@ -66,10 +66,10 @@ def emb(spark: SparkSession, d: str) -> Tall:
 
 register("cpqr_emb_pivots", G.classical_pivots(G.EMB, 64))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(emb(s, d))))
 register("cpqr_line4_r", G.classical_pivots(G.LINE4, 4))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(Tall(T.line4(s, d)))))
-register("cpqr_userhour_r", G.classical_pivots(G.USERHOUR, 24))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(Tall(T.userhour(s, d)))))
+register("cpqr_userhour_r", G.classical_pivots(G.USERHOUR, 24))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(Tall.stored(T.userhour(s, d)))))
 register("cpqr_columnwise_emb", G.classical_pivots(G.EMB, 8))(lambda s, d: pivot_frame(s, sketchqr.pivoted_columnwise(emb(s, d), 8)))
 DESIGN_RANK = G.rank(G.DESIGN, 12)
-register("cpqr_design_rank", DESIGN_RANK)(lambda s, d: s.createDataFrame([(sketchqr.numerical_rank(sketchqr.pivoted_qr(Tall(T.design(s, d))).r),)], "rank bigint"))
+register("cpqr_design_rank", DESIGN_RANK)(lambda s, d: s.createDataFrame([(sketchqr.numerical_rank(sketchqr.pivoted_qr(Tall.stored(T.design(s, d))).r),)], "rank bigint"))
 register("app_subset_emb", G.classical_pivots(G.EMB, 8))(lambda s, d: pivot_frame(s, sketchqr.pivoted_qr(emb(s, d), 8)))
 register("leftqr_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, sketchqr.left_qr(emb(s, d), 16)))
 register("panelqr_emb_r", G.fixed_r(G.EMB, 64))(lambda s, d: triangle_frame(s, sketchqr.panel_qr(emb(s, d))))
@@ -108,7 +108,7 @@ for name, schedule, sketch in (
 ):
     register(f"sketchqr_emb_k16_{name}", K16)(lambda s, d, a=schedule, b=sketch: pivot_frame(s, sketchqr.sketch_qr(emb(s, d), 8, 16, a, b, SEED)))
 register("sketchqr_emb_k16_downdate", G.sketched_pivots(G.EMB, EMB_ROWS, 16, 8, SEED, True))(lambda s, d: pivot_frame(s, sketchqr.sketch_qr(emb(s, d), 8, 16, "left", "downdate", SEED)))
-register("sketchqr_userhour_k8", G.sketched_pivots(G.USERHOUR, USER_ROWS, 8, 4, SEED))(lambda s, d: pivot_frame(s, sketchqr.sketch_qr(Tall(T.userhour(s, d)), 4, 8, "left", "project", SEED)))
+register("sketchqr_userhour_k8", G.sketched_pivots(G.USERHOUR, USER_ROWS, 8, 4, SEED))(lambda s, d: pivot_frame(s, sketchqr.sketch_qr(Tall.stored(T.userhour(s, d)), 4, 8, "left", "project", SEED)))
 register(
     "sketch_emb_y",
     f"SELECT CAST(s AS BIGINT) AS s, CAST(col_id AS BIGINT) AS col, round(sum(v * {gaussian_sql(SEED, 'row_id', 's')}), 6) + 0.0 AS y FROM ({G.EMB}) CROSS JOIN (SELECT unnest(range(8)) AS s) GROUP BY 1, 2",
@@ -206,7 +206,7 @@ def reflector_vectors(s: SparkSession, d: str) -> DataFrame:
 
 @register("sketchqr_userhour_partial", f"SELECT round(sqrt(sum(v * v)), 6) + 0.0 AS frob FROM ({G.USERHOUR})")
 def userhour_partial(s: SparkSession, d: str) -> DataFrame:
-    f = sketchqr.sketch_qr(Tall(T.userhour(s, d)), 4, 8, "left", "pullback", SEED)
+    f = sketchqr.sketch_qr(Tall.stored(T.userhour(s, d)), 4, 8, "left", "pullback", SEED)
     return frame(s, [(float(np.sqrt(f.residual**2 + (f.r**2).sum())),)], "frob double", "frob")
 
 
@@ -281,13 +281,13 @@ USER_GRAM = f"WITH e AS ({G.USERHOUR}), f AS (SELECT sum(v * v) AS f FROM e) SEL
 
 @register("utv_userhour_gram_recon", USER_GRAM)
 def utv_gram_recon(s: SparkSession, d: str) -> DataFrame:
-    f = utv.power_utv(Tall(T.userhour(s, d)), 4, 1, None, "left", SEED)
+    f = utv.power_utv(Tall.stored(T.userhour(s, d)), 4, 1, None, "left", SEED)
     g = f.v @ f.t.T @ f.t @ f.v.T
     g = g / np.trace(g)
     return frame(s, [(i, j, float(g[i, j])) for i in range(24) for j in range(24)], "i bigint, j bigint, v double", "v")
 
 
-register("utv_design_rank", DESIGN_RANK)(lambda s, d: s.createDataFrame([(utv.power_utv(Tall(T.design(s, d)), 4, 1, None, "left", SEED, tol=1e-8).rank(),)], "rank bigint"))
+register("utv_design_rank", DESIGN_RANK)(lambda s, d: s.createDataFrame([(utv.power_utv(Tall.stored(T.design(s, d)), 4, 1, None, "left", SEED, tol=1e-8).rank(),)], "rank bigint"))
 register("utv_gram_det", f"WITH {G.classical(G.EMB, 64)} SELECT round({' + '.join(f'(SELECT ln(d) FROM p{t})' for t in range(64))}, 6) + 0.0 AS logdet")(
     lambda s, d: frame(s, [(float(np.log(np.abs(np.diag(baselines.utv_dense(emb(s, d).gram(), 16, 1, SEED)[1]))).sum()),)], "logdet double", "logdet")
 )
@@ -313,7 +313,7 @@ register("lin_trace_powers", TRACES.format(e=G.EMB, on=0).replace("round((", "ro
     lambda s, d: frame(s, [(p, float(0.001 * np.trace(np.linalg.matrix_power(emb(s, d).gram(), p)))) for p in (1, 2, 3)], "p bigint, value double", "value")
 )
 register("err_rank_k_emb")(lambda s, d: frame(s, quality.rank_k_errors(emb(s, d), [8, 16, 32, 48], 8, SEED), "method string, k bigint, q bigint, ratio double, ratio_frob double", "ratio", "ratio_frob"))
-register("err_rank_k_userhour")(lambda s, d: frame(s, quality.rank_k_errors(Tall(T.userhour(s, d)), [1, 4, 8, 16], 4, SEED), "method string, k bigint, q bigint, ratio double, ratio_frob double", "ratio", "ratio_frob"))
+register("err_rank_k_userhour")(lambda s, d: frame(s, quality.rank_k_errors(Tall.stored(T.userhour(s, d)), [1, 4, 8, 16], 4, SEED), "method string, k bigint, q bigint, ratio double, ratio_frob double", "ratio", "ratio_frob"))
 register("err_diag_vs_sv")(lambda s, d: frame(s, quality.diag_deviation(emb(s, d), 8, SEED), "q bigint, max_dev double, mean_dev double", "max_dev", "mean_dev"))
 VOLUMES = " UNION ALL ".join([
     G.half_log_volume("classical", G.classical(G.EMB, 16), 16), G.half_log_volume("sketched", G.sketched(G.EMB, EMB_ROWS, 16, 8, SEED), 16),
@@ -362,7 +362,14 @@ def lin_tri_solve(s: SparkSession, d: str) -> DataFrame:
 register("app_tls_line4")(lambda s, d: frame(s, [(i, float(c)) for i, c in enumerate(apps.tls(Tall(T.line4(s, d)), 3))], "j bigint, coef double", "coef"))
 
 
+@register("reflectorqr_emb_apply", G.fixed_r(G.EMB, 64))
+def reflector_apply(s: SparkSession, d: str) -> DataFrame:
+    """Q'A by the reflectors is the triangle."""
+    f = reflect.reflector_qr(emb(s, d), 16)
+    return triangle_frame(s, K.positive(np.triu(reflect.apply_qt(f, f.mat.df, 64))))
+
+
 @register("app_rank_k_project")
 def app_rank_k_project(s: SparkSession, d: str) -> DataFrame:
-    m = Tall(apps.term_rows(T.load(s, d, "documents"), 256), 256)
+    m = Tall.stored(apps.term_rows(T.load(s, d, "documents"), 256), 256)
     return frame(s, apps.kept_energy(m, [8, 16, 32], SEED), "k bigint, kept double", "kept")

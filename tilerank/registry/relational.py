@@ -631,6 +631,18 @@ def fn_map_metrics(s: SparkSession, d: str) -> DataFrame:
     return m.select(F.explode(F.map_entries(F.transform_values("m", lambda k, v: F.round(v, 6) + 0.0))).alias("e")).select("e.key", "e.value")
 
 
+@q("SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events")
+def fn_variant_props(s: SparkSession, d: str) -> DataFrame:
+    return T.load(s, d, "events").select("event_id", F.variant_get(F.parse_json("props"), "$.k", "bigint").alias("k"))
+
+
+@q("SELECT o_orderkey, CAST(date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS BIGINT) AS days, strftime(CAST(o_orderdate AS TIMESTAMP) + INTERVAL 1 MONTH + INTERVAL 36 HOUR, '%Y-%m-%d %H') AS later FROM orders")
+def fn_intervals(s: SparkSession, d: str) -> DataFrame:
+    o = T.load(s, d, "orders").withColumn("t", F.col("o_orderdate").cast("date").cast("timestamp"))
+    later = F.col("t") + F.make_interval(F.lit(0), F.lit(1)) + F.make_interval(F.lit(0), F.lit(0), F.lit(0), F.lit(0), F.lit(36))
+    return o.select("o_orderkey", F.timestamp_diff("DAY", F.lit("1992-01-01").cast("timestamp"), F.col("t")).cast("bigint").alias("days"), F.date_format(later, "yyyy-MM-dd HH").alias("later"))
+
+
 @q("SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events")
 def fn_json_props(s: SparkSession, d: str) -> DataFrame:
     p = F.from_json("props", "k bigint")
