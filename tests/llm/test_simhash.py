@@ -54,6 +54,15 @@ def test_components_against_brute_force(spark, sf):
     assert simhash_neardup.simhash_components(df.limit(0)).count() == 0
 
 
+def test_visits_of_anchors_are_not_broadcast(spark, tmp_path):
+    nodes = spark.range(2000).select(F.xxhash64("id").alias("fp"))
+    nodes.write.parquet(f"{tmp_path}/nodes")
+    links = simhash_neardup.hamming_links(spark.read.parquet(f"{tmp_path}/nodes"))
+    links.collect()
+    plan = links._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
 def test_hamming_links_are_exact(spark):
     import random
 

@@ -118,7 +118,8 @@ def hamming_links(nodes: DataFrame, fp: str = "fp", radius: int = 3) -> DataFram
     ).select("f", "h.half", "h.v")
     home = with_anchors(halves, "v", True).select("half", "anchor", F.col("f").alias("x"))
     visit = with_anchors(halves, "v", False).select("half", "anchor", F.col("f").alias("y"))
-    return home.join(visit, ["half", "anchor"]).where(f"x < y and bit_count(x ^ y) <= {radius}").select("x", "y").distinct()
+    # both sides shuffle: estimates don't know that a row of nodes becomes 32 visits, and a broadcast of those would be gathered on the driver
+    return home.join(visit.hint("merge"), ["half", "anchor"]).where(f"x < y and bit_count(x ^ y) <= {radius}").select("x", "y").distinct()
 
 
 def simhash_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, radius: int = 3) -> DataFrame:
