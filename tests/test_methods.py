@@ -234,3 +234,21 @@ def test_frame_operators(spark, emb, a):
     f = reflect.reflector_qr(Tall(emb), 16)
     assert equal_within(reflect.apply_q(f, f.r), emb, 1e-10) and np.allclose(reflect.apply_qt(f, emb, 64), f.r)
     assert np.allclose(Tall.stored(emb.groupBy("row_id").agg({"x": "max"}).toDF("row_id", "x")).triangle(), Tall(emb).triangle())
+
+
+def test_thin_products_shuffle_no_products(spark):
+    from tilerank.operators import tiles as X
+
+    rng = np.random.default_rng(6)
+    a, b = rng.integers(-3, 4, (70, 10)).astype(float), rng.integers(-3, 4, (10, 45)).astype(float)
+    a[16:32, :4] = 0.0
+    p, q = (tables.to_tiles(spark.createDataFrame([(int(i), int(j), float(m[i, j])) for i, j in zip(*np.nonzero(m))], "row_id bigint, col_id int, v double"), 4, m.shape[1], m.shape[0]) for m in (a, b))
+    made = X.multiply_thin(p, q, 18, 12, side=5)
+    got = np.zeros((70, 45))
+    for r in tables.from_tiles(made, 4).collect():
+        got[r.row_id, r.col_id] += r.v
+    assert np.array_equal(got, a @ b) and made.groupBy("bi", "bj").count().where("count > 1").isEmpty()
+    from __spark_entry__ import queries
+
+    plan = queries()["lin_tile_matmul"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroupsInArrow" in plan and "SortMergeJoin" not in plan and "BroadcastHashJoin" not in plan
