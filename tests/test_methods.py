@@ -236,6 +236,36 @@ def test_frame_operators(spark, emb, a):
     assert np.allclose(Tall.stored(emb.groupBy("row_id").agg({"x": "max"}).toDF("row_id", "x")).triangle(), Tall(emb).triangle())
 
 
+def test_near_pairs_are_those_of_all_products_without_a_join_of_cells(spark):
+    from tilerank.operators import apps
+
+    rng = np.random.default_rng(5)
+    a = np.repeat(rng.random((60, 8)), 4, axis=0) + 0.12 * rng.random((240, 8))
+    a = np.vstack([a, a[:3], np.zeros((1, 8))])
+    rows = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(a)], "row_id bigint, x array<double>")
+    u = a[:240] / np.linalg.norm(a[:240], axis=1)[:, None]
+    want = {(i, j) for i, j in zip(*np.nonzero(np.triu(u @ u.T >= 0.99, 1)))}
+    pairs = apps.near_pairs(rows, 8, 0.99, 4, 2)
+    assert {(r.a, r.b) for r in pairs.collect()} == want and pairs.count() == len(want)
+    plan = pairs._jdf.queryExecution().analyzed().toString()
+    assert "Generate explode" not in plan  # cells are not joined row by row
+
+
+def test_term_rows_count_words_without_exploding_them(spark):
+    from tilerank.operators import apps
+
+    rows = [(1, "b A  a\t"), (2, None), (2, "a"), (3, ""), (4, "b a A ")]
+    terms = apps.term_rows(spark.createDataFrame(rows, "doc_id bigint, text string"), 16)
+    place = {w: int(__import__("hashlib").md5(w.encode()).hexdigest()[:8], 16) % 16 for w in ("a", "b", "")}
+    want = {}
+    for i, t in rows:
+        for w in __import__("re").split("\\s+", (t or "").lower()):
+            want.setdefault(i, np.zeros(16))[place[w]] += 1
+    assert all(np.allclose(r.x, np.log1p(want[r.row_id])) for r in terms.collect()) and terms.count() == 4
+    assert {(r.row_id, r.first_id) for r in apps.term_classes(terms).collect()} == {(1, 1), (2, 2), (3, 3), (4, 1)}
+    assert "Generate" not in terms._jdf.queryExecution().executedPlan().toString()
+
+
 def test_thin_products_shuffle_no_products(spark):
     from tilerank.operators import tiles as X
 
