@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from tilerank.functions import vectors as V
 from tilerank.functions.keyed import gaussian_sql, gaussians
 from tilerank.operators.router import factorize
+from tilerank.operators.tiles import multiply_thin
 from tilerank.sources import formats
 from tilerank.sources import tables as T
 from tilerank.streaming import events as S
@@ -142,8 +143,12 @@ def io_pushdown_filter(s: SparkSession, d: str) -> DataFrame:
 
 @q()
 def io_datasource_tiles(s: SparkSession, d: str) -> DataFrame:
+    """Norms of the tiles of A G: the embedding matrix and keyed random tiles that a Python data source makes."""
     formats.register(s)
-    return s.read.format("tilematrix").option("m", "100").option("n", "40").option("b", "16").load().select("bi", "bj", (F.round(V.tile_norm("data"), 6) + 0.0).alias("norm"))
+    m = T.load(s, d, "embeddings").count()
+    a = T.to_tiles(T.entries(T.emb(s, d)), 16, 64, m)
+    g = s.read.format("tilematrix").option("m", "64").option("n", "40").option("b", "16").load()
+    return multiply_thin(a, g, -(-m // 16), 3).select("bi", "bj", (F.round(V.tile_norm("data"), 6) + 0.0).alias("norm"))
 
 
 # streams
