@@ -180,6 +180,63 @@ def test_settle_loses_no_link_of_a_crowded_bucket(spark):
     assert simhash_neardup.settle(df.limit(0), lambda pairs: pairs, 0.8).labels is None
 
 
+def test_settle_loses_no_link_between_values(spark):
+    import random
+
+    rnd = random.Random(11)
+    # 60 values in a row, each met by its two neighbours; value 7 is crowded and beside it are texts of no component
+    at = {i: 7 if i < 120 else rnd.randrange(60) for i in range(400)}
+    ways = [(0, v, w) for v in range(60) for w in (v - 1, v + 1) if 0 <= w < 60]
+    links = {tuple(sorted((rnd.randrange(120), rnd.randrange(120)))) for _ in range(250)}
+    links |= {tuple(sorted((rnd.randrange(400), rnd.randrange(400)))) for _ in range(3000)}
+    links = {p for p in links if p[0] != p[1]}
+    up = list(range(400))
+
+    def link(pairs):
+        for a, b in sorted(pairs):
+            x, y = sorted((up[a], up[b]))
+            up[:] = [x if u == y else u for u in up]
+
+    inner = {p for p in links if at[p[0]] == at[p[1]] == 7}
+    link(inner)
+    start = simhash_neardup.Known(simhash_neardup.components(spark.createDataFrame(sorted(inner), "a bigint, b bigint")))
+    link({p for p in links if abs(at[p[0]] - at[p[1]]) == 1})
+    every = spark.createDataFrame(sorted(links), "a bigint, b bigint")
+    members = spark.createDataFrame([(0, v, i, 1, [0] * 8) for i, v in at.items()], "band int, v bigint, rep bigint, m int, o array<bigint>")
+    meet = spark.createDataFrame(ways, "band int, v bigint, w bigint")
+    found = simhash_neardup.settle(members, lambda pairs: pairs.join(every, ["a", "b"]), 0.8, start, 1, meet)
+    linked = {r.node: r.component for r in found.labels.collect()}
+    assert [linked.get(i, i) for i in range(400)] == up
+    tried = {(r.a, r.b) for t in found.tried for r in t.collect()}
+    assert all(abs(at[a] - at[b]) == 1 for a, b in tried)
+
+
+def test_members_beside_many_values_are_not_repeated(spark, monkeypatch):
+    # 200 near copies at value 0 of band 4; 25 texts at the values one bit from it, of which only the first is a near copy
+    words = [f"word{j}" for j in range(150)]
+    rows = [(i, " ".join([*words[:j], f"new{i}", *words[j + 1 :]])) for i, j in ((i, i % 10) for i in range(201))]
+    rows += [(i, " ".join(f"w{i}x{j}" for j in range(150))) for i in range(201, 225)]
+    same, kept_tables = simhash_neardup.wide_fingerprints, []
+
+    def placed(*a):
+        first = F.when(F.col("doc_id") < 200, 5).otherwise(F.xxhash64("doc_id", F.lit(0)))
+        beside = F.when(F.col("doc_id") < 200, 0).otherwise(F.expr("shiftleft(1L, int(doc_id - 200))"))
+        apart = [F.xxhash64("doc_id", F.lit(k)) for k in range(1, 6)]
+        third = F.shiftleft(apart[1], 32).bitwiseOR(beside)
+        return same(*a).withColumn("f", F.array(first, apart[0], third, *apart[2:]))
+
+    def counted(df, label):
+        out = common.materialize(df, label)
+        kept_tables.append((label, out.count()))
+        return out
+
+    monkeypatch.setattr(simhash_neardup, "wide_fingerprints", placed)
+    monkeypatch.setattr(simhash_neardup, "materialize", counted)
+    kept = {r.doc_id for r in simhash_neardup.near_dedup(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert kept == {0, *range(201, 225)}
+    assert max(n for label, n in kept_tables if label in ("buckets", "members", "seen", "leaders")) <= 2 * len(rows)
+
+
 def test_links_between_members_that_do_not_lead(spark):
     # 400 texts at one fingerprint; only the last two are alike
     text = lambda i: " ".join(f"w{i}x{j}" for j in range(100))

@@ -33,8 +33,8 @@ LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 #: Bit positions 1..31 whose number has bit k set, as a mask over bits 0..30.
 PARITY = [sum(1 << (i - 1) for i in range(1, 32) if i >> k & 1) for k in range(5)]
 HALF = 0x7FFFFFFF
-#: Columns of a bucket of near-copy candidates.
-BUCKET = ["band", "v", "w"]
+#: Columns of a way from the members of one band value to those of another.
+WAY = ["band", "v", "w"]
 #: 64-bit words of a parity sketch.
 SKETCH = 8
 #: Bands settled one group after the other: the first ones, then the rest.
@@ -183,16 +183,19 @@ def value_components(bands: DataFrame, labels: DataFrame | None) -> DataFrame:
     return labelled(bands, labels).groupBy("band", "v").agg(F.min("c").alias("lo"), F.max("c").alias("hi"))
 
 
-def same_value_buckets(nodes: DataFrame, bands: DataFrame, labels: DataFrame | None) -> DataFrame:
-    """Members of the band values that several components share: ``band``, ``v``, ``w`` = -1, ``rep``, ``side`` (of its own each), ``m``, ``o``.
+def same_values(nodes: DataFrame, bands: DataFrame, labels: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+    """Members of the band values that several components share, as ``members_at`` has them, and those values as pairs ``v``, ``w`` = ``v``.
 
     The members of one component alone make no rows, however many they are.
     """
-    mixed = materialize(value_components(bands, labels).where("lo <> hi").select("band", "v", F.lit(-1).cast("long").alias("w")), "values")
-    rows = bands.join(small(mixed, 24), ["band", "v"]).withColumn("side", F.col("rep")).select(*BUCKET, "rep", "side")
-    out = materialize(rows.join(nodes.select("rep", "m", "o"), "rep"), "buckets")
-    release(mixed)
-    return out
+    mixed = materialize(value_components(bands, labels).where("lo <> hi").select("band", "v", F.col("v").alias("w")), "values")
+    return members_at(nodes, bands, mixed.select("band", "v")), mixed
+
+
+def members_at(nodes: DataFrame, bands: DataFrame, values: DataFrame) -> DataFrame:
+    """``band``, ``v``, ``rep``, ``m``, ``o``: the members of distinct band values, once each."""
+    rows = bands.join(small(values, 16), ["band", "v"])
+    return materialize(rows.join(nodes.select("rep", "m", "o"), "rep").select("band", "v", "rep", "m", "o"), "members")
 
 
 def labelled(rows: DataFrame, labels: DataFrame | None, node: str = "rep") -> DataFrame:
@@ -202,24 +205,40 @@ def labelled(rows: DataFrame, labels: DataFrame | None, node: str = "rep") -> Da
     return rows.join(small(labels.toDF(node, "of"), 32), node, "left").withColumn("c", F.coalesce("of", node)).drop("of")
 
 
-def near_value_buckets(nodes: DataFrame, bands: DataFrame, labels: DataFrame | None) -> DataFrame:
-    """Members of pairs of band values ``v`` < ``w`` that are one bit apart and not both of one component alone.
+def component_sizes(labels: DataFrame | None) -> DataFrame | None:
+    """``rep``, ``of``, ``of_n``: the component of each linked node, and how many nodes that has."""
+    if labels is None:
+        return None
+    sizes = materialize(labels.groupBy("component").agg(F.count("*").alias("of_n")), "sizes")
+    sized = materialize(labels.join(small(sizes, 24), "component").select(F.col("node").alias("rep"), F.col("component").alias("of"), "of_n"), "sized")
+    release(sizes)
+    return sized
+
+
+def ranked(rows: DataFrame, sized: DataFrame | None) -> DataFrame:
+    """Add ``c``, the component of ``rep``, and ``rank``: components in one order, the larger ones last."""
+    if sized is None:
+        return rows.withColumn("c", F.col("rep")).withColumn("rank", F.struct(F.lit(1).cast("long").alias("n"), "c"))
+    rows = rows.join(small(sized, 40), "rep", "left").withColumn("c", F.coalesce("of", "rep"))
+    return rows.withColumn("rank", F.struct(F.coalesce("of_n", F.lit(1).cast("long")).alias("n"), "c")).drop("of", "of_n")
+
 
-    Rows are as those of ``same_value_buckets``, with side 0 for members of ``v`` and 1 for those of ``w``: only members of different sides
-    are to be compared. Values one bit apart are found at anchors; a value has 31 such neighbours at most. A
-    cluster whose values are neighbours in many ways is one component by then, so its pairs of values make no rows.
+def near_values(nodes: DataFrame, bands: DataFrame, labels: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+    """Pairs of band values ``v``, ``w`` (both ways) that are one bit apart and not both of one component alone, after their members (``members_at``).
+
+    Values one bit apart are found at anchors; a value has 31 such neighbours at most. A cluster whose values are neighbours in many
+    ways is one component by then, so its pairs of values make no rows. A member is one row however many neighbours its value has.
     """
     points = materialize(value_components(bands, labels), "points")
     home = with_anchors(points, "v", True)
     visit = with_anchors(points.toDF("band", "w", "least", "most"), "w", False)
     near = home.join(visit, ["band", "anchor"]).where("v < w and bit_count(v ^ w) <= 1 and least(lo, least) <> greatest(hi, most)")
-    near = materialize(near.select("band", "v", "w").distinct(), "near")
-    lower = bands.join(near, ["band", "v"]).withColumn("side", F.lit(0).cast("long"))
-    upper = bands.withColumnRenamed("v", "w").join(near, ["band", "w"]).withColumn("side", F.lit(1).cast("long"))
-    rows = [x.select(*BUCKET, "rep", "side") for x in (lower, upper)]
-    out = materialize(rows[0].union(rows[1]).join(nodes.select("rep", "m", "o"), "rep"), "buckets")
-    release(points, near)
-    return out
+    near = near.select("band", "v", "w").distinct()
+    near = materialize(near.union(near.select("band", "w", "v")), "near")
+    values = materialize(near.select("band", "v").distinct(), "values")
+    out = members_at(nodes, bands, values)
+    release(points, values)
+    return out, near
 
 
 def may_be_like(least: float) -> str:
@@ -239,34 +258,37 @@ class Known:
     tried: list[DataFrame] = field(default_factory=list)
 
 
-def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, known: Known | None = None, leaders: int = 64) -> Known:
-    """Components of all pairs that meet in a bucket and that ``confirm`` keeps, beside what is ``known``.
+def settle(members: DataFrame, confirm: Callable[[DataFrame], DataFrame], least: float, known: Known | None = None, leaders: int = 64, meet: DataFrame | None = None) -> Known:
+    """Components of all pairs that meet and that ``confirm`` keeps, beside what is ``known``.
 
-    In each round members outside a bucket's largest component lead: ``leaders`` of them (sixteen times as
-    many in each further round) are compared with the members of other components. A bucket is settled
-    once it is one component, or all outside the largest have led. Of two members in different components one has led
-    then, so no link is lost. Rows are made for pairs that pass ``may_be_like`` only; in a bucket whose
-    members stay apart the comparisons themselves still grow with the square of its size.
+    ``members`` of a band value ``v`` meet those of ``w`` for each row (``band``, ``v``, ``w``) of ``meet``, which has both ways of a
+    pair; without it, those of ``v`` itself. Components are in one order by size. In each round members of ``v`` lead if their component is below
+    the last of ``w``: ``leaders`` of them (sixteen times as many in each further round) are compared with the members of other components at ``w``. A pair of values is
+    settled once all that had to lead have led. Of two members in different components the lower one has led then, so no
+    link is lost. Only those that lead are repeated for the pairs of their value, never the members of a cluster that they stand beside.
+    Rows are made for pairs that pass ``may_be_like`` only; where members stay apart the comparisons themselves
+    still grow with the square of their number.
     """
-    known, led, own = known or Known(), [], None
+    known, led, own = known or Known(), [], []
+    members = members.select("band", "v", "rep", "m", "o")
+    if meet is None:
+        meet = members.select("band", "v", F.col("v").alias("w")).distinct()
     while True:
-        c = labelled(buckets, known.labels)
-        parts = c.groupBy(*BUCKET, "c").agg(F.count("*").alias("n"))
-        unsettled = parts.groupBy(*BUCKET).agg(F.max_by("c", F.struct("n", "c")).alias("main"), F.count("*").alias("n")).where("n > 1").drop("n")
-        unsettled = materialize(unsettled, "open")
-        seen = materialize(c.join(small(unsettled, 40), BUCKET), "members")
-        release(unsettled, own)
-        own = seen
-        fresh = seen.where("c <> main")
+        sized = component_sizes(known.labels)
+        seen = materialize(ranked(members, sized), "seen")
+        tops = seen.groupBy("band", F.col("v").alias("w")).agg(F.max("rank").alias("top"))
+        ways = materialize(meet.join(tops, ["band", "w"]), "ways")
+        own += [sized, seen, ways]
+        fresh = seen.join(small(ways, 48), ["band", "v"]).where("rank < top")
         for x in led:
-            fresh = fresh.join(x.select(*BUCKET, "l.rep"), [*BUCKET, "rep"], "left_anti")
-        chosen = fresh.groupBy(*BUCKET, F.pmod(F.xxhash64("rep"), F.lit(leaders)).alias("salt")).agg(F.min(F.struct("rep", "side", "c", "m", "o")).alias("l"))
-        chosen = materialize(chosen.select(*BUCKET, "l"), "leaders")
+            fresh = fresh.join(x.select(*WAY, "l.rep"), [*WAY, "rep"], "left_anti")
+        chosen = fresh.groupBy(*WAY, F.pmod(F.xxhash64("rep"), F.lit(leaders)).alias("salt")).agg(F.min(F.struct("rep", "c", "m", "o")).alias("l"), F.count("*").alias("k"))
+        chosen = materialize(chosen.select(*WAY, "l", "k"), "leaders")
         led.append(chosen)
         if chosen.isEmpty():
-            release(seen, *led)
+            release(*own, *led)
             return known
-        met = small(chosen, 192).join(seen, BUCKET).where((F.col("c") != F.col("l.c")) & (F.col("side") != F.col("l.side")) & F.expr(may_be_like(least)))
+        met = small(chosen, 192).drop("v", "k").join(seen.withColumnRenamed("v", "w"), ["band", "w"]).where((F.col("c") != F.col("l.c")) & F.expr(may_be_like(least)))
         pairs = met.select(F.least("rep", "l.rep").alias("a"), F.greatest("rep", "l.rep").alias("b")).distinct()
         for x in known.tried:
             pairs = pairs.join(x, ["a", "b"], "left_anti")
@@ -280,7 +302,15 @@ def settle(buckets: DataFrame, confirm: Callable[[DataFrame], DataFrame], least:
                 known.labels = materialize(components(links if before is None else links.union(before.toDF("a", "b"))), "components")
                 release(before)
             release(links)
-        buckets, leaders = seen.drop("c", "main"), 16 * leaders
+        late = chosen.where("k > 1").select(*WAY)
+        meet = materialize(late.union(late.select("band", F.col("w").alias("v"), F.col("v").alias("w"))).distinct(), "open")
+        values = materialize(meet.select("band", "v").distinct(), "values")
+        own += [meet, values]
+        if values.isEmpty():
+            release(*own, *led)
+            return known
+        members = seen.drop("c", "rank").join(small(values, 16), ["band", "v"], "left_semi")
+        leaders *= 16
 
 
 def shingle_sets(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFrame:
@@ -334,14 +364,14 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     known = Known()
     for lo, hi in BAND_GROUPS:
         own = bands.where((F.col("band") >= lo) & (F.col("band") < hi))
-        buckets = same_value_buckets(nodes, own, known.labels)
-        known = settle(buckets, confirm, least, known)
-        release(buckets)
-    buckets = near_value_buckets(nodes, bands, known.labels)
-    known = settle(buckets, confirm, least, known)
+        members, meet = same_values(nodes, own, known.labels)
+        known = settle(members, confirm, least, known, meet=meet)
+        release(members, meet)
+    members, meet = near_values(nodes, bands, known.labels)
+    known = settle(members, confirm, least, known, meet=meet)
     copies = look_up(fps.select(id_col, "key"), nodes.select("key", "rep", "n"), "key", "n", fps.count()).select(id_col, "rep")
     copies = materialize(copies, "copies")
-    release(fps, nodes, bands, buckets, *known.tried)
+    release(fps, nodes, bands, members, meet, *known.tried)
     linked = known.labels
     if linked is None:
         linked = copies.select(F.col("rep").alias("node"), F.col("rep").alias("component")).limit(0)
